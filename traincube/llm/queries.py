@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from traincube.llm import quality_rules, secret_scan, source_mix
+from traincube.llm import minmax_dedup, quality_rules, secret_scan, source_mix
 from traincube.llm.scratch import materialize
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {}
@@ -45,3 +45,9 @@ def op1(spark: SparkSession, sf_dir: str) -> DataFrame:
 def op6(spark: SparkSession, sf_dir: str) -> DataFrame:
     sized = materialize(source_mix.measure(read(spark, sf_dir, "documents"), F.array("source")))
     return source_mix.mix(sized).select(F.col("id").alias("doc_id"), "size", "source_size", "target", (F.col("size") * F.col("copies")).alias("taken"))
+
+
+@query("op8_minmax_dedup")
+def op8(spark: SparkSession, sf_dir: str) -> DataFrame:
+    out = minmax_dedup.near_duplicates(read(spark, sf_dir, "documents"))
+    return out.select(F.col("id").alias("doc_id"), "n_shingles", "component_id", F.coalesce(F.col("id") == F.col("component_id"), F.col("component_id").isNull()).alias("kept"))
