@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from traincube.llm import minmax_dedup, quality_rules, secret_scan, source_mix, substring_dedup
+from traincube.llm import class_lm, minmax_dedup, quality_rules, secret_scan, source_mix, substring_dedup
 from traincube.llm.scratch import materialize
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {}
@@ -57,3 +57,14 @@ def op8(spark: SparkSession, sf_dir: str) -> DataFrame:
 def op10(spark: SparkSession, sf_dir: str) -> DataFrame:
     out = substring_dedup.repeats(read(spark, sf_dir, "documents"))
     return out.select(F.col("id").alias("doc_id"), "n_words", "n_removed", F.sha2("kept", 256).alias("kept_sha256"))
+
+
+def fold(spark_column: str = "doc_id"):
+    """crc32 of the id as text, modulo 5."""
+    return F.crc32(F.col(spark_column).cast("string").cast("binary")) % 5
+
+
+@query("op5_class_lm")
+def op5(spark: SparkSession, sf_dir: str) -> DataFrame:
+    out = class_lm.score_documents(read(spark, sf_dir, "documents"), fold() == 1)
+    return out.select(F.col("id").alias("doc_id"), "held_out", "n_tokens", "n_known", "train_tokens", "base_score", "score")
