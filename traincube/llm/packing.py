@@ -1,7 +1,9 @@
 """Packing token sequences by cutting-stock column generation.
 
-Every document's ids, with an end id, are cut into full sequences and one rest.
-The histogram of rest lengths is a cutting-stock problem: a linear program over
+Every document's ids, with an end id, are cut into full sequences and one rest. A
+rest above half a sequence is cut at the half, as long pieces leave room that nothing
+fills, and then at a sixteenth, so that few lengths occur and the program over them
+is solved to its end. The histogram of piece lengths is a cutting-stock problem: a linear program over
 patterns of lengths that fit a sequence, whose columns are priced by a knapsack
 dynamic program. The solution is rounded down to whole sequences, what is left is
 filled longest first into the fullest place that holds it, and the documents of
@@ -79,26 +81,25 @@ def id_cache(path: str) -> IdCache:
     return _caches[path]
 
 
-def price(dual: np.ndarray, lengths: np.ndarray, capacity: int) -> tuple[float, np.ndarray]:
-    """The pattern of greatest dual value: an unbounded knapsack over total lengths."""
-    best, pick = np.zeros(capacity + 1), np.full(capacity + 1, -1)
-    use = np.flatnonzero(dual > 1e-12)
-    size, gain = lengths[use], dual[use]
-    upto = np.searchsorted(size, np.arange(capacity + 1), "right")
-    for c in range(1, capacity + 1):
-        best[c] = best[c - 1]
-        if k := upto[c]:
-            value = best[c - size[:k]] + gain[:k]
-            i = int(value.argmax())
-            if value[i] > best[c] + 1e-13:
-                best[c], pick[c] = value[i], i
+def price(dual: np.ndarray, lengths: np.ndarray, capacity: int, copies: int = 2) -> tuple[float, np.ndarray]:
+    """The pattern of greatest dual value: a knapsack over total lengths, each length ``copies`` times at most.
+
+    Without that bound patterns repeat one short length hundreds of times, which few
+    documents have, and the program takes thousands of steps more.
+    """
+    items = np.repeat(np.flatnonzero(dual > 1e-12), copies)
+    best = np.zeros(capacity + 1)
+    taken = np.zeros((len(items), capacity + 1), bool)
+    for k, (size, gain) in enumerate(zip(lengths[items].tolist(), dual[items].tolist())):
+        value = best[: capacity + 1 - size] + gain
+        better = value > best[size:] + 1e-13
+        taken[k, size:] = better
+        best[size:] = np.where(better, value, best[size:])
     pattern, c = np.zeros(len(lengths), np.int64), capacity
-    while c > 0:
-        if pick[c] < 0:
-            c -= 1
-        else:
-            pattern[use[pick[c]]] += 1
-            c -= int(size[pick[c]])
+    for k in range(len(items) - 1, -1, -1):
+        if taken[k, c]:
+            pattern[items[k]] += 1
+            c -= int(lengths[items[k]])
     return float(best[capacity]), pattern
 
 
@@ -113,8 +114,10 @@ def cutting_stock(lengths: np.ndarray, demand: np.ndarray, capacity: int = CAPAC
     inverse, use = np.diag(1.0 / fit), demand / fit
     floor = float((lengths * demand).sum()) / capacity
     for _ in range(rounds):
+        if use.sum() <= floor * (1 + gap):
+            break
         value, pattern = price(inverse.sum(0), lengths, capacity)
-        if value <= 1 + 1e-9 or use.sum() <= max(use.sum() / value, floor) * (1 + gap):
+        if value <= 1 + 1e-9:
             break
         step = inverse @ pattern
         able = step > 1e-10
@@ -182,11 +185,22 @@ def plan(histogram: dict[int, int], capacity: int = CAPACITY) -> np.ndarray:
     return np.array(rows, np.int64)
 
 
+def cut_points(n: int, capacity: int = CAPACITY) -> list[int]:
+    """Where n ids are cut, from 0 to n."""
+    cuts, grid = list(range(0, n - capacity + 1, capacity)), max(1, capacity // 16)
+    done = len(cuts) * capacity
+    for step in (capacity // 2, grid):
+        if n - done > step > 0:
+            cuts.append(done)
+            done += (n - done) // step * step
+    return [*cuts, *([done] if done < n else []), n]
+
+
 _PIECES = "id long, start long, length long, ids_crc32 long, doc_tokens long, part int, local long"
 
 
 def pieces(docs: DataFrame, path: str, capacity: int = CAPACITY, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """Full pieces and the rest of each document, ranked by length within each task."""
+    """The pieces of each document, ranked by length within each task."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         cache, part, seen = id_cache(path), TaskContext.get().partitionId(), {}
@@ -196,10 +210,11 @@ def pieces(docs: DataFrame, path: str, capacity: int = CAPACITY, id_col: str = "
             for i, raw in zip(ids, cache.of([b.decode("utf-8", "replace") for b in block.bodies()])):
                 raw += end
                 n = len(raw) // 4
-                for a in range(0, n, capacity):
-                    length = min(capacity, n - a)
+                cuts = cut_points(n, capacity)
+                for a, b in zip(cuts, cuts[1:]):
+                    length = b - a
                     local = seen[length] = seen.get(length, -1) + 1
-                    out.append((i, a, length, zlib.crc32(raw[4 * a : 4 * (a + length)]), n, part, local))
+                    out.append((i, a, length, zlib.crc32(raw[4 * a : 4 * b]), n, part, local))
             kinds = [pa.int64()] * 5 + [pa.int32(), pa.int64()]
             yield pa.RecordBatch.from_arrays([pa.array(list(x), t) for x, t in zip(zip(*out), kinds)], [c.split()[0] for c in _PIECES.split(", ")])
 
