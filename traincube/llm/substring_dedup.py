@@ -188,8 +188,9 @@ def repeats(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", len
     of smaller id; windows are judged on the input.
     """
     spark = docs.sparkSession
-    # A bucket is put in order in memory, so their number follows the shuffle partitions, which follow the input.
-    buckets = 4 * int(spark.conf.get("spark.sql.shuffle.partitions"))
+    # A bucket is put in order in memory, so their number follows the shuffle partitions, which follow the input;
+    # answers are a row for each bucket and text, so few partitions get no fewer buckets.
+    buckets = max(256, 4 * int(spark.conf.get("spark.sql.shuffle.partitions")))
     rows = documents(docs, text_col, id=F.coalesce(F.col(id_col).cast("long"), F.lit(int(_NO_ID))), place=F.monotonically_increasing_id())
 
     def seeds_of(batches):
