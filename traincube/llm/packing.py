@@ -16,8 +16,10 @@ repeated ids are packed like any other. An empty table gives an empty result.
 
 from __future__ import annotations
 
+import os
 import re
 import zlib
+from array import array
 from collections.abc import Iterator
 
 import numpy as np
@@ -31,7 +33,10 @@ from traincube.llm.words import blocks, documents
 
 CAPACITY = 1024
 END_ID = 0
-_MOST_WORDS = 300_000
+_MOST_WORDS = 400_000
+_LONG = 64
+# Marks that stand after words.
+_MARKS = ".,;:!?"
 _ODD_SPACE = re.compile(r"[^\S \n]")
 _SEGMENT = re.compile(r"[ \n]*[^ \n]+|[ \n]+")
 
@@ -40,18 +45,32 @@ class IdCache:
     """Ids as little-endian bytes; parts of a text that the tokenizer treats alone are encoded once.
 
     The tokenizer's pattern never joins a character that is not white space to white
-    space after it, so parts that begin at such places are encoded alone.
+    space after it, nor letters to the marks of _MARKS after them, so parts that begin
+    at such places are encoded alone.
     """
 
     def __init__(self, path: str):
+        # Tasks share the cores already; threads of each worker's own would only take memory.
+        os.environ["TOKENIZERS_PARALLELISM"] = "false"
         from tokenizers import Tokenizer
 
         self.tokenizer = Tokenizer.from_file(path)
+        self.model = self.tokenizer.model
         self.special = [t.content for t in self.tokenizer.get_added_tokens_decoder().values()]
+        # Two generations: what the last _MOST_WORDS new parts did not use is forgotten.
         self.ids: dict[str, bytes] = {"": b""}
+        self.old: dict[str, bytes] = {}
+        # The vocabulary writes each byte as a printable character: itself, or one from 256 on.
+        plain = [*range(33, 127), *range(161, 173), *range(174, 256)]
+        odd = [b for b in range(256) if b not in set(plain)]
+        self.written = {b: chr(b) for b in plain} | {b: chr(256 + k) for k, b in enumerate(odd)}
 
-    def encode(self, texts: list[str]) -> list[bytes]:
-        return [np.array(e.ids, "<u4").tobytes() for e in self.tokenizer.encode_batch(texts, add_special_tokens=False)]
+    def encode(self, text: str) -> bytes:
+        return array("I", self.tokenizer.encode(text, add_special_tokens=False).ids).tobytes()
+
+    def _word(self, word: str) -> bytes:
+        """Ids of letters with at most a space before them, which the pattern never parts."""
+        return array("I", [t.id for t in self.model.tokenize(word.encode().decode("latin-1").translate(self.written))]).tobytes()
 
     def parts(self, text: str) -> list[str] | None:
         """None: the text is encoded as a whole."""
@@ -61,14 +80,32 @@ class IdCache:
             return _SEGMENT.findall(text)
         return text.replace(" ", "\x01 ").replace("\n", "\x01\n\x01").split("\x01")
 
-    def of(self, texts: list[str]) -> list[bytes]:
-        parts = [self.parts(t) for t in texts]
-        if len(self.ids) > _MOST_WORDS:
-            self.ids = {"": b""}
-        missing = list({p for own in parts if own for p in own if p not in self.ids})
-        self.ids.update(zip(missing, self.encode(missing)))
-        get = self.ids.__getitem__
-        return [self.encode([t])[0] if own is None else b"".join(map(get, own)) for t, own in zip(texts, parts)]
+    def _learn(self, part: str) -> bytes:
+        ids = self.old.get(part)
+        if ids is None:
+            core = part.rstrip(_MARKS)
+            if not (core[1:] if core[:1] == " " else core).isalpha():
+                ids = self.encode(part)
+            elif len(core) == len(part):
+                ids = self._word(part)
+            else:
+                ids = (self.ids.get(core) or self.old.get(core) or self._word(core)) + (self.ids.get(part[len(core) :]) or self._learn(part[len(core) :]))
+        if len(part) <= _LONG:
+            self.ids[part] = ids
+        return ids
+
+    def of(self, text: str) -> bytes:
+        parts = self.parts(text)
+        if parts is None:
+            return self.encode(text)
+        found = list(map(self.ids.get, parts))
+        if None in found:
+            for k, x in enumerate(found):
+                if x is None:
+                    found[k] = self._learn(parts[k])
+            if len(self.ids) > _MOST_WORDS:
+                self.old, self.ids = self.ids, {"": b""}
+        return b"".join(found)
 
 
 _caches: dict[str, IdCache] = {}
@@ -207,8 +244,8 @@ def pieces(docs: DataFrame, path: str, capacity: int = CAPACITY, id_col: str = "
         end = np.array([END_ID], "<u4").tobytes()
         for block in blocks(batches):
             ids, out = block.rows.column("id").to_pylist(), []
-            for i, raw in zip(ids, cache.of([b.decode("utf-8", "replace") for b in block.bodies()])):
-                raw += end
+            for i, body in zip(ids, block.bodies()):
+                raw = cache.of(body.decode("utf-8", "replace")) + end
                 n = len(raw) // 4
                 cuts = cut_points(n, capacity)
                 for a, b in zip(cuts, cuts[1:]):
