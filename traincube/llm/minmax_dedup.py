@@ -6,10 +6,14 @@ documents candidates; at a similarity of 0.75 a pair is missed with a probabilit
 of about 5e-6. A link counts only if the full shingle sets confirm it.
 
 Texts with the same set are one class from the start. In a bucket no pairs are
-formed at first: every class meets the bucket's lead. Classes joined by
-confirmed links are one component, and then only pairs of classes from different
-components, which are few, are formed. So no link between different components
-is lost, and a bucket with a third of all classes costs one row for each.
+formed at first: every class meets the lead of most of its buckets, then, where that
+has not joined them, the leads of the others. What may still link classes of
+different components is looked for inside the buckets, in blocks of bounded size:
+first which classes have a mate whose signature is near enough; then, for these, how
+many of their shingles any other of them has. As a link needs three quarters of the
+union shared, that number rules out, exactly, what differs by words of its own, and
+only the pairs left are formed and confirmed. So no link between different components
+is lost, and a bucket with a third of all classes is not turned into its pairs.
 
 Null and empty texts, and texts without words, have an empty set and link with
 nothing. A null id has no part in the smallest id of a component. Repeated rows
@@ -36,6 +40,7 @@ ROWS = 4
 THRESHOLD = (75, 100)
 #: Pairs whose signatures agree in a smaller share of values are not confirmed: five standard deviations below the threshold.
 LEAST_AGREEMENT = 0.56
+CHUNK = 2048
 
 _KEYS = seeds(2, 21)
 _FACTORS = (seeds(PERMUTATIONS, 22) >> np.uint64(32)).astype(np.uint32) | np.uint32(1)
@@ -133,6 +138,82 @@ def _agree(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         yield pa.RecordBatch.from_arrays([x.column(c).filter(pa.array(near)) for c in ("a", "b")], ["a", "b"])
 
 
+def _mates(own: dict[str, np.ndarray], bounded: bool) -> tuple[np.ndarray, np.ndarray]:
+    """Places (a, b) of rows of one block of a bucket, of different components, that may link."""
+    sig, label, side = own["signature"], own["label"], own["side"]
+    _, at, n_of = np.unique(label, return_inverse=True, return_counts=True)
+    order = np.argsort(n_of[at], kind="stable")
+    firsts, seconds = [], []
+    done = np.zeros(len(label), bool)
+    most = label[order[-1]]
+    two = side.min() != side.max()
+    for i in order.tolist():
+        if label[i] == most:  # rows of the largest component meet all others as these are gone through
+            continue
+        done[i] = True
+        able = ~done & (label != label[i])
+        if two:
+            able &= side != side[i]
+        at = np.flatnonzero(able)
+        if bounded:
+            n, shared = own["n"], own["shared"]
+            both = np.minimum(shared[i], shared[at])
+            at = at[THRESHOLD[1] * both >= THRESHOLD[0] * (n[i] + n[at] - both)]
+        at = at[(sig[at] == sig[i]).mean(1) >= LEAST_AGREEMENT]
+        firsts.append(np.full(len(at), i))
+        seconds.append(at)
+    none = [np.zeros(0, np.int64)]
+    return np.concatenate(firsts + none), np.concatenate(seconds + none)
+
+
+def _in_blocks(bounded: bool):
+    """Rows sorted by (bucket, part) to pairs that may link (bounded) or to the classes in such pairs."""
+    names = ["node", "label", "side", "n", "shared"] if bounded else ["node", "label", "side"]
+
+    def emit(parts: list[pa.RecordBatch]) -> pa.RecordBatch:
+        table = pa.Table.from_batches(parts)
+        own = {c: table.column(c).to_numpy() for c in names}
+        own["signature"] = np.frombuffer(b"".join(table.column("signature").to_pylist()), np.uint8).reshape(table.num_rows, -1)
+        a, b = _mates(own, bounded)
+        node = own["node"]
+        if bounded:
+            return pa.RecordBatch.from_arrays([pa.array(node[a]), pa.array(node[b])], ["a", "b"])
+        return pa.RecordBatch.from_arrays([pa.array(np.unique(node[np.concatenate((a, b))]))], ["node"])
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        key, parts = None, []
+        for x in batches:
+            bucket, part = x.column("bucket").to_numpy(), x.column("part").to_numpy()
+            cuts = [0, *(np.flatnonzero((np.diff(bucket) != 0) | (np.diff(part) != 0)) + 1).tolist(), x.num_rows]
+            for i, j in zip(cuts, cuts[1:]):
+                if j > i:
+                    if (bucket[i], part[i]) != key and parts:
+                        yield emit(parts)
+                        parts = []
+                    key = (bucket[i], part[i])
+                    parts.append(x.slice(i, j - i))
+        if parts:
+            yield emit(parts)
+
+    return run
+
+
+def _blocks_of(rows: DataFrame) -> DataFrame:
+    """Rows of each bucket dealt into pairs of chunks of about CHUNK rows, so that any two rows of a bucket meet in one part."""
+    size = rows.groupBy("bucket").agg(F.ceil(F.count("*") / CHUNK).cast("int").alias("chunks"))
+    met = rows.join(size, "bucket").withColumn("side", F.pmod(F.xxhash64("node"), F.col("chunks")).cast("int"))
+    met = met.withColumn("other", F.explode(F.sequence(F.lit(0), F.col("chunks") - 1)))
+    part = F.least("side", "other").cast("long") * F.col("chunks") + F.greatest("side", "other")
+    return met.withColumn("part", part).drop("other", "chunks").repartition("bucket", "part").sortWithinPartitions("bucket", "part")
+
+
+def _shingle_rows(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    for x in batches:
+        for node, s in zip(x.column("node").to_pylist(), x.column("shingles")):
+            h = np.frombuffer(s.as_buffer(), np.int64)
+            yield pa.RecordBatch.from_arrays([pa.array(np.full(len(h), node)), pa.array(h)], ["node", "shingle"])
+
+
 def _confirm(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     """Pairs whose full sets reach the threshold."""
     for x in batches:
@@ -153,30 +234,43 @@ def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
     buckets = materialize(classes.select("node", F.posexplode("bands").alias("band", "value")).select("node", F.xxhash64("band", "value").alias("bucket")))
     signed = classes.select("node", "signature")
 
-    def confirmed(pairs: DataFrame) -> DataFrame:
+    def sets_of(nodes: DataFrame) -> DataFrame:
+        """Full sets of the classes given; candidates are few beside the texts, which are read again instead of storing every set."""
+        texts = _rows(docs, id_col, text_col).join(nodes.select(F.col("node").alias("place")), "place", "left_semi")
+        return materialize(texts.select(F.col("place").alias("node"), "body").mapInArrow(_sets, "node long, shingles binary"))
+
+    def confirmed(pairs: DataFrame, sets: DataFrame | None = None) -> DataFrame:
         """Links among the candidate pairs (a, b)."""
-        side = lambda c: signed.select(F.col("node").alias(c), F.col("signature").alias(f"signature_{c}"))
-        near = materialize(pairs.join(side("a"), "a").join(side("b"), "b").mapInArrow(_agree, "a long, b long"))
-        needed = near.select(F.col("a").alias("place")).union(near.select("b")).distinct()
-        # Candidates are few beside the texts; the join reads the texts again instead of storing every set.
-        texts = _rows(docs, id_col, text_col).join(needed, "place", "left_semi").select(F.col("place").alias("node"), "body")
-        sets = materialize(texts.mapInArrow(_sets, "node long, shingles binary"))
+        if sets is None:
+            side = lambda c: signed.select(F.col("node").alias(c), F.col("signature").alias(f"signature_{c}"))
+            pairs = materialize(pairs.join(side("a"), "a").join(side("b"), "b").mapInArrow(_agree, "a long, b long"))
+            sets = sets_of(pairs.select(F.col("a").alias("node")).union(pairs.select("b")).distinct())
         side = lambda c: sets.select(F.col("node").alias(c), F.col("shingles").alias(f"set_{c}"))
-        return near.join(side("a"), "a").join(side("b"), "b").mapInArrow(_confirm, "a long, b long")
+        return pairs.join(side("a"), "a").join(side("b"), "b").mapInArrow(_confirm, "a long, b long")
 
-    lead = buckets.groupBy("bucket").agg(F.min("node").alias("b"), F.max("node").alias("most")).where("b < most")
-    star = buckets.withColumnRenamed("node", "a").join(lead, "bucket").where("a <> b").select("a", "b").distinct()
-    joined = components(confirmed(star))
+    def label_of(joined: DataFrame, rows: DataFrame, node: str, label: str) -> DataFrame:
+        return rows.join(joined.select(F.col("a").alias(node), F.col("b").alias(label)), node, "left").withColumn(label, F.coalesce(label, node))
 
-    def labelled(joined: DataFrame) -> DataFrame:
-        return buckets.join(joined.select(F.col("a").alias("node"), F.col("b").alias("label")), "node", "left").select("bucket", "node", F.coalesce("label", "node").alias("label"))
+    lead = buckets.groupBy("bucket").agg(F.min("node").alias("b"), F.max("node").alias("most")).where("b < most")
+    star = materialize(buckets.withColumnRenamed("node", "a").join(lead, "bucket").where("a <> b").groupBy("a", "b").agg(F.count("*").alias("n")))
+    nearest = star.groupBy("a").agg(F.max(F.struct("n", (-F.col("b")).alias("b"))).alias("m")).select("a", (-F.col("m.b")).alias("b"))
+    joined = components(confirmed(nearest))
+    apart = label_of(joined, label_of(joined, star.select("a", "b"), "a", "label_a"), "b", "label_b").where("label_a <> label_b").select("a", "b")
+    joined = components(joined.union(confirmed(apart)))
 
-    rest = labelled(joined)
+    rest = label_of(joined, buckets, "node", "label")
     split = rest.groupBy("bucket").agg(F.min("label").alias("low"), F.max("label").alias("high")).where("low < high").select("bucket")
-    rest = materialize(rest.join(split, "bucket"))
-    other = rest.select("bucket", F.col("node").alias("b"), F.col("label").alias("label_b"))
-    across = rest.withColumnRenamed("node", "a").join(other, "bucket").where("label < label_b").select("a", "b").distinct()
-    joined = components(joined.union(confirmed(across)))
+    rest = materialize(rest.join(split, "bucket").join(signed, "node").select("bucket", "node", "label", "signature"))
+    near = materialize(_blocks_of(rest).mapInArrow(_in_blocks(False), "node long").distinct())
+    sets = sets_of(near)
+    shingles = sets.mapInArrow(_shingle_rows, "node long, shingle long")
+    owners = shingles.groupBy("shingle").agg(F.count("*").alias("n"), F.min("node").alias("node"))
+    # A shingle of one class alone is counted for that class, so no row is needed for the shared ones.
+    own = owners.where("n = 1").groupBy("node").agg(F.count("*").alias("own"))
+    able = sets.select("node", (F.length("shingles") / 8).cast("long").alias("n")).join(own, "node", "left").select("node", "n", (F.col("n") - F.coalesce("own", F.lit(0))).alias("shared"))
+    able = materialize(able.where(THRESHOLD[1] * F.col("shared") >= THRESHOLD[0] * F.col("n")))
+    across = _blocks_of(rest.join(able, "node")).mapInArrow(_in_blocks(True), "a long, b long").distinct()
+    joined = components(joined.union(confirmed(materialize(across), sets)))
 
     member = joined.select(F.col("a").alias("node"), F.col("b").alias("component"))
     nodes = classes.select("key1", "key2", "node", "first").join(member, "node", "left").withColumn("component", F.coalesce("component", "node"))
