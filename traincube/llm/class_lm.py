@@ -78,12 +78,12 @@ def _count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         np.add.at(total, back, n)
         return pa.RecordBatch.from_arrays([pa.array(own), pa.array(shape[at].astype(np.int32)), pa.array(total)], ["word", "shape", "n"])
 
-    for block in blocks(batches, 8 << 20):
+    for block in blocks(batches):
         tokens = Tokens(block)
         own, at, n = np.unique(tokens.key, return_index=True, return_counts=True)
         held.append((own, tokens.shape[at], n))
         rows += len(own)
-        if rows > 2_000_000:
+        if rows > 800_000:
             yield emit()
             held, rows = [], 0
     if held:
@@ -110,7 +110,7 @@ def bigrams(texts: DataFrame, words: np.ndarray) -> DataFrame:
             np.add.at(out, back, counts)
             return own, out
 
-        for block in blocks(batches, 8 << 20):
+        for block in blocks(batches):
             tokens = Tokens(block)
             at = lookup(tokens.key, words)
             at = np.where(at < 0, n_words + tokens.shape, at)

@@ -22,6 +22,7 @@ from re import _constants as C  # the parsed form that the standard library comp
 from re import _parser
 
 import numpy as np
+import pandas as pd
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
@@ -260,8 +261,6 @@ def inverted_index(docs: DataFrame, rules: tuple[Rule, ...] = RULES, id_col: str
 
 def redact(docs: DataFrame, rules: tuple[Rule, ...] = RULES, text_col: str = "text", mark: str = "[secret]") -> DataFrame:
     """``docs`` with each span, overlapping ones together, replaced by ``mark``; other texts stay as they are."""
-    import pandas as pd
-
     trigrams = needed(rules)
 
     @F.pandas_udf("string")
