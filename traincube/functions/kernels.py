@@ -25,7 +25,6 @@ def cut_rank(sigma: np.ndarray, threshold: float) -> int:
 def _left_factor(m: np.ndarray, threshold: float, scale: float) -> tuple[np.ndarray, np.ndarray, float]:
     """Orthonormal columns u and u'm with m within the threshold of u u'm, and the square of what is lost."""
     rows, cols = m.shape
-    rest = None
     if cols > 2 * rows and threshold > GRAM_LEAST * scale:
         value, u = np.linalg.eigh(m @ m.T)
         sigma, u = np.sqrt(np.maximum(value[::-1], 0)), u[:, ::-1]
@@ -33,17 +32,15 @@ def _left_factor(m: np.ndarray, threshold: float, scale: float) -> tuple[np.ndar
         u, sigma, _ = np.linalg.svd(np.linalg.qr(m.T, mode="r").T, full_matrices=False)
     else:
         try:
-            u, sigma, v = np.linalg.svd(m, full_matrices=False)
+            u, sigma, _ = np.linalg.svd(m, full_matrices=False)
         except np.linalg.LinAlgError:
             q, r = np.linalg.qr(m)
-            u, sigma, v = np.linalg.svd(r, full_matrices=False)
+            u, sigma, _ = np.linalg.svd(r, full_matrices=False)
             u = q @ u
-        rest = sigma[:, None] * v  # near machine precision u'm would bring rounding noise into every row
     r = cut_rank(sigma, threshold)
     u = u[:, :r]
-    sign = np.where(u[np.abs(u).argmax(0), np.arange(r)] < 0, -1.0, 1.0)
-    u = u * sign
-    return u, u.T @ m if rest is None else sign[:, None] * rest[:r], float((sigma[r:] ** 2).sum())
+    u = u * np.where(u[np.abs(u).argmax(0), np.arange(r)] < 0, -1.0, 1.0)
+    return u, u.T @ m, float((sigma[r:] ** 2).sum())
 
 
 def decompose(x: np.ndarray, modes: list[int], tau: float, max_rank: int | None = None) -> tuple[Train, float]:
