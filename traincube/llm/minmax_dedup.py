@@ -8,12 +8,11 @@ of about 5e-6. A link counts only if the full shingle sets confirm it.
 Texts with the same set are one class from the start. In a bucket no pairs are
 formed at first: every class meets the lead of most of its buckets, then, where that
 has not joined them, the leads of the others. What may still link classes of
-different components is looked for inside the buckets, in blocks of bounded size:
-first which classes have a mate whose signature is near enough; then, for these, how
-many of their shingles any other of them has. As a link needs three quarters of the
-union shared, that number rules out, exactly, what differs by words of its own, and
-only the pairs left are formed and confirmed. So no link between different components
-is lost, and a bucket with a third of all classes is not turned into its pairs.
+different components is looked for in blocks of bounded size: first, inside the
+buckets, which classes have a mate of another component with a near enough signature;
+then, for these and with their full sets, the sizes of all intersections of a block
+as a product of incidence matrices. Only links that join components leave a block.
+So no link between different components is lost, and no bucket becomes its pairs.
 
 Null and empty texts, and texts without words, have an empty set and link with
 nothing. A null id has no part in the smallest id of a component. Repeated rows
@@ -40,7 +39,8 @@ ROWS = 4
 THRESHOLD = (75, 100)
 #: Pairs whose signatures agree in a smaller share of values are not confirmed: five standard deviations below the threshold.
 LEAST_AGREEMENT = 0.56
-CHUNK = 2048
+#: Rows of a chunk where signatures are compared, and where full sets are.
+CHUNKS = (2048, 256)
 
 _KEYS = seeds(2, 21)
 _FACTORS = (seeds(PERMUTATIONS, 22) >> np.uint64(32)).astype(np.uint32) | np.uint32(1)
@@ -138,47 +138,76 @@ def _agree(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         yield pa.RecordBatch.from_arrays([x.column(c).filter(pa.array(near)) for c in ("a", "b")], ["a", "b"])
 
 
-def _mates(own: dict[str, np.ndarray], bounded: bool) -> tuple[np.ndarray, np.ndarray]:
-    """Places (a, b) of rows of one block of a bucket, of different components, that may link."""
-    sig, label, side = own["signature"], own["label"], own["side"]
+def _with_mates(own: dict[str, np.ndarray]) -> np.ndarray:
+    """Nodes of a block that have a near enough signature in another component."""
+    sig, label, node = own["signature"], own["label"], own["node"]
     _, at, n_of = np.unique(label, return_inverse=True, return_counts=True)
     order = np.argsort(n_of[at], kind="stable")
-    firsts, seconds = [], []
-    done = np.zeros(len(label), bool)
-    most = label[order[-1]]
-    two = side.min() != side.max()
+    found, done, most = np.zeros(len(label), bool), np.zeros(len(label), bool), label[order[-1]]
     for i in order.tolist():
         if label[i] == most:  # rows of the largest component meet all others as these are gone through
             continue
         done[i] = True
-        able = ~done & (label != label[i])
-        if two:
-            able &= side != side[i]
-        at = np.flatnonzero(able)
-        if bounded:
-            n, shared = own["n"], own["shared"]
-            both = np.minimum(shared[i], shared[at])
-            at = at[THRESHOLD[1] * both >= THRESHOLD[0] * (n[i] + n[at] - both)]
+        at = np.flatnonzero(~done & (label != label[i]))
         at = at[(sig[at] == sig[i]).mean(1) >= LEAST_AGREEMENT]
-        firsts.append(np.full(len(at), i))
-        seconds.append(at)
-    none = [np.zeros(0, np.int64)]
-    return np.concatenate(firsts + none), np.concatenate(seconds + none)
+        found[at] = True
+        found[i] |= len(at) > 0
+    return np.unique(node[found])
+
+
+def _joining(own: dict[str, np.ndarray], sets: list[np.ndarray]) -> list[tuple[int, int]]:
+    """Links of a block, as few as join the components that it can."""
+    label, node, side = own["label"], own["node"], own["side"]
+    size = np.array([len(x) for x in sets])
+    two = side.min() != side.max()
+    rows, cols = (np.flatnonzero(side == side.min()), np.flatnonzero(side == side.max())) if two else (np.arange(len(node)),) * 2
+    _, word, times = np.unique(np.concatenate(sets), return_inverse=True, return_counts=True)
+    owner = np.repeat(np.arange(len(sets)), size)
+    common = times[word] > 1
+    column = (np.cumsum(times > 1) - 1)[word[common]]
+    owner = owner[common]
+    order = np.argsort(column, kind="stable")
+    column, owner = column[order], owner[order]
+    both = np.zeros((len(rows), len(cols)), np.float32)
+    width = 8192
+    for first in range(0, int(column[-1]) + 1 if len(column) else 0, width):
+        i, j = np.searchsorted(column, (first, first + width))
+        held = np.zeros((len(sets), width), np.float32)
+        held[owner[i:j], column[i:j] - first] = 1
+        both += held[rows] @ held[cols].T
+    near = THRESHOLD[1] * both >= THRESHOLD[0] * (size[rows][:, None] + size[cols][None, :] - both)
+    a, b = np.nonzero(near & (label[rows][:, None] != label[cols][None, :]))
+    a, b = rows[a], cols[b]
+    low, high = np.minimum(label[a], label[b]), np.maximum(label[a], label[b])
+    _, at = np.unique(np.stack((low, high)), axis=1, return_index=True)
+    root: dict[int, int] = {}
+
+    def find(x: int) -> int:
+        while root.get(x, x) != x:
+            x = root[x]
+        return x
+
+    out = []
+    for k in at.tolist():
+        x, y = find(int(low[k])), find(int(high[k]))
+        if x != y:
+            root[max(x, y)] = min(x, y)
+            out.append((int(node[a[k]]), int(node[b[k]])))
+    return out
 
 
-def _in_blocks(bounded: bool):
-    """Rows sorted by (bucket, part) to pairs that may link (bounded) or to the classes in such pairs."""
-    names = ["node", "label", "side", "n", "shared"] if bounded else ["node", "label", "side"]
+def _in_blocks(exact: bool):
+    """Rows sorted by (bucket, part): to the links of each block (exact), or to its nodes with mates."""
 
     def emit(parts: list[pa.RecordBatch]) -> pa.RecordBatch:
         table = pa.Table.from_batches(parts)
-        own = {c: table.column(c).to_numpy() for c in names}
+        own = {c: table.column(c).to_numpy() for c in ("node", "label", "side")}
+        if exact:
+            several = len(table) > 1 and own["label"].min() != own["label"].max()
+            links = _joining(own, [np.frombuffer(x, np.uint64) for x in table.column("shingles").to_pylist()]) if several else []
+            return pa.RecordBatch.from_arrays([pa.array([x[k] for x in links], pa.int64()) for k in (0, 1)], ["a", "b"])
         own["signature"] = np.frombuffer(b"".join(table.column("signature").to_pylist()), np.uint8).reshape(table.num_rows, -1)
-        a, b = _mates(own, bounded)
-        node = own["node"]
-        if bounded:
-            return pa.RecordBatch.from_arrays([pa.array(node[a]), pa.array(node[b])], ["a", "b"])
-        return pa.RecordBatch.from_arrays([pa.array(np.unique(node[np.concatenate((a, b))]))], ["node"])
+        return pa.RecordBatch.from_arrays([pa.array(_with_mates(own))], ["node"])
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         key, parts = None, []
@@ -198,22 +227,15 @@ def _in_blocks(bounded: bool):
     return run
 
 
-def _blocks_of(rows: DataFrame) -> DataFrame:
-    """Rows of each bucket dealt into pairs of chunks of about CHUNK rows, so that any two rows of a bucket meet in one part."""
-    size = rows.groupBy("bucket").agg(F.ceil(F.count("*") / CHUNK).cast("int").alias("chunks"))
+def _blocks_of(rows: DataFrame, chunk: int) -> DataFrame:
+    """Rows of each bucket dealt into pairs of chunks of about ``chunk`` rows, so that any two rows of a bucket meet in one part."""
+    size = rows.groupBy("bucket").agg(F.ceil(F.count("*") / chunk).cast("int").alias("chunks"))
     met = rows.join(size, "bucket").withColumn("side", F.pmod(F.xxhash64("node"), F.col("chunks")).cast("int"))
     met = met.withColumn("other", F.explode(F.sequence(F.lit(0), F.col("chunks") - 1)))
     part = F.least("side", "other").cast("long") * F.col("chunks") + F.greatest("side", "other")
     return met.withColumn("part", part).drop("other", "chunks").repartition("bucket", "part").sortWithinPartitions("bucket", "part")
 
 
-def _shingle_rows(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    for x in batches:
-        for node, s in zip(x.column("node").to_pylist(), x.column("shingles")):
-            h = np.frombuffer(s.as_buffer(), np.int64)
-            yield pa.RecordBatch.from_arrays([pa.array(np.full(len(h), node)), pa.array(h)], ["node", "shingle"])
-
-
 def _confirm(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     """Pairs whose full sets reach the threshold."""
     for x in batches:
@@ -239,12 +261,11 @@ def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
         texts = _rows(docs, id_col, text_col).join(nodes.select(F.col("node").alias("place")), "place", "left_semi")
         return materialize(texts.select(F.col("place").alias("node"), "body").mapInArrow(_sets, "node long, shingles binary"))
 
-    def confirmed(pairs: DataFrame, sets: DataFrame | None = None) -> DataFrame:
+    def confirmed(pairs: DataFrame) -> DataFrame:
         """Links among the candidate pairs (a, b)."""
-        if sets is None:
-            side = lambda c: signed.select(F.col("node").alias(c), F.col("signature").alias(f"signature_{c}"))
-            pairs = materialize(pairs.join(side("a"), "a").join(side("b"), "b").mapInArrow(_agree, "a long, b long"))
-            sets = sets_of(pairs.select(F.col("a").alias("node")).union(pairs.select("b")).distinct())
+        side = lambda c: signed.select(F.col("node").alias(c), F.col("signature").alias(f"signature_{c}"))
+        pairs = materialize(pairs.join(side("a"), "a").join(side("b"), "b").mapInArrow(_agree, "a long, b long"))
+        sets = sets_of(pairs.select(F.col("a").alias("node")).union(pairs.select("b")).distinct())
         side = lambda c: sets.select(F.col("node").alias(c), F.col("shingles").alias(f"set_{c}"))
         return pairs.join(side("a"), "a").join(side("b"), "b").mapInArrow(_confirm, "a long, b long")
 
@@ -261,16 +282,13 @@ def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
     rest = label_of(joined, buckets, "node", "label")
     split = rest.groupBy("bucket").agg(F.min("label").alias("low"), F.max("label").alias("high")).where("low < high").select("bucket")
     rest = materialize(rest.join(split, "bucket").join(signed, "node").select("bucket", "node", "label", "signature"))
-    near = materialize(_blocks_of(rest).mapInArrow(_in_blocks(False), "node long").distinct())
-    sets = sets_of(near)
-    shingles = sets.mapInArrow(_shingle_rows, "node long, shingle long")
-    owners = shingles.groupBy("shingle").agg(F.count("*").alias("n"), F.min("node").alias("node"))
-    # A shingle of one class alone is counted for that class, so no row is needed for the shared ones.
-    own = owners.where("n = 1").groupBy("node").agg(F.count("*").alias("own"))
-    able = sets.select("node", (F.length("shingles") / 8).cast("long").alias("n")).join(own, "node", "left").select("node", "n", (F.col("n") - F.coalesce("own", F.lit(0))).alias("shared"))
-    able = materialize(able.where(THRESHOLD[1] * F.col("shared") >= THRESHOLD[0] * F.col("n")))
-    across = _blocks_of(rest.join(able, "node")).mapInArrow(_in_blocks(True), "a long, b long").distinct()
-    joined = components(joined.union(confirmed(materialize(across), sets)))
+    near = materialize(_blocks_of(rest, CHUNKS[0]).mapInArrow(_in_blocks(False), "node long").distinct())
+    # Classes that may link have a bucket in common, so they are in one group of classes joined by buckets.
+    met = rest.join(near, "node").select("bucket", "node")
+    groups = components(met.join(met.groupBy("bucket").agg(F.min("node").alias("b")), "bucket").select(F.col("node").alias("a"), "b").where("a <> b"))
+    members = label_of(groups, label_of(joined, near, "node", "label"), "node", "bucket")
+    across = _blocks_of(sets_of(near).join(members, "node"), CHUNKS[1]).mapInArrow(_in_blocks(True), "a long, b long")
+    joined = components(joined.union(across))
 
     member = joined.select(F.col("a").alias("node"), F.col("b").alias("component"))
     nodes = classes.select("key1", "key2", "node", "first").join(member, "node", "left").withColumn("component", F.coalesce("component", "node"))
