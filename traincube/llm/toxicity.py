@@ -25,7 +25,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from traincube.llm.words import Block, Words, blocks, documents
+from traincube.llm.words import BLOCK_BYTES, Block, Words, blocks, documents
 
 #: Bytes of a word's beginning that are features, beside the whole word.
 BEGINNINGS = (4, 5, 6, 7, 8)
@@ -89,6 +89,22 @@ class Model:
         return 1 - (1 - self.leak) * np.exp(clean)
 
 
+class _Together:
+    """Sentences of a large block, taken from blocks of the usual size."""
+
+    def __init__(self, block: Block):
+        feature, sentence, text, docs, sentences = [], [], [], 0, 0
+        size = max(1, len(block) * BLOCK_BYTES // max(1, len(block.data)))
+        for a in range(0, len(block), size):
+            edge = block.edge[a : min(a + size, len(block)) + 1]
+            own = Sentences(Block(None, block.data[edge[0] : edge[-1]], edge - edge[0]))
+            feature.append(own.feature)
+            sentence.append((own.sentence + sentences).astype(np.int32))
+            text.append(own.text + docs)
+            docs, sentences = docs + len(edge) - 1, sentences + len(own.begin)
+        self.feature, self.sentence, self.text = np.concatenate(feature), np.concatenate(sentence), np.concatenate(text)
+
+
 def fit(block: Block, label: np.ndarray, weight: np.ndarray, least: float = 22.0, rounds: int = 300) -> Model:
     """Noisy-or logistic regression over the features that speak for toxic texts.
 
@@ -98,8 +114,8 @@ def fit(block: Block, label: np.ndarray, weight: np.ndarray, least: float = 22.0
     share = float((label * weight).sum() / weight.sum()) if len(label) else 0.0
     if share in (0.0, 1.0):
         return Model(np.zeros(0, np.uint64), np.zeros(0), 0.0, share)
-    s = Sentences(block)
-    owner = s.text[s.sentence].astype(np.uint64)
+    s = _Together(block)
+    owner = s.text[s.sentence].astype(np.uint32)
     order = np.lexsort((owner, s.feature))
     f, d = s.feature[order], owner[order].astype(np.int64)
     new = np.ones(len(f), bool)
@@ -134,7 +150,7 @@ def fit(block: Block, label: np.ndarray, weight: np.ndarray, least: float = 22.0
     return Model(kept, x[:-2], float(x[-2]), float(1 / (1 + np.exp(-x[-1]))))
 
 
-def train(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", text_col: str = "text", label_col: str = "toxic", sample: int = 3000, longest: int = 32_768) -> Model:
+def train(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", text_col: str = "text", label_col: str = "toxic", sample: int = 1500, longest: int = 32_768) -> Model:
     """Fit on a bounded sample; labels: id_col and label_col, 0 or 1, only of rows to learn from."""
     known = labels.select(F.col(id_col).cast("long").alias("id"), F.col(label_col).cast("int").alias("label")).where("id is not null and label in (0, 1)")
     total = {r["label"]: r["n"] for r in known.groupBy("label").agg(F.count("*").alias("n")).collect()}
