@@ -10,7 +10,8 @@ from traincube.llm.scratch import materialize
 
 def _least(pairs: DataFrame) -> DataFrame:
     """Links (a, b) with the smallest b, or a itself, of each a."""
-    return pairs.join(pairs.groupBy("a").agg(F.least(F.min("b"), F.col("a")).alias("m")), "a")
+    # Both sides are dealt by the same key already; a broadcast would only fill the driver, round after round.
+    return pairs.join(pairs.groupBy("a").agg(F.least(F.min("b"), F.col("a")).alias("m")).hint("merge"), "a")
 
 
 def _large_star(links: DataFrame) -> DataFrame:

@@ -270,7 +270,7 @@ def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
         return pairs.join(side("a"), "a").join(side("b"), "b").mapInArrow(_confirm, "a long, b long")
 
     def label_of(joined: DataFrame, rows: DataFrame, node: str, label: str) -> DataFrame:
-        return rows.join(joined.select(F.col("a").alias(node), F.col("b").alias(label)), node, "left").withColumn(label, F.coalesce(label, node))
+        return rows.join(joined.select(F.col("a").alias(node), F.col("b").alias(label)).hint("merge"), node, "left").withColumn(label, F.coalesce(label, node))
 
     lead = buckets.groupBy("bucket").agg(F.min("node").alias("b"), F.max("node").alias("most")).where("b < most")
     star = materialize(buckets.withColumnRenamed("node", "a").join(lead, "bucket").where("a <> b").groupBy("a", "b").agg(F.count("*").alias("n")))
