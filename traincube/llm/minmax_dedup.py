@@ -6,9 +6,8 @@ documents candidates; at a similarity of 0.75 a pair is missed with a probabilit
 of about 5e-6. A link counts only if the full shingle sets confirm it.
 
 Texts with the same set are one class from the start. In a bucket no pairs are
-formed at first: every class meets the lead of most of its buckets, then, where that
-has not joined them, the leads of the others. What may still link classes of
-different components is looked for in blocks of bounded size: first, inside the
+formed at first: every class meets the leads of its buckets. What may still link
+classes of different components is looked for in blocks of bounded size: first, inside the
 buckets, which classes have a mate of another component with a near enough signature;
 then, for these and with their full sets, the sizes of all intersections of a block
 as a product of incidence matrices. Only links that join components leave a block.
@@ -273,11 +272,8 @@ def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
         return rows.join(joined.select(F.col("a").alias(node), F.col("b").alias(label)).hint("merge"), node, "left").withColumn(label, F.coalesce(label, node))
 
     lead = buckets.groupBy("bucket").agg(F.min("node").alias("b"), F.max("node").alias("most")).where("b < most")
-    star = materialize(buckets.withColumnRenamed("node", "a").join(lead, "bucket").where("a <> b").groupBy("a", "b").agg(F.count("*").alias("n")))
-    nearest = star.groupBy("a").agg(F.max(F.struct("n", (-F.col("b")).alias("b"))).alias("m")).select("a", (-F.col("m.b")).alias("b"))
-    joined = components(confirmed(nearest))
-    apart = label_of(joined, label_of(joined, star.select("a", "b"), "a", "label_a"), "b", "label_b").where("label_a <> label_b").select("a", "b")
-    joined = components(joined.union(confirmed(apart)))
+    star = buckets.withColumnRenamed("node", "a").join(lead, "bucket").where("a <> b").select("a", "b").distinct()
+    joined = components(confirmed(star))
 
     rest = label_of(joined, buckets, "node", "label")
     split = rest.groupBy("bucket").agg(F.min("label").alias("low"), F.max("label").alias("high")).where("low < high").select("bucket")
