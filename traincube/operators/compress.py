@@ -26,12 +26,14 @@ def segments(
     share: float = 1.0,
     box: tuple[list[float], list[float]] | None = None,
     variables: tuple[str, ...] = ("position", "velocity"),
+    only: tuple[int, int] | None = None,
 ) -> DataFrame:
     """Trains of all segments from sparse cells (step, entity, c1, c2, c3) of rates.
 
     A segment's task gets its cells and, for each entity with earlier rows, one row
     of totals before the segment; dense arrays exist in that task only. Steps after
-    the last and entities after the last repeat the last ones.
+    the last and entities after the last repeat the last ones. only: first segment,
+    and the one after the last, to compress.
     """
     span, n_entities, padded = shape.segment, shape.entities, shape.padded
     if span * padded * len(COMPONENTS) > MOST_CELLS:
@@ -69,7 +71,10 @@ def segments(
                 out.append(compressed(full.ravel(order="F"), modes, budget, share, x[:used].ravel(), variable=name, level=0, seg=s, steps=span))
         return table(out)
 
-    return own.unionByName(before).unionByName(all_).groupBy("seg").applyInArrow(run, SCHEMA)
+    rows = own.unionByName(before).unionByName(all_)
+    if only is not None:
+        rows = rows.where((F.col("seg") >= only[0]) & (F.col("seg") < only[1]))
+    return rows.groupBy("seg").applyInArrow(run, SCHEMA)
 
 
 def _order(levels: np.ndarray, order: str, low: list[float], high: list[float]) -> np.ndarray | None:
