@@ -91,7 +91,7 @@ def bands(signature: np.ndarray) -> np.ndarray:
     return mix((low * c[0]).sum(2) + (high * c[1]).sum(2)).astype(np.int64)
 
 
-_SKETCH = "id long, place long, n_shingles long, key1 long, key2 long, bands array<long>, signature binary"
+_SKETCH = "id long, place long, print long, n_shingles long, key1 long, key2 long, bands array<long>, signature binary"
 
 
 def _sketch(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -112,13 +112,14 @@ def _sketch(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             for i, b, s in zip(full.tolist(), bands(signed), low):
                 band[i], sig[i] = b, s.tobytes()
         yield pa.RecordBatch.from_arrays(
-            [block.rows.column("id"), block.rows.column("place"), pa.array(n, pa.int64()), pa.array(keys[0]), pa.array(keys[1]), pa.array(band, pa.list_(pa.int64())), pa.array(sig, pa.binary())],
-            ["id", "place", "n_shingles", "key1", "key2", "bands", "signature"],
+            [block.rows.column("id"), block.rows.column("place"), block.rows.column("print"), pa.array(n, pa.int64()), pa.array(keys[0]), pa.array(keys[1]), pa.array(band, pa.list_(pa.int64())), pa.array(sig, pa.binary())],
+            ["id", "place", "print", "n_shingles", "key1", "key2", "bands", "signature"],
         )
 
 
 def _rows(docs: DataFrame, id_col: str, text_col: str) -> DataFrame:
-    return documents(docs, text_col, id=F.col(id_col).cast("long"), place=F.monotonically_increasing_id())
+    """id, place in this scan, fingerprint of the text, and the text."""
+    return documents(docs, text_col, id=F.col(id_col).cast("long"), place=F.monotonically_increasing_id()).withColumn("print", F.xxhash64("body"))
 
 
 def _sets(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -250,15 +251,19 @@ def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
     """id, place, n_shingles, component_id and ``first``, true for the one row that stands for its component."""
     sketch = materialize(_rows(docs, id_col, text_col).mapInArrow(_sketch, _SKETCH))
     full = sketch.where("n_shingles > 0")
-    first = F.min(F.struct(F.col("id").isNull().alias("none"), "id", "place")).alias("first")
+    first = F.min(F.struct(F.col("id").isNull().alias("none"), "id", "place", "print")).alias("first")
     classes = materialize(full.groupBy("key1", "key2").agg(first, F.first("bands").alias("bands"), F.first("signature").alias("signature")).withColumn("node", F.col("first.place")))
     buckets = materialize(classes.select("node", F.posexplode("bands").alias("band", "value")).select("node", F.xxhash64("band", "value").alias("bucket")))
     signed = classes.select("node", "signature")
 
     def sets_of(nodes: DataFrame) -> DataFrame:
-        """Full sets of the classes given; candidates are few beside the texts, which are read again instead of storing every set."""
-        texts = _rows(docs, id_col, text_col).join(nodes.select(F.col("node").alias("place")), "place", "left_semi")
-        return materialize(texts.select(F.col("place").alias("node"), "body").mapInArrow(_sets, "node long, shingles binary"))
+        """Full sets of the classes given; candidates are few beside the texts, which are read again instead of storing every set.
+
+        Rows are known again by id and fingerprint, not by place, which another scan may number otherwise.
+        """
+        wanted = classes.select("node", F.col("first.id").alias("own_id"), F.col("first.print").alias("own_print")).join(nodes, "node")
+        texts = _rows(docs, id_col, text_col).select("id", "print", "body").join(wanted, F.col("id").eqNullSafe(F.col("own_id")) & (F.col("print") == F.col("own_print")))
+        return materialize(texts.select("node", "body").mapInArrow(_sets, "node long, shingles binary").dropDuplicates(["node"]))
 
     def confirmed(pairs: DataFrame) -> DataFrame:
         """Links among the candidate pairs (a, b)."""
