@@ -6,6 +6,7 @@ import numpy as np
 import pandas as pd
 from pyspark.sql import SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql.types import DoubleType, LongType
 
 from traincube.functions import kernels as K
 
@@ -18,19 +19,19 @@ def _train(parts) -> K.Train:
     return [np.asarray(c["core"], float).reshape(c["r_left"], c["n"], c["r_right"], order="F") for c in sorted(parts, key=lambda c: c["k"])]
 
 
-@F.pandas_udf("double")
+@F.pandas_udf(DoubleType())
 def tt_norm(cores: pd.Series) -> pd.Series:
     """The Frobenius norm from the cores."""
     return cores.map(lambda c: K.norm(_train(c)))
 
 
-@F.pandas_udf("double")
+@F.pandas_udf(DoubleType())
 def tt_entry(cores: pd.Series, digits: pd.Series) -> pd.Series:
     """The entry at 0-based digits."""
     return pd.Series([K.entries(_train(c), np.array([d], int))[0] for c, d in zip(cores, digits)])
 
 
-@F.pandas_udf("long")
+@F.pandas_udf(LongType())
 def tt_numel(cores: pd.Series) -> pd.Series:
     return cores.map(lambda c: sum(p["r_left"] * p["n"] * p["r_right"] for p in c))
 
