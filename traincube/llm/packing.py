@@ -29,7 +29,7 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from traincube.llm.scratch import materialize
-from traincube.llm.words import blocks, documents
+from traincube.llm.words import blocks, documents, sums_by
 
 CAPACITY = 1024
 END_ID = 0
@@ -38,6 +38,9 @@ _LONG = 64
 # Marks that stand after words.
 _MARKS = ".,;:!?"
 _ODD_SPACE = re.compile(r"[^\S \n]")
+# Bytes with which white space other than space and line break can begin.
+_MAYBE_ODD = np.zeros(256, bool)
+_MAYBE_ODD[[9, 11, 12, 13, 28, 29, 30, 31, 0xC2, 0xE1, 0xE2, 0xE3]] = True
 _SEGMENT = re.compile(r"[ \n]*[^ \n]+|[ \n]+")
 
 
@@ -72,9 +75,9 @@ class IdCache:
         """Ids of letters with at most a space before them, which the pattern never parts."""
         return array("I", [t.id for t in self.model.tokenize(word.encode().decode("latin-1").translate(self.written))]).tobytes()
 
-    def parts(self, text: str) -> list[str] | None:
-        """None: the text is encoded as a whole."""
-        if _ODD_SPACE.search(text) or any(s in text for s in self.special):
+    def parts(self, text: str, odd: bool = True) -> list[str] | None:
+        """None: the text is encoded as a whole. odd: white space other than space and line break may occur."""
+        if odd and _ODD_SPACE.search(text) or any(s in text for s in self.special):
             return None
         if "  " in text or " \n" in text or "\n " in text or "\n\n" in text or "\x01" in text or text[:1].isspace() or text[-1:].isspace():
             return _SEGMENT.findall(text)
@@ -94,8 +97,8 @@ class IdCache:
             self.ids[part] = ids
         return ids
 
-    def of(self, text: str) -> bytes:
-        parts = self.parts(text)
+    def of(self, text: str, odd: bool = True) -> bytes:
+        parts = self.parts(text, odd)
         if parts is None:
             return self.encode(text)
         found = list(map(self.ids.get, parts))
@@ -244,8 +247,9 @@ def pieces(docs: DataFrame, path: str, capacity: int = CAPACITY, id_col: str = "
         end = np.array([END_ID], "<u4").tobytes()
         for block in blocks(batches):
             ids, out = block.rows.column("id").to_pylist(), []
-            for i, body in zip(ids, block.bodies()):
-                raw = cache.of(body.decode("utf-8", "replace")) + end
+            odd = sums_by(block.edge, _MAYBE_ODD[block.data].astype(np.int64)).tolist()
+            for i, body, o in zip(ids, block.bodies(), odd):
+                raw = cache.of(body.decode("utf-8", "replace"), o > 0) + end
                 n = len(raw) // 4
                 cuts = cut_points(n, capacity)
                 for a, b in zip(cuts, cuts[1:]):

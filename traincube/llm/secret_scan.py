@@ -22,7 +22,6 @@ from re import _constants as C  # the parsed form that the standard library comp
 from re import _parser
 
 import numpy as np
-import pandas as pd
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
@@ -263,12 +262,8 @@ def redact(docs: DataFrame, rules: tuple[Rule, ...] = RULES, text_col: str = "te
     """``docs`` with each span, overlapping ones together, replaced by ``mark``; other texts stay as they are."""
     trigrams = needed(rules)
 
-    @F.pandas_udf("string")
-    def clean(texts: pd.Series) -> pd.Series:
-        out = texts.copy()
-        whole = pa.array(texts, pa.string()).fill_null("").cast(pa.large_binary())
-        batch = pa.RecordBatch.from_arrays([pa.array(np.arange(len(texts))), whole], ["row", "body"])
-        for block in blocks(iter([batch])):
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for block in blocks(batches, column=text_col):
             index, bodies = Index(block, trigrams), block.bodies()
             found: dict[int, list] = {}
             for rule in rules:
@@ -277,14 +272,18 @@ def redact(docs: DataFrame, rules: tuple[Rule, ...] = RULES, text_col: str = "te
                     if look is None or look.search(bodies[d]):
                         if spans := rule.spans(bodies[d].decode("utf-8", "replace")):
                             found.setdefault(d, []).extend(spans)
-            rows = block.column("row")
-            for d, spans in found.items():
-                text, parts, done = bodies[d].decode("utf-8", "replace"), [], 0
-                for a, b in sorted(spans):
-                    if a >= done:
-                        parts += [text[done:a], mark]
-                    done = max(done, b)
-                out.iloc[int(rows[d])] = "".join([*parts, text[done:]])
-        return out
-
-    return docs.withColumn(text_col, clean(F.col(text_col)))
+            rows = block.rows
+            if found:
+                at = rows.schema.get_field_index(text_col)
+                texts = rows.column(at).to_pylist()
+                for d, spans in found.items():
+                    parts, done = [], 0
+                    for a, b in sorted(spans):
+                        if a >= done:
+                            parts += [texts[d][done:a], mark]
+                        done = max(done, b)
+                    texts[d] = "".join([*parts, texts[d][done:]])
+                rows = pa.RecordBatch.from_arrays([pa.array(texts, rows.column(k).type) if k == at else rows.column(k) for k in range(rows.num_columns)], schema=rows.schema)
+            yield rows
+
+    return docs.mapInArrow(run, docs.schema)

@@ -20,7 +20,6 @@ from collections.abc import Iterator
 from dataclasses import dataclass
 
 import numpy as np
-import pandas as pd
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
@@ -198,10 +197,11 @@ def reject(docs: DataFrame, model: Model, text_col: str = "text", threshold: flo
     """``docs`` without the rows whose text scores ``threshold`` or more."""
     share = docs.sparkSession.sparkContext.broadcast(model)
 
-    @F.pandas_udf("double")
-    def toxic(texts: pd.Series) -> pd.Series:
-        rows = pa.RecordBatch.from_arrays([pa.array(texts, pa.string()).fill_null("").cast(pa.large_binary())], ["body"])
-        found = [share.value.noisy_or(share.value.sentence_scores(s := Sentences(b)), s.text, len(b)) for b in blocks(iter([rows]))]
-        return pd.Series(np.concatenate(found) if found else np.zeros(0))
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        m = share.value
+        for block in blocks(batches, column=text_col):
+            s = Sentences(block)
+            kept = m.noisy_or(m.sentence_scores(s), s.text, len(block)) < threshold
+            yield block.rows if kept.all() else block.rows.filter(pa.array(kept))
 
-    return docs.where(toxic(F.col(text_col)) < threshold)
+    return docs.mapInArrow(run, docs.schema)

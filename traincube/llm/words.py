@@ -86,10 +86,10 @@ class Block:
         return [raw[a:b] for a, b in zip(edge, edge[1:])]
 
 
-def blocks(batches: Iterator[pa.RecordBatch], size: int = BLOCK_BYTES) -> Iterator[Block]:
-    """Cut Arrow batches with a column ``body`` into blocks of about ``size`` bytes, a long text alone."""
+def blocks(batches: Iterator[pa.RecordBatch], size: int = BLOCK_BYTES, column: str = "body") -> Iterator[Block]:
+    """Cut Arrow batches with a column of texts into blocks of about ``size`` bytes, a long text alone; null is empty."""
     for batch in batches:
-        body = batch.column("body")
+        body = batch.column(column)
         if isinstance(body, pa.ChunkedArray):
             body = body.combine_chunks()
         wide = pa.types.is_large_binary(body.type) or pa.types.is_large_string(body.type)
