@@ -103,3 +103,10 @@ def test_tables_and_sql(spark, tmp_path):
     with pytest.raises(Exception, match="finite"):
         tables.checked(bad).collect()
     assert tables.checked(bad, on_missing="zero").agg(F.sum("c1")).first()[0] == 0
+
+
+def test_warm_up_steps_are_dropped(spark, sf):
+    _, all_ = grids.vehicle(spark, sf, minutes=28, steps=1533)
+    shape, kept = grids.vehicle(spark, sf, minutes=28, steps=1440, drop_first=93)
+    want = all_.where("step >= 93").agg(F.round(F.sum("c1"), 4), F.count("*"), F.max("step") - 93).first()
+    assert kept.agg(F.round(F.sum("c1"), 4), F.count("*"), F.max("step")).first() == want and shape.steps == 1440
