@@ -145,18 +145,18 @@ def mix(sized: DataFrame, weights: tuple[float, ...] = WEIGHTS, share: float = 1
     plan = spark.createDataFrame(plan, "sources array<string>, source_size long, target double, passes long, rest long")
     # The plan has a row for each pattern, which the driver has held anyway.
     rows = sized.join(F.broadcast(plan), sized["sources"].eqNullSafe(plan["sources"])).drop(plan["sources"])
-    rows = rows.withColumn("draw", F.xxhash64(F.lit(seed), "id", "size")).withColumn("bucket", F.shiftrightunsigned("draw", 52).cast("int"))
+    rows = rows.withColumn("draw", F.xxhash64(F.lit(seed), "id", "size")).withColumn("bucket", F.shiftrightunsigned("draw", 64 - _BUCKETS.bit_length() + 1).cast("int"))
     by = Window.partitionBy("sources").orderBy("bucket")
     before = F.sum("size").over(by) - F.col("size")
     filled = rows.groupBy("sources", "bucket", "rest").agg(F.sum("size").alias("size")).withColumn("before", before)
     edge = filled.where((F.col("before") <= F.col("rest")) & (F.col("before") + F.col("size") > F.col("rest"))).select(F.col("sources").alias("edge_sources"), F.col("bucket").alias("edge"), "before")
     rows = rows.join(F.broadcast(edge), rows["sources"].eqNullSafe(edge["edge_sources"]), "left").drop("edge_sources")
-    # Only the bucket in which the drawing ends is put in order.
-    inner = F.when(F.col("bucket") == F.col("edge"), F.col("before") + F.sum("size").over(Window.partitionBy("sources", "in_edge", "salt").orderBy("draw", "id", "place")))
-    rows = rows.withColumn("in_edge", F.coalesce(F.col("bucket") == F.col("edge"), F.lit(False)))
-    rows = rows.withColumn("salt", F.when(F.col("in_edge"), F.lit(0)).otherwise(F.spark_partition_id() + 1))
+    # Only the bucket in which the drawing ends, one of _BUCKETS, is put in order.
+    order = Window.partitionBy("sources").orderBy("draw", "id", "place")
+    ends = rows.where("bucket = edge").select("place", (F.col("before") + F.sum("size").over(order)).alias("reach"))
+    rows = rows.join(ends, "place", "left")
     drawn = F.col("edge").isNull() | (F.col("bucket") < F.col("edge")) | F.coalesce(F.col("reach") <= F.col("rest"), F.lit(False))
-    rows = rows.withColumn("reach", inner).withColumn("drawn", (F.col("rest") > 0) & drawn)
+    rows = rows.withColumn("drawn", (F.col("rest") > 0) & drawn)
     rows = materialize(rows.select("id", "sources", "place", "size", "source_size", "target", "passes", "rest", "draw", "drawn"))
     for _ in range(2):
         rows = _fit(rows)
