@@ -97,7 +97,8 @@ class _Pack:
                 for part in np.split(at, cuts):
                     if len(part):
                         own, local = np.unique(doc[part], return_inverse=True)
-                        row = [int(key[part[0]]), settled, hashes[part].tobytes(), more[part].tobytes(), local.astype(np.uint32).tobytes(), places[own].tobytes(), ids[own].tobytes()]
+                        narrow = np.uint16 if len(own) <= 1 << 16 else np.uint32
+                        row = [int(key[part[0]]), settled, hashes[part].tobytes(), more[part].tobytes(), local.astype(narrow).tobytes(), places[own].tobytes(), ids[own].tobytes()]
                         yield pa.RecordBatch.from_arrays([pa.array([v], t) for v, t in zip(row, (pa.int64(), pa.bool_(), *[pa.binary()] * 5))], [c.split()[0] for c in _PACKED.split(", ")])
         self.clear()
 
@@ -135,7 +136,7 @@ def _meet(settle: Callable):
             if not groups:
                 continue
             h, m = (np.concatenate([np.frombuffer(x[c], t) for x in groups]) for c, t in (("hashes", np.uint64), ("more", np.uint32)))
-            local = [np.frombuffer(x["docs"], np.uint32) for x in groups]
+            local = [np.frombuffer(x["docs"], np.uint16 if 4 * len(x["docs"]) == len(x["hashes"]) else np.uint32) for x in groups]
             place, ids = (np.concatenate([np.frombuffer(x[c], np.int64)[d] for x, d in zip(groups, local)]) for c in ("places", "ids"))
             if ask:
                 order = np.lexsort((place, m, h))
