@@ -9,6 +9,7 @@ from collections import Counter
 import duckdb
 import numpy as np
 import public_tokenizers
+import pyarrow as pa
 import pytest
 from pyspark.sql import functions as F
 
@@ -191,6 +192,40 @@ def test_exchange_finds_classes():
     assert len(set(label[:4])) == 1 and len(set(label[4:])) == 1 and label[0] != label[4]
 
 
+def test_every_training_word_joins_a_class(spark):
+    """Two kinds of words alternate; the rare ones join the class of the frequent ones of their kind, and none is left to its shape."""
+    rng = np.random.default_rng(3)
+    pick = lambda kind: f"{kind}{rng.integers(0, 3) if rng.random() < 0.6 else rng.integers(3, 60)}"
+    texts = spark.createDataFrame([(k, " ".join(pick(x) for x in ("ab" if k % 2 else "ba") * 12)) for k in range(300)], "id long, text string").repartition(3)
+    bodies = class_lm.documents(texts, "text", id=F.col("id"))
+    counts = materialize(class_lm.word_counts(bodies))
+    model = class_lm.fit(bodies, counts, clustered=6, frequent=20, classes=2)
+    label = {r["word"]: (r["label"], r["n"]) for r in model.labels.collect()}
+    assert {w: n for w, (_, n) in label.items()} == {r["word"]: r["n"] for r in counts.collect()}
+    block = next(class_lm.blocks(iter([pa.RecordBatch.from_pydict({"body": [b" ".join(b"%c%d" % (c, k) for k in range(60)) for c in b"ab"]})])))
+    keys = class_lm.Tokens(block).key
+    a, b = ({label[w][0] for w in keys[at : at + 60].tolist() if w in label} for at in (0, 61))
+    assert len(a) == len(b) == 1 and a | b == {0, 1}
+
+
+def test_best_class_is_that_of_the_exchange():
+    """One word against a fixed table gets the class that the likelihood itself prefers."""
+    rng = np.random.default_rng(5)
+    table = rng.integers(0, 40, (7, 7)).astype(float)
+    left, right = rng.integers(0, 7, (2, 30, 9))
+    word = np.repeat(np.arange(30), 9)
+    got = class_lm.best_classes(table, 4, np.concatenate((word, word)), np.concatenate((left.ravel(), 7 + right.ravel())), np.ones(540, np.int64), 30)
+    for w in range(30):
+        value = []
+        for c in range(4):
+            rows, cols = table.sum(1), table.sum(0)
+            t = class_lm._xlogx(table[:, c] + np.bincount(left[w], minlength=7)) - class_lm._xlogx(table[:, c])
+            f = class_lm._xlogx(table[c] + np.bincount(right[w], minlength=7)) - class_lm._xlogx(table[c])
+            size = sum(class_lm._xlogx(x[c] + 9) - class_lm._xlogx(x[c]) for x in (rows, cols))
+            value.append(t.sum() + f.sum() - size)
+        assert got[w] == int(np.argmax(value))
+
+
 def test_mix(spark, docs, none):
     assert source_mix.targets([100, 100, 100], [3, 1, 2]) == [200.0, 250 / 3, 500 / 3]
     sized = materialize(source_mix.measure(docs, F.array("source")))
