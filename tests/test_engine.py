@@ -110,3 +110,10 @@ def test_warm_up_steps_are_dropped(spark, sf):
     shape, kept = grids.vehicle(spark, sf, minutes=28, steps=1440, drop_first=93)
     want = all_.where("step >= 93").agg(F.round(F.sum("c1"), 4), F.count("*"), F.max("step") - 93).first()
     assert kept.agg(F.round(F.sum("c1"), 4), F.count("*"), F.max("step")).first() == want and shape.steps == 1440
+
+
+def test_sediment_has_every_row(spark, sf):
+    """No part and no day is left out of the grid."""
+    kind, cells = grids.sediment(spark, sf)
+    assert cells.agg(F.sum("c3")).first()[0] == spark.read.parquet(f"{sf}/lineitem.parquet").count()
+    assert kind.segments == np.prod(kind.fanin) and cells.agg(F.max("entity")).first()[0] < kind.entities <= kind.padded

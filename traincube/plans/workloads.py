@@ -45,6 +45,10 @@ _VEH_N = "(SELECT max(user_id) + 1 FROM events)"
 _SED_N = "(SELECT CAST(pow(2, least(14, floor(log2(max(p_partkey) + 1)))) AS BIGINT) FROM part)"
 
 
+#: The sediment set that the SQL of q_sediment_level0 and q_sediment_levels describes.
+_SED_SQL = {"steps": 1024, "fanin": (2, 2, 2, 2, 2), "power": True}
+
+
 def _level0_sql(steps: int, segment: int, n: str) -> str:
     return f"SELECT variable, seg, CAST({segment} * {n} * 3 AS BIGINT) AS n, true AS within_tol FROM (SELECT unnest(['position', 'velocity']) AS variable), (SELECT unnest(range({steps // segment})) AS seg)"
 
@@ -64,7 +68,7 @@ def vehicle_level0(spark, sf_dir):
 
 @query("q_sediment_level0", _level0_sql(1024, 32, _SED_N))
 def sediment_level0(spark, sf_dir):
-    return level0(spark, sf_dir, "sediment")[1].select("variable", "seg", F.col("n_original").alias("n"), _within(TENTH))
+    return level0(spark, sf_dir, "sediment", **_SED_SQL)[1].select("variable", "seg", F.col("n_original").alias("n"), _within(TENTH))
 
 
 def _levels(t: DataFrame) -> DataFrame:
@@ -79,7 +83,7 @@ def vehicle_levels(spark, sf_dir):
 
 @query("q_sediment_levels", _levels_sql(1024, 32, (2, 2, 2, 2, 2), _SED_N))
 def sediment_levels(spark, sf_dir):
-    return _levels(tree(spark, sf_dir, "sediment"))
+    return _levels(tree(spark, sf_dir, "sediment", **_SED_SQL))
 
 
 @query("q_levels_ratio")
@@ -142,7 +146,7 @@ def concat_vs_stack(spark, sf_dir):
 @query("q_oneshot_vs_stream")
 def oneshot_vs_stream(spark, sf_dir):
     """All steps as one segment against the merge tree."""
-    one = trains.numel(level0(spark, sf_dir, "sediment", segment=1024)[1]).withColumn("method", F.lit("oneshot"))
+    one = trains.numel(level0(spark, sf_dir, "sediment", segment=2560)[1]).withColumn("method", F.lit("oneshot"))
     top = tree(spark, sf_dir, "sediment").where("level = 5").withColumn("method", F.lit("stream"))
     return one.unionByName(top).select("variable", "method", (F.col("n_original") / F.col("numel")).alias("ratio"), _within(TENTH))
 
@@ -150,7 +154,7 @@ def oneshot_vs_stream(spark, sf_dir):
 @query("q_error_bound", "SELECT variable, seg, round(pow(1.01, 2) - 1, 9) AS bound, true AS within_bound FROM (SELECT unnest(['position', 'velocity']) AS variable), (SELECT unnest(range(16)) AS seg)")
 def error_bound(spark, sf_dir, tau: float = 0.01, tau_round: float = 0.01):
     """Observed relative error of two stages against their composition, from the entries themselves."""
-    kind, cells = grids.sediment(spark, sf_dir)
+    kind, cells = grids.sediment(spark, sf_dir, steps=1024)  # the SQL has 32 segments
     cells = stored(cells)
     exact = stored(compress.segments(cells, kind, Budget("fro", 1e-13)))
     first = stored(compress.segments(cells, kind, Budget("fro", tau)))
