@@ -51,3 +51,9 @@ def test_entry(spark):
     rows = {(r["variable"], r["level"]): r for r in __spark_entry__.entry(spark).collect()}
     assert len(rows) == 10 and all(r["max_nrmse"] <= 0.1 for r in rows.values())
     assert rows["position", 4]["ratio_pooled"] > rows["position", 0]["ratio_pooled"]
+
+
+def test_triaxial_has_every_row_and_variable(spark, sf):
+    cells = workloads.grids.triaxial_cells(spark, sf, *workloads.FULL)
+    assert cells.selectExpr("sum(s4)").first()[0] == spark.read.parquet(f"{sf}/lineitem.parquet").count()
+    assert registry.QUERIES["q_baseline_svd"](spark, sf).select("variable").distinct().count() == 5

@@ -207,6 +207,8 @@ def triaxial_trains(spark: SparkSession, sf_dir: str, budgets: list[Budget], day
     return compress.arrays(triaxial_tensors(spark, sf_dir, days, steps), build)
 
 
+#: Days in a step and steps of the triaxial set, where no SQL states fewer.
+FULL = (1, 2560)
 TAUS = (1e-1, 1e-2, 1e-3)
 
 
@@ -241,7 +243,7 @@ def triaxial_nrmse(spark, sf_dir):
 @query("q_triaxial_fro_vs_nrmse")
 def fro_vs_nrmse(spark, sf_dir):
     b = [Budget(k, t) for k in ("fro", "nrmse") for t in TAUS]
-    own = _with_tau(trains.numel(triaxial_trains(spark, sf_dir, b)), b)
+    own = _with_tau(trains.numel(triaxial_trains(spark, sf_dir, b, *FULL)), b)
     ratio = F.col("n_original") / F.col("numel")
     return own.groupBy("variable", "tau").agg(F.max(F.when(F.col("seg") < 3, ratio)).alias("ratio_fro"), F.max(F.when(F.col("seg") >= 3, ratio)).alias("ratio_nrmse"), F.max(F.when(F.col("seg") < 3, F.col("nrmse"))).alias("nrmse_fro"), F.max(F.when(F.col("seg") >= 3, F.col("nrmse"))).alias("nrmse_nrmse"))
 
@@ -378,14 +380,14 @@ def _baseline(spark, sf_dir, run, schema):
     def build(t):
         out = []
         name = t.column("variable")[0].as_py()
-        x, modes = _triaxial_array(name, t, 52)
+        x, modes = _triaxial_array(name, t, FULL[1])
         span = float(x.max() - x.min())
         for key, (numel, err) in run(x, modes, span):
             out.append({"variable": name, schema: key, "ratio": x.size / numel, "nrmse": err / sqrt(x.size) / span})
         return pa.Table.from_pylist(out)
 
     kind = "long" if schema == "rank" else "double"
-    return triaxial_tensors(spark, sf_dir).where("variable <> 'tangent'").groupBy("variable").applyInArrow(build, f"variable string, {schema} {kind}, ratio double, nrmse double")
+    return triaxial_tensors(spark, sf_dir, *FULL).groupBy("variable").applyInArrow(build, f"variable string, {schema} {kind}, ratio double, nrmse double")
 
 
 @query("q_baseline_svd")
