@@ -57,3 +57,8 @@ def test_triaxial_has_every_row_and_variable(spark, sf):
     cells = workloads.grids.triaxial_cells(spark, sf, *workloads.FULL)
     assert cells.selectExpr("sum(s4)").first()[0] == spark.read.parquet(f"{sf}/lineitem.parquet").count()
     assert registry.QUERIES["q_baseline_svd"](spark, sf).select("variable").distinct().count() == 5
+
+
+def test_univariate_sweep_is_whole(spark, sf):
+    out = registry.QUERIES["q_univariate_sweep"](spark, sf).collect()
+    assert len(out) == 132 and {r["level"] for r in out} == set(range(10, 21)) and {r["n"] for r in out} == {1 << 20} and all(r["within_tol"] for r in out)

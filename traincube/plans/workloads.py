@@ -318,8 +318,8 @@ def univariate_trains(spark: SparkSession, d: int, levels: list[int], taus: tupl
 
 
 @query("q_univariate_sweep")
-def univariate_sweep(spark, sf_dir, d: int = 14):
-    own = univariate_trains(spark, d, list(range(4, d + 1, 2)), (1e-1, 1e-2, 1e-3, 1e-4))
+def univariate_sweep(spark, sf_dir, d: int = 20):
+    own = univariate_trains(spark, d, list(range(min(10, d), d + 1)), (1e-1, 1e-2, 1e-3, 1e-4))
     return own.select("delta", "tau", "level", F.col("n_original").alias("n"), "numel", (F.col("n_original") / F.col("numel")).alias("ratio"), (F.col("rel_fro") <= F.col("tau") * (1 + 1e-9)).alias("within_tol"))
 
 
