@@ -3,7 +3,7 @@
 Every document's ids, with an end id, are cut into full sequences and one rest. A
 rest above half a sequence is cut at the half, as long pieces leave room that nothing
 fills, and then at a sixteenth, so that few lengths occur and the program over them
-is solved to its end. The histogram of piece lengths is a cutting-stock problem: a linear program over
+takes few steps. The histogram of piece lengths is a cutting-stock problem: a linear program over
 patterns of lengths that fit a sequence, whose columns are priced by a knapsack
 dynamic program. The solution is rounded down to whole sequences, what is left is
 filled longest first into the fullest place that holds it, and the documents of
@@ -146,7 +146,8 @@ def price(dual: np.ndarray, lengths: np.ndarray, capacity: int, copies: int = 2)
 def cutting_stock(lengths: np.ndarray, demand: np.ndarray, capacity: int = CAPACITY, gap: float = 5e-4, rounds: int = 5000) -> tuple[np.ndarray, np.ndarray]:
     """Patterns [pattern, length] and how often the linear program uses each; lengths ascend.
 
-    Ends when the dual bound shows that no solution is better by more than ``gap``.
+    Ends within ``gap`` of the total length's bound, or when no pattern that price()
+    allows, with two copies of a length at most, improves the program.
     """
     m = len(lengths)
     fit = capacity // lengths
