@@ -3,7 +3,7 @@
 Each permutation of the shingles' hashes gives two signature values, its minimum
 and its maximum, so 64 permutations give 128 values. Bands of four values make
 documents candidates; at a similarity of 0.75 a pair is missed with a probability
-of about 5e-6. A link counts only if the full shingle sets confirm it.
+of about 5e-6 if their sets are large, and of 1e-4 at 3 and 4 shingles. A link counts only if the full shingle sets confirm it.
 
 Texts with the same set are one class from the start. In a bucket no pairs are
 formed at first: every class meets the leads of its buckets. What may still link
