@@ -260,16 +260,57 @@ def test_quality(docs, none, rows):
                 lines.add(line)
         g = got[r[0]]
         assert (g["n_words"], g["word_chars"], g["n_symbols"], g["n_dup_lines"], g["n_repeat_words"]) == (len(w), sum(map(len, w)), sum(t.count(c) for c in "#*$%&|<>"), dup, len(cover))
+        assert (g["n_top"], g["n_distinct"]) == (max(Counter(w).values(), default=0), len(set(w)))
+        assert g["n_mark_words"] == sum(x[-1] in ".,;:!?" for x in w)
+        bare = [x[:-1] if len(x) > 1 and x[-1] in ".,;:!?" else x for x in w]
+        forms = {f for x in quality_rules.FUNCTION_WORDS.split() for f in (x, x.capitalize(), x.upper())}
+        assert g["n_function_words"] == sum(x in forms for x in bare)
+        assert g["n_letter_words"] == sum(any(c.isascii() and c.isalpha() or not c.isascii() for c in x) for x in w)
         assert g["base_failed"] == (len(w) < 10 or 100 * len(cover) > 20 * len(w)) and not (g["kept"] and g["base_failed"])
     assert quality_rules.quality(none).count() == 0
 
 
 def test_votes_are_weighed():
     """Two rules that are right and one that is noise: the posterior follows the two."""
-    patterns = np.array([[1, 1, 1], [1, 1, -1], [-1, -1, 1], [-1, -1, -1]])
-    share, table = quality_rules.fit_votes(patterns, np.array([400.0, 400, 100, 100]))
+    patterns = np.array([[1, 1, 1], [1, 1, -1], [-1, -1, 1], [-1, -1, -1], [0, 0, 0]])
+    share, table = quality_rules.fit_votes(patterns, np.array([400.0, 400, 100, 100, 0]))
     good = quality_rules.posterior(patterns, share, table)
-    assert (good[:2] > 0.9).all() and (good[2:] < 0.1).all() and 0.7 < share < 0.9
+    assert (good[:2] > 0.9).all() and (good[2:4] < 0.1).all() and 0.7 < share < 0.9 and math.isclose(good[4], share)
+
+
+def test_votes_against_em_by_document():
+    """The same estimates as a plain loop over documents, rules and classes."""
+    rng = np.random.default_rng(1)
+    truth = rng.random(300) < 0.7
+    docs = [[int(v) for v in (0 if rng.random() < 0.3 else (1 if t else -1) * (1 if rng.random() < a else -1) for a in (0.95, 0.8, 0.6, 0.9))] for t in truth]
+    good = [1 / (1 + math.exp(-sum(d))) for d in docs]
+    for _ in range(50):
+        table = {}
+        for r in range(4):
+            for c in (0, 1):
+                n = {v: 4 * (0.8 if v == (1 if c else -1) else 0.2) + sum((g if c else 1 - g) for d, g in zip(docs, good) if d[r] == v) for v in (-1, 1)}
+                table |= {(c, r, v): n[v] / (n[-1] + n[1]) for v in n}
+        share = (sum(good) + 1) / (len(docs) + 2)
+        both = [[p * math.prod(table[c, r, v] for r, v in enumerate(d) if v) for c, p in ((0, 1 - share), (1, share))] for d in docs]
+        good = [y / (x + y) for x, y in both]
+    patterns, at, counts = np.unique(np.array(docs), axis=0, return_inverse=True, return_counts=True)
+    got = quality_rules.fit_votes(patterns, counts.astype(float))
+    assert math.isclose(got[0], share, rel_tol=1e-9)
+    assert np.allclose(quality_rules.posterior(patterns, *got)[at.ravel()], good, atol=1e-9)
+    assert np.mean((np.array(good) > 0.5) == truth) > 0.9
+
+
+def test_quality_decides(spark):
+    """Among documents that pass the base checks the posterior ranks as labels do, which it never saw, and it rejects a real share."""
+    sf = "/root/testdata/sf0.1"
+    out = queries.QUERIES["op7_quality_rules"](spark, sf).where("not base_failed")
+    rows = out.join(spark.read.parquet(f"{sf}/labels.parquet").select("doc_id", "quality").withColumnRenamed("quality", "label"), "doc_id", "left").select("quality", "kept", "label").collect()
+    good, bad = ([r["quality"] for r in rows if r["label"] == y] for y in (1, 0))
+    auc = np.mean([(g > b) + 0.5 * (g == b) for g in good for b in bad])
+    assert auc > 0.95
+    rejected = sum(not r["kept"] for r in rows) / len(rows)
+    assert 0.03 < rejected < 0.15
+    assert np.mean([r["kept"] for r in rows if r["label"] == 1]) > 0.98 and np.mean([r["kept"] for r in rows if r["label"] == 0]) < 0.1
 
 
 def brute_components(rows):
