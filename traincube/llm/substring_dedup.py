@@ -11,9 +11,13 @@ Anchors and windows travel as packed arrays, one row for a bucket of hashes and
 few megabytes of text. What repeats within those megabytes is settled there, so a
 passage in a third of all documents sends one entry from each such piece.
 
+A row is known by a hash of its id and text, never by its position in a scan, as
+every scan may number rows otherwise. Rows equal in both get the same answers, and
+each of them is a row of the result.
+
 Null and empty texts have no words. A null id counts as larger than any other.
 Rows with equal ids do not remove each other's words. Empty tables give an empty
-result.
+result. Other columns are not read, whatever their names.
 """
 
 from __future__ import annotations
@@ -90,7 +94,7 @@ class _Pack:
             hashes, more, doc = hashes[fresh], more[fresh], doc[fresh]
             found, ask = self.settle(hashes, more, ids[doc], places[doc])
             # What is settled goes on to its document by place, not to the bucket of its hash.
-            for settled, keep, key in ((False, ask, hashes % np.uint64(self.buckets)), (True, found, (places[doc] % self.buckets).astype(np.uint64))):
+            for settled, keep, key in ((False, ask, hashes % np.uint64(self.buckets)), (True, found, places[doc].astype(np.uint64) % np.uint64(self.buckets))):
                 at = np.flatnonzero(keep)
                 at = at[np.argsort(key[at], kind="stable")]
                 cuts = np.flatnonzero(np.diff(key[at])) + 1
@@ -146,8 +150,11 @@ def _meet(settle: Callable):
             hashes.append(h)
             places.append(place)
         h, place = np.concatenate(hashes), np.concatenate(places)
-        order = np.argsort(place, kind="stable")
+        order = np.lexsort((h, place))
         h, place = h[order], place[order]
+        fresh = np.ones(len(h), bool)
+        fresh[1:] = (h[1:] != h[:-1]) | (place[1:] != place[:-1])
+        h, place = h[fresh], place[fresh]
         own, at = np.unique(place, return_index=True)
         if len(own):
             yield pa.RecordBatch.from_arrays([pa.array(own), pa.array([x.tobytes() for x in np.split(h, at[1:])], pa.binary())], ["place", "hashes"])
@@ -182,17 +189,26 @@ def _among(x: np.ndarray, found: np.ndarray) -> np.ndarray:
     return found[np.minimum(np.searchsorted(found, x), len(found) - 1)] == x
 
 
+def _buckets(docs: DataFrame) -> int:
+    """A bucket is put in order in memory, so their number follows the size of the files read: one for each 256 MB at least.
+
+    Answers are a row for each bucket and text, so small inputs get no fewer than 256.
+    """
+    leaves = docs._jdf.queryExecution().optimizedPlan().collectLeaves()
+    sizes = [int(str(leaves.apply(k).stats().sizeInBytes())) for k in range(leaves.size())]
+    # A leaf of unknown size counts as endless in Spark, and for nothing here.
+    files = sum(x for x in sizes if x < 1 << 55)
+    return max(256, 4 * int(docs.sparkSession.conf.get("spark.sql.shuffle.partitions")), files >> 28)
+
+
 def repeats(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", length: int = LENGTH, seed: int = SEED) -> DataFrame:
-    """id, place, n_words, n_removed, repeats (maximal, in words, end exclusive) and kept, the words left, joined by a space.
+    """id, place (of the row's id and text), n_words, n_removed, repeats (maximal, in words, end exclusive) and kept, the words left, joined by a space.
 
     A word goes if a window of ``length`` words over it also stands in a document
     of smaller id; windows are judged on the input.
     """
-    spark = docs.sparkSession
-    # A bucket is put in order in memory, so their number follows the shuffle partitions, which follow the input;
-    # answers are a row for each bucket and text, so few partitions get no fewer buckets.
-    buckets = max(256, 4 * int(spark.conf.get("spark.sql.shuffle.partitions")))
-    rows = documents(docs, text_col, id=F.coalesce(F.col(id_col).cast("long"), F.lit(int(_NO_ID))), place=F.monotonically_increasing_id())
+    buckets = _buckets(docs)
+    rows = documents(docs, text_col, id=F.coalesce(F.col(id_col).cast("long"), F.lit(int(_NO_ID)))).select("id", F.xxhash64("id", "body").alias("place"), "body")
 
     def seeds_of(batches):
         pack = _Pack(buckets, _shared)
