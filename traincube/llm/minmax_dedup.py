@@ -2,8 +2,13 @@
 
 Each permutation of the shingles' hashes gives two signature values, its minimum
 and its maximum, so 64 permutations give 128 values. Bands of four values make
-documents candidates; at a similarity of 0.75 a pair is missed with a probability
-of about 5e-6 if their sets are large, and of 1e-4 at 3 and 4 shingles. A link counts only if the full shingle sets confirm it.
+documents candidates; at a similarity of 0.75 a pair of large sets shares no band
+with a probability of about 5e-6, and of 2e-5 at 6 shared of 8 shingles. Minimum and
+maximum of a small set depend on each other, and 3 shared of 4 would be missed with
+1e-4, so sets of at most SMALL shingles also meet by a prefix of their ordered
+shingles, of which two linked sets always share one. Candidates whose signatures agree
+in less than LEAST_AGREEMENT of their values are left out, which at 0.75 loses about
+3e-7 of the pairs. A link counts only if the full sets confirm it.
 
 Texts with the same set are one class from the start. In a bucket no pairs are
 formed at first: every class meets the leads of its buckets. What may still link
@@ -11,7 +16,9 @@ classes of different components is looked for in blocks of bounded size: first,
 buckets, which classes have a mate of another component with a near enough signature;
 then, for these and with their full sets, the sizes of all intersections of a block
 as a product of incidence matrices. Only links that join components leave a block.
-So no link between different components is lost, and no bucket becomes its pairs.
+So no link between different components is lost, and no bucket becomes its pairs:
+of a bucket's largest component each chunk meets the chunks of all other rows only.
+Rows of a hot bucket are dealt over many tasks before they meet anything (graphs.meet).
 
 Null and empty texts, and texts without words, have an empty set and link with
 nothing. A null id has no part in the smallest id of a component. Repeated rows
@@ -27,8 +34,8 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from traincube.llm.graphs import components
-from traincube.llm.scratch import materialize
+from traincube.llm.graphs import components, meet
+from traincube.llm.scratch import discard, materialize
 from traincube.llm.words import Words, blocks, documents, mix, seeds
 
 WIDTH = 5
@@ -38,6 +45,8 @@ ROWS = 4
 THRESHOLD = (75, 100)
 #: Pairs whose signatures agree in a smaller share of values are not confirmed: five standard deviations below the threshold.
 LEAST_AGREEMENT = 0.56
+#: Sets of at most this size also meet by a prefix of their ordered shingles.
+SMALL = 10
 #: Rows of a chunk where signatures are compared, and where full sets are.
 CHUNKS = (2048, 256)
 
@@ -45,6 +54,7 @@ _KEYS = seeds(2, 21)
 _FACTORS = (seeds(PERMUTATIONS, 22) >> np.uint64(32)).astype(np.uint32) | np.uint32(1)
 _MASKS = (seeds(PERMUTATIONS, 23) >> np.uint64(32)).astype(np.uint32)
 _BANDS = seeds(2 * PERMUTATIONS, 24)
+_N_BANDS = 2 * PERMUTATIONS // ROWS
 
 
 def shingle_sets(words: Words) -> list[np.ndarray]:
@@ -81,6 +91,12 @@ def signatures(sets: list[np.ndarray]) -> np.ndarray:
     return out.T
 
 
+def prefix(ordered: np.ndarray) -> np.ndarray:
+    """The shingles of a sorted set of which any linked set has one among its own; none of sets above SMALL."""
+    n = len(ordered)
+    return ordered[: n + (-THRESHOLD[0] * n) // THRESHOLD[1] + 1].astype(np.int64) if n <= SMALL else np.zeros(0, np.int64)
+
+
 def bands(signature: np.ndarray) -> np.ndarray:
     """[set, band] hashes; a band takes as many minima as maxima, of the same permutations."""
     half = ROWS // 2
@@ -110,7 +126,7 @@ def _sketch(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             signed = signatures(own)
             low = (signed * np.uint32(2654435761) >> np.uint32(24)).astype(np.uint8)
             for i, b, s in zip(full.tolist(), bands(signed), low):
-                band[i], sig[i] = b, s.tobytes()
+                band[i], sig[i] = np.concatenate((b, prefix(sets[i]))), s.tobytes()
         yield pa.RecordBatch.from_arrays(
             [block.rows.column("id"), block.rows.column("place"), block.rows.column("print"), pa.array(n, pa.int64()), pa.array(keys[0]), pa.array(keys[1]), pa.array(band, pa.list_(pa.int64())), pa.array(sig, pa.binary())],
             ["id", "place", "print", "n_shingles", "key1", "key2", "bands", "signature"],
@@ -228,12 +244,22 @@ def _in_blocks(exact: bool):
 
 
 def _blocks_of(rows: DataFrame, chunk: int) -> DataFrame:
-    """Rows of each bucket dealt into pairs of chunks of about ``chunk`` rows, so that any two rows of a bucket meet in one part."""
-    size = rows.groupBy("bucket").agg(F.ceil(F.count("*") / chunk).cast("int").alias("chunks"))
-    met = rows.join(size, "bucket").withColumn("side", F.pmod(F.xxhash64("node"), F.col("chunks")).cast("int"))
-    met = met.withColumn("other", F.explode(F.sequence(F.lit(0), F.col("chunks") - 1)))
-    part = F.least("side", "other").cast("long") * F.col("chunks") + F.greatest("side", "other")
-    return met.withColumn("part", part).drop("other", "chunks").repartition("bucket", "part").sortWithinPartitions("bucket", "part")
+    """Rows (bucket, node, label, ...; a stored table) of each bucket dealt into blocks of about two chunks, so that any two rows of a bucket with different labels meet in one block.
+
+    The rows of the bucket's most frequent label need not meet one another, so their
+    chunks, numbered from ``others`` on, only meet those of all other rows. A bucket of
+    one label needs no block, and one of at most ``chunk`` rows is a block.
+    """
+    labels = rows.groupBy("bucket", "label").agg(F.count("*").alias("n"))
+    size = labels.groupBy("bucket").agg(F.max_by("label", F.struct("n", "label")).alias("main"), F.max("n").alias("most"), F.sum("n").alias("n")).where("most < n")
+    one = F.col("n") <= chunk
+    size = size.select("bucket", "main", "n", F.when(one, 1).otherwise(F.ceil((F.col("n") - F.col("most")) / chunk)).cast("int").alias("others"), F.when(one, 0).otherwise(F.ceil(F.col("most") / chunk)).cast("int").alias("mains"))
+    met = meet(rows, size, "bucket", "node", rows.count())
+    main, all_ = (F.col("label") == F.col("main")) & (F.col("mains") > 0), F.col("others") + F.col("mains")
+    met = met.withColumn("side", F.when(main, F.col("others") + F.pmod(F.xxhash64("node"), F.col("mains"))).otherwise(F.pmod(F.xxhash64("node"), F.col("others"))).cast("int"))
+    met = met.withColumn("other", F.explode(F.sequence(F.lit(0), F.when(main, F.col("others")).otherwise(all_) - 1)))
+    part = F.least("side", "other").cast("long") * all_ + F.greatest("side", "other")
+    return met.withColumn("part", part).drop("other", "others", "mains", "main").repartition("bucket", "part").sortWithinPartitions("bucket", "part")
 
 
 def _confirm(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -248,12 +274,19 @@ def _confirm(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
 
 
 def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """id, place, n_shingles, component_id and ``first``, true for the one row that stands for its component."""
+    """id, print, n_shingles, component_id and ``first``, true for the row that stands for its component.
+
+    ``print`` is a fingerprint of the text. The row that stands for a component has its
+    smallest id and, among rows of that id, the smallest fingerprint; rows equal in both
+    are told apart by place, so that one of them is first, whichever.
+    """
     sketch = materialize(_rows(docs, id_col, text_col).mapInArrow(_sketch, _SKETCH))
     full = sketch.where("n_shingles > 0")
-    first = F.min(F.struct(F.col("id").isNull().alias("none"), "id", "place", "print")).alias("first")
+    first = F.min(F.struct(F.col("id").isNull().alias("none"), "id", "print", "place")).alias("first")
     classes = materialize(full.groupBy("key1", "key2").agg(first, F.first("bands").alias("bands"), F.first("signature").alias("signature")).withColumn("node", F.col("first.place")))
-    buckets = materialize(classes.select("node", F.posexplode("bands").alias("band", "value")).select("node", F.xxhash64("band", "value").alias("bucket")))
+    # What stands after the bands are shingles of a prefix, which are all of one kind.
+    banded = classes.select("node", F.posexplode("bands").alias("band", "value"))
+    buckets = materialize(banded.select("node", F.xxhash64(F.least("band", F.lit(_N_BANDS)), "value").alias("bucket")))
     signed = classes.select("node", "signature")
 
     def sets_of(nodes: DataFrame) -> DataFrame:
@@ -266,39 +299,50 @@ def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
         return materialize(texts.select("node", "body").mapInArrow(_sets, "node long, shingles binary").dropDuplicates(["node"]))
 
     def confirmed(pairs: DataFrame) -> DataFrame:
-        """Links among the candidate pairs (a, b)."""
+        """Links among the candidate pairs (a, b), as a stored table."""
         side = lambda c: signed.select(F.col("node").alias(c), F.col("signature").alias(f"signature_{c}"))
         pairs = materialize(pairs.join(side("a"), "a").join(side("b"), "b").mapInArrow(_agree, "a long, b long"))
         sets = sets_of(pairs.select(F.col("a").alias("node")).union(pairs.select("b")).distinct())
         side = lambda c: sets.select(F.col("node").alias(c), F.col("shingles").alias(f"set_{c}"))
-        return pairs.join(side("a"), "a").join(side("b"), "b").mapInArrow(_confirm, "a long, b long")
+        out = materialize(pairs.join(side("a"), "a").join(side("b"), "b").mapInArrow(_confirm, "a long, b long"))
+        discard(pairs)
+        discard(sets)
+        return out
 
     def label_of(joined: DataFrame, rows: DataFrame, node: str, label: str) -> DataFrame:
         return rows.join(joined.select(F.col("a").alias(node), F.col("b").alias(label)).hint("merge"), node, "left").withColumn(label, F.coalesce(label, node))
 
-    lead = buckets.groupBy("bucket").agg(F.min("node").alias("b"), F.max("node").alias("most")).where("b < most")
-    star = buckets.withColumnRenamed("node", "a").join(lead, "bucket").where("a <> b").select("a", "b").distinct()
-    joined = components(confirmed(star))
-
-    rest = label_of(joined, buckets, "node", "label")
-    split = rest.groupBy("bucket").agg(F.min("label").alias("low"), F.max("label").alias("high")).where("low < high").select("bucket")
-    rest = materialize(rest.join(split, "bucket").join(signed, "node").select("bucket", "node", "label", "signature"))
-    near = materialize(_blocks_of(rest, CHUNKS[0]).mapInArrow(_in_blocks(False), "node long").distinct())
+    lead = buckets.groupBy("bucket").agg(F.min("node").alias("b"), F.max("node").alias("most"), F.count("*").alias("n")).where("b < most").drop("most")
+    star = meet(buckets.withColumnRenamed("node", "a"), lead, "bucket", "a", buckets.count()).where("a <> b").select("a", "b").distinct()
+    links = confirmed(star)
+    joined = components(links)
+
+    rest = materialize(label_of(joined, buckets, "node", "label"))
+    discard(buckets)
+    split = rest.groupBy("bucket").agg(F.min("label").alias("low"), F.max("label").alias("high"), F.count("*").alias("n")).where("low < high").select("bucket", "n")
+    open_ = materialize(meet(rest, split, "bucket", "node", rest.count()).join(signed, "node").select("bucket", "node", "label", "signature"))
+    discard(rest)
+    near = materialize(_blocks_of(open_, CHUNKS[0]).mapInArrow(_in_blocks(False), "node long").distinct())
     # Classes that may link have a bucket in common, so they are in one group of classes joined by buckets.
-    met = rest.join(near, "node").select("bucket", "node")
-    groups = components(met.join(met.groupBy("bucket").agg(F.min("node").alias("b")), "bucket").select(F.col("node").alias("a"), "b").where("a <> b"))
+    met = materialize(open_.join(near, "node").select("bucket", "node"))
+    low = met.groupBy("bucket").agg(F.min("node").alias("b"), F.count("*").alias("n"))
+    groups = components(meet(met, low, "bucket", "node", met.count()).select(F.col("node").alias("a"), "b").where("a <> b"))
     members = label_of(groups, label_of(joined, near, "node", "label"), "node", "bucket")
-    across = _blocks_of(sets_of(near).join(members, "node"), CHUNKS[1]).mapInArrow(_in_blocks(True), "a long, b long")
-    joined = components(joined.union(across))
-
-    member = joined.select(F.col("a").alias("node"), F.col("b").alias("component"))
+    sets = sets_of(near)
+    members = materialize(sets.join(members, "node"))
+    across = _blocks_of(members, CHUNKS[1]).mapInArrow(_in_blocks(True), "a long, b long")
+    whole = components(joined.union(across))
+    for x in (links, open_, near, met, groups, sets, members, joined):
+        discard(x)
+
+    member = whole.select(F.col("a").alias("node"), F.col("b").alias("component"))
     nodes = classes.select("key1", "key2", "node", "first").join(member, "node", "left").withColumn("component", F.coalesce("component", "node"))
     smallest = nodes.groupBy("component").agg(F.min("first").alias("first"))
     nodes = nodes.select("key1", "key2", "component").join(smallest, "component")
     rows = sketch.drop("bands", "signature").join(nodes, ["key1", "key2"], "left")
     alone = F.col("n_shingles") == 0
     return rows.select(
-        "id", "place", "n_shingles",
+        "id", "print", "n_shingles",
         F.when(alone, F.col("id")).otherwise(F.col("first.id")).alias("component_id"),
         (alone | (F.col("place") == F.col("first.place"))).alias("first"),
     )
