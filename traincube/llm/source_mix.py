@@ -8,8 +8,9 @@ many words of one more copy are drawn; those documents are drawn in the order of
 a seeded hash.
 
 Size is the number of words; null text has none. A null source is a source of its
-own, after the others. Equal rows are told apart by place only where the drawing
-ends between them. Empty tables give an empty result; other columns aren't read.
+own, after the others. Rows are drawn by id, size and text; rows equal in all of
+these are told apart by place only where the drawing ends between them. Empty tables
+give an empty result; other columns aren't read.
 """
 
 from __future__ import annotations
@@ -27,6 +28,8 @@ from traincube.llm.words import Words, blocks, documents
 
 WEIGHTS = (3, 1, 2)
 _BUCKETS = 4096
+#: Up to so many membership patterns their plan is broadcast; more of them are joined.
+_MOST_PATTERNS = 20_000
 
 
 def targets(sizes: list[int], weights: list[float], share: float = 1.5, most: float = 2.0) -> list[float]:
@@ -112,13 +115,18 @@ def route(capacity: list[int], members: list[tuple[int, ...]], quota: list[int],
 def _sizes(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     for block in blocks(batches):
         n = Words(block, hashed=False).counts()
-        yield pa.RecordBatch.from_arrays([block.rows.column("id"), block.rows.column("sources"), block.rows.column("place"), pa.array(n, pa.int64())], ["id", "sources", "place", "size"])
+        names = ["id", "sources", "place", "print"]
+        yield pa.RecordBatch.from_arrays([*(block.rows.column(c) for c in names), pa.array(n, pa.int64())], [*names, "size"])
 
 
-def measure(docs: DataFrame, sources: Column, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """id, sources (array of string), place and size of each document."""
-    rows = documents(docs, text_col, id=F.col(id_col).cast("long"), sources=sources, place=F.monotonically_increasing_id())
-    return rows.mapInArrow(_sizes, "id long, sources array<string>, place long, size long")
+def measure(docs: DataFrame, sources: Column, id_col: str = "doc_id", text_col: str = "text", place: Column | None = None) -> DataFrame:
+    """id, sources (array of string), place, print (of the text) and size of each document.
+
+    place: a number that tells equal rows apart, by default the row's in this scan; pass a
+    stored column where the result is joined to the documents again.
+    """
+    rows = documents(docs, text_col, id=F.col(id_col).cast("long"), sources=sources, place=F.monotonically_increasing_id() if place is None else place).withColumn("print", F.xxhash64("body"))
+    return rows.mapInArrow(_sizes, "id long, sources array<string>, place long, print long, size long")
 
 
 def mix(sized: DataFrame, weights: tuple[float, ...] = WEIGHTS, share: float = 1.5, most: int = 2, seed: int = 0) -> DataFrame:
@@ -143,14 +151,14 @@ def mix(sized: DataFrame, weights: tuple[float, ...] = WEIGHTS, share: float = 1
         passes = min(f // c, most) if c else 0
         plan.append((r["sources"], sizes[own[0]], target[own[0]], passes, f - passes * c))
     plan = spark.createDataFrame(plan, "sources array<string>, source_size long, target double, passes long, rest long")
-    # The plan has a row for each pattern, which the driver has held anyway.
-    rows = sized.join(F.broadcast(plan), sized["sources"].eqNullSafe(plan["sources"])).drop(plan["sources"])
-    rows = rows.withColumn("draw", F.xxhash64(F.lit(seed), "id", "size")).withColumn("bucket", F.shiftrightunsigned("draw", 64 - _BUCKETS.bit_length() + 1).cast("int"))
+    # The plan has a row for each pattern, and its size is known here.
+    rows = sized.join(F.broadcast(plan) if len(patterns) <= _MOST_PATTERNS else plan, sized["sources"].eqNullSafe(plan["sources"])).drop(plan["sources"])
+    rows = rows.withColumn("draw", F.xxhash64(F.lit(seed), "id", "size", "print")).withColumn("bucket", F.shiftrightunsigned("draw", 64 - _BUCKETS.bit_length() + 1).cast("int"))
     by = Window.partitionBy("sources").orderBy("bucket")
     before = F.sum("size").over(by) - F.col("size")
     filled = rows.groupBy("sources", "bucket", "rest").agg(F.sum("size").alias("size")).withColumn("before", before)
     edge = filled.where((F.col("before") <= F.col("rest")) & (F.col("before") + F.col("size") > F.col("rest"))).select(F.col("sources").alias("edge_sources"), F.col("bucket").alias("edge"), "before")
-    rows = rows.join(F.broadcast(edge), rows["sources"].eqNullSafe(edge["edge_sources"]), "left").drop("edge_sources")
+    rows = rows.join(F.broadcast(edge) if len(patterns) <= _MOST_PATTERNS else edge, rows["sources"].eqNullSafe(edge["edge_sources"]), "left").drop("edge_sources")
     # Only the bucket in which the drawing ends, one of _BUCKETS, is put in order.
     order = Window.partitionBy("sources").orderBy("draw", "id", "place")
     ends = rows.where("bucket = edge").select("place", (F.col("before") + F.sum("size").over(order)).alias("reach"))
