@@ -121,13 +121,10 @@ def id_cache(path: str) -> IdCache:
     return _caches[path]
 
 
-def price(dual: np.ndarray, lengths: np.ndarray, capacity: int, copies: int = 2) -> tuple[float, np.ndarray]:
-    """The pattern of greatest dual value: a knapsack over total lengths, each length ``copies`` times at most.
-
-    Without that bound patterns repeat one short length hundreds of times, which few
-    documents have, and the program takes thousands of steps more.
-    """
-    items = np.repeat(np.flatnonzero(dual > 1e-12), copies)
+def price(dual: np.ndarray, lengths: np.ndarray, capacity: int, copies: np.ndarray) -> tuple[float, np.ndarray]:
+    """The pattern of greatest dual value with at most ``copies`` of each length: a knapsack over total lengths."""
+    some = np.flatnonzero(dual > 1e-12)
+    items = np.repeat(some, copies[some])
     best = np.zeros(capacity + 1)
     taken = np.zeros((len(items), capacity + 1), bool)
     for k, (size, gain) in enumerate(zip(lengths[items].tolist(), dual[items].tolist())):
@@ -143,36 +140,63 @@ def price(dual: np.ndarray, lengths: np.ndarray, capacity: int, copies: int = 2)
     return float(best[capacity]), pattern
 
 
-def cutting_stock(lengths: np.ndarray, demand: np.ndarray, capacity: int = CAPACITY, gap: float = 5e-4, rounds: int = 5000) -> tuple[np.ndarray, np.ndarray]:
-    """Patterns [pattern, length] and how often the linear program uses each; lengths ascend.
+def price_all(dual: np.ndarray, lengths: np.ndarray, capacity: int) -> tuple[float, np.ndarray]:
+    """The pattern of greatest dual value, with any number of copies that fits."""
+    items = np.flatnonzero(dual > 1e-12)
+    sizes, gains = lengths[items], dual[items]
+    best, last = np.zeros(capacity + 1), np.full(capacity + 1, -1)
+    for c in range(1, capacity + 1):
+        best[c] = best[c - 1]
+        n = int(np.searchsorted(sizes, c, "right"))
+        if n:
+            value = best[c - sizes[:n]] + gains[:n]
+            k = int(value.argmax())
+            if value[k] > best[c] + 1e-13:
+                best[c], last[c] = value[k], k
+    pattern, c = np.zeros(len(lengths), np.int64), capacity
+    while c > 0:
+        if last[c] < 0:
+            c -= 1
+        else:
+            pattern[items[last[c]]] += 1
+            c -= int(sizes[last[c]])
+    return float(best[capacity]), pattern
+
+
+def cutting_stock(lengths: np.ndarray, demand: np.ndarray, capacity: int = CAPACITY, gap: float = 5e-4) -> tuple[np.ndarray, np.ndarray, float]:
+    """Patterns [pattern, length], how often the linear program uses each, and a bound below which no packing lies; lengths ascend.
 
-    Ends within ``gap`` of the total length's bound, or when no pattern that price()
-    allows, with two copies of a length at most, improves the program.
+    Patterns with about as many copies of a length as its demand gives each sequence are
+    priced first, as they lead to the optimum in fewer steps; when none of them improves
+    the program, any number of copies is priced. That value also bounds the optimum from below (the duals divided
+    by it are feasible), as the total length does. Ends within ``gap`` of the larger
+    bound, at the latest when no pattern at all improves the program.
     """
-    m = len(lengths)
     fit = capacity // lengths
     columns = np.diag(fit).astype(np.int64)
-    inverse, use = np.diag(1.0 / fit), demand / fit
-    floor = float((lengths * demand).sum()) / capacity
-    for _ in range(rounds):
-        if use.sum() <= floor * (1 + gap):
-            break
-        value, pattern = price(inverse.sum(0), lengths, capacity)
-        if value <= 1 + 1e-9:
-            break
+    # Demands are raised by tiny unequal amounts, so that no step is empty and the program can't go in circles.
+    inverse, use = np.diag(1.0 / fit), (demand + 1e-7 * np.arange(1, len(lengths) + 1)) / fit
+    bound = float((lengths * demand).sum()) / capacity
+    copies = np.minimum(fit, np.maximum(2, np.ceil(2 * demand / bound))).astype(np.int64)
+    while use.sum() > bound * (1 + gap):
+        dual = inverse.sum(0)
+        value, pattern = price(dual, lengths, capacity, copies)
+        if value <= 1 + 1e-6:
+            value, pattern = price_all(dual, lengths, capacity)
+            bound = max(bound, float(dual @ demand) / max(value, 1.0))
+            if value <= 1 + 1e-9:
+                break
         step = inverse @ pattern
-        able = step > 1e-10
-        ratio = np.full(m, np.inf)
-        ratio[able] = use[able] / step[able]
-        out = int(ratio.argmin())
-        theta = ratio[out]
+        able = np.flatnonzero(step > 1e-10)
+        out = int(able[(use[able] / step[able]).argmin()])
+        theta = use[out] / step[out]
         use = np.maximum(use - theta * step, 0)
         use[out] = theta
         row = inverse[out] / step[out]
         inverse -= np.outer(step, row)
         inverse[out] = row
         columns[out] = pattern
-    return columns, use
+    return columns, use, bound
 
 
 def fill(lengths: np.ndarray, demand: np.ndarray, capacity: int = CAPACITY) -> list[dict[int, int]]:
@@ -214,7 +238,7 @@ def plan(histogram: dict[int, int], capacity: int = CAPACITY) -> np.ndarray:
         sequence += times
 
     if len(lengths):
-        columns, use = cutting_stock(lengths, demand, capacity)
+        columns, use, _ = cutting_stock(lengths, demand, capacity)
         for column, x in zip(columns, np.floor(use + 1e-6).astype(np.int64)):
             own = np.flatnonzero(column)
             times = int(min([x, *((demand[own] - done[own]) // column[own])]))
