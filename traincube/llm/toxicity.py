@@ -5,13 +5,17 @@ probability is logistic in the words and word beginnings it holds; a document's
 their noisy-or with a leak for bags without evidence. Training the whole on
 document labels teaches which sentences offend, so that they can be found.
 
-The model is fitted on the driver from at most ``sample`` labelled texts of each
-label, none longer than ``longest`` bytes, chosen by a hash of the id. Only the
-words that the fit keeps travel to the tasks; every text is scored whole.
+The model is fitted on at most ``sample`` labelled texts of each label, chosen by a
+hash of the id, whole however long they are. Tasks count in how many texts of each
+label a feature stands; of the few features that speak for toxic texts, tasks send
+which sentence holds which. Only these sparse rows reach the driver, which fits the
+weights. Only the features that are kept travel to the tasks; every text is scored whole.
 
 Null and empty texts have no sentences and score the leak. Without labels of both
-kinds the score is the share of toxic labels (0 without any). Rows with null ids
-are scored but never trained on. Empty tables give an empty result.
+kinds, or without a feature, the score is the share of toxic labels (0 without any),
+and reject() keeps every row. Labels without a document teach nothing but that share.
+Rows with null ids are scored but never trained on. Rows that repeat an id count each.
+Empty tables give an empty result.
 """
 
 from __future__ import annotations
@@ -24,7 +28,8 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from traincube.llm.words import BLOCK_BYTES, Block, Words, blocks, documents
+from traincube.llm.scratch import materialize
+from traincube.llm.words import Block, Words, blocks, documents
 
 #: Bytes of a word's beginning that are features, beside the whole word.
 BEGINNINGS = (4, 5, 6, 7, 8)
@@ -88,85 +93,106 @@ class Model:
         return 1 - (1 - self.leak) * np.exp(clean)
 
 
-class _Together:
-    """Sentences of a large block, taken from blocks of the usual size."""
-
-    def __init__(self, block: Block):
-        feature, sentence, text, docs, sentences = [], [], [], 0, 0
-        size = max(1, len(block) * BLOCK_BYTES // max(1, len(block.data)))
-        for a in range(0, len(block), size):
-            edge = block.edge[a : min(a + size, len(block)) + 1]
-            own = Sentences(Block(None, block.data[edge[0] : edge[-1]], edge - edge[0]))
-            feature.append(own.feature)
-            sentence.append((own.sentence + sentences).astype(np.int32))
-            text.append(own.text + docs)
-            docs, sentences = docs + len(edge) - 1, sentences + len(own.begin)
-        self.feature, self.sentence, self.text = np.concatenate(feature), np.concatenate(sentence), np.concatenate(text)
-
-
-def fit(block: Block, label: np.ndarray, weight: np.ndarray, least: float = 22.0, rounds: int = 300) -> Model:
-    """Noisy-or logistic regression over the features that speak for toxic texts.
-
-    weight: what a text counts. ``least``: likelihood ratio statistic that a
-    feature must reach to be kept.
+def _label_counts(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """In how many texts of each label every feature stands, summed as far as memory holds them."""
+    held: list[tuple] = []
+    rows = 0
+
+    def emit() -> pa.RecordBatch:
+        f, pos, neg = (np.concatenate(x) for x in zip(*held))
+        own, back = np.unique(f, return_inverse=True)
+        return pa.RecordBatch.from_arrays([pa.array(own.astype(np.int64)), *(pa.array(np.bincount(back, weights=x, minlength=len(own)).astype(np.int64)) for x in (pos, neg))], ["feature", "pos", "neg"])
+
+    for block in blocks(batches):
+        s, label = Sentences(block), block.column("label").astype(np.int64)
+        text = s.text[s.sentence]
+        order = np.lexsort((text, s.feature))
+        f, d = s.feature[order], text[order]
+        new = np.ones(len(f), bool)
+        new[1:] = (f[1:] != f[:-1]) | (d[1:] != d[:-1])
+        held.append((f[new], label[d[new]], 1 - label[d[new]]))
+        rows += int(new.sum())
+        if rows > 500_000:
+            yield emit()
+            held, rows = [], 0
+    if held:
+        yield emit()
+
+
+def fit(sentence: np.ndarray, slot: np.ndarray, text: np.ndarray, label: np.ndarray, weight: np.ndarray, n_features: int, rounds: int = 300) -> tuple[np.ndarray, float, float]:
+    """Weights, bias and leak of the noisy-or of logistic sentences, by gradient steps on the documents' likelihood.
+
+    Sentence ``sentence[i]`` holds feature ``slot[i]``; text: that of each sentence;
+    label and weight: of each text, its label and what it counts.
     """
-    share = float((label * weight).sum() / weight.sum()) if len(label) else 0.0
-    if share in (0.0, 1.0):
-        return Model(np.zeros(0, np.uint64), np.zeros(0), 0.0, share)
-    s = _Together(block)
-    owner = s.text[s.sentence].astype(np.uint32)
-    order = np.lexsort((owner, s.feature))
-    f, d = s.feature[order], owner[order].astype(np.int64)
-    new = np.ones(len(f), bool)
-    new[1:] = (f[1:] != f[:-1]) | (d[1:] != d[:-1])
-    f, d = f[new], d[new]
-    at = np.flatnonzero(np.concatenate(([True], f[1:] != f[:-1])))
-    pos = np.add.reduceat(label[d].astype(float), at)
-    neg = np.add.reduceat(1.0 - label[d], at)
-    rate = label.mean()
-    n = pos + neg
-    g = 2 * (pos * np.log(np.maximum(pos, 1e-9) / (n * rate)) + neg * np.log(np.maximum(neg, 1e-9) / (n * (1 - rate))))
-    kept = f[at][(g >= least) & (pos / n > rate)]
-    if not len(kept):
-        return Model(kept, np.zeros(0), 0.0, share)
-    slot = np.minimum(np.searchsorted(kept, s.feature), len(kept) - 1)
-    hit = np.flatnonzero(kept[slot] == s.feature)
-    used, sentence = np.unique(s.sentence[hit], return_inverse=True)
-    slot, text = slot[hit], s.text[used]
-    x = np.concatenate((np.full(len(kept), 0.5), [-1.0, -4.0]))
+    x = np.concatenate((np.full(n_features, 0.5), [-1.0, -4.0]))
     m, v = np.zeros_like(x), np.zeros_like(x)
     for t in range(1, rounds + 1):
-        p = 1 / (1 + np.exp(-(np.bincount(sentence, weights=x[slot], minlength=len(used)) + x[-2])))
+        p = 1 / (1 + np.exp(-(np.bincount(sentence, weights=x[slot], minlength=len(text)) + x[-2])))
         leak = 1 / (1 + np.exp(-x[-1]))
         clean = np.bincount(text, weights=np.log1p(-np.minimum(p, 1 - 1e-12)), minlength=len(label)) + np.log1p(-leak)
         bag = np.clip(-np.expm1(clean), 1e-9, None)
         pull = weight * np.where(label > 0, (1 - bag).clip(0) / bag, -1.0)
         up = pull[text] * p
-        grad = np.concatenate((np.bincount(slot, weights=up[sentence], minlength=len(kept)), [up.sum(), (pull * leak).sum()])) / weight.sum()
+        grad = np.concatenate((np.bincount(slot, weights=up[sentence], minlength=n_features), [up.sum(), (pull * leak).sum()])) / weight.sum()
         grad[:-2] -= 2e-4 * x[:-2]
         m, v = 0.9 * m + 0.1 * grad, 0.999 * v + 0.001 * grad**2
         x += 0.05 * (m / (1 - 0.9**t)) / (np.sqrt(v / (1 - 0.999**t)) + 1e-8)
-    return Model(kept, x[:-2], float(x[-2]), float(1 / (1 + np.exp(-x[-1]))))
+    return x[:-2], float(x[-2]), float(1 / (1 + np.exp(-x[-1])))
+
 
+def _hits(kept: np.ndarray):
+    """Of each text, by row of the sample: its label and, packed, which of its sentences holds which kept feature."""
 
-def train(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", text_col: str = "text", label_col: str = "toxic", sample: int = 1500, longest: int = 32_768) -> Model:
-    """Fit on a bounded sample; labels: id_col and label_col, 0 or 1, only of rows to learn from."""
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for block in blocks(batches):
+            s = Sentences(block)
+            slot = np.minimum(np.searchsorted(kept, s.feature), len(kept) - 1)
+            hit = np.flatnonzero(kept[slot] == s.feature)
+            slot, sentence = slot[hit].astype(np.int32), s.sentence[hit]
+            of = s.text[sentence]
+            order = np.argsort(of, kind="stable")
+            cuts = np.searchsorted(of[order], np.arange(len(block) + 1)).tolist()
+            packed = [[x[order[a:b]].astype(np.int32).tobytes() for a, b in zip(cuts, cuts[1:])] for x in (sentence, slot)]
+            yield pa.RecordBatch.from_arrays([block.rows.column("id"), block.rows.column("label"), *(pa.array(x, pa.binary()) for x in packed)], ["id", "label", "sentences", "slots"])
+
+    return run
+
+
+def train(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", text_col: str = "text", label_col: str = "toxic", sample: int = 1500, least: float = 22.0) -> Model:
+    """Fit on a bounded sample; labels: id_col and label_col, 0 or 1, only of rows to learn from.
+
+    ``least``: likelihood ratio statistic that a feature must reach to be kept.
+    """
     known = labels.select(F.col(id_col).cast("long").alias("id"), F.col(label_col).cast("int").alias("label")).where("id is not null and label in (0, 1)")
     total = {r["label"]: r["n"] for r in known.groupBy("label").agg(F.count("*").alias("n")).collect()}
+    none = Model(np.zeros(0, np.uint64), np.zeros(0), 0.0, total.get(1, 0) / max(1, sum(total.values())))
     pick = None
     for label in (0, 1):
         own = known.where(F.col("label") == label).orderBy(F.xxhash64("id"), "id").limit(sample)
         pick = own if pick is None else pick.union(own)
     # At most 2 * sample rows of two numbers.
-    texts = documents(docs, text_col, id=F.col(id_col).cast("long")).join(F.broadcast(pick), "id").where(F.length("body") <= longest)
-    got = texts.orderBy(F.xxhash64("id"), "id").limit(2 * sample).toArrow().combine_chunks()
-    if not got.num_rows:
-        return Model(np.zeros(0, np.uint64), np.zeros(0), 0.0, total.get(1, 0) / max(1, sum(total.values())))
-    block = next(blocks(iter(got.to_batches()), 1 << 40))
-    label = block.column("label").astype(np.int64)
-    seen = np.bincount(label, minlength=2)
-    weight = np.array([total.get(k, 0) / max(1, seen[k]) for k in (0, 1)])[label]
-    return fit(block, label, weight)
+    texts = materialize(documents(docs, text_col, id=F.col(id_col).cast("long")).join(F.broadcast(pick), "id"))
+    seen = np.zeros(2, np.int64)
+    for r in texts.groupBy("label").agg(F.count("*").alias("n")).collect():
+        seen[r["label"]] = r["n"]
+    if not seen.all():
+        return none
+    n, rate = F.col("pos") + F.col("neg"), float(seen[1] / seen.sum())
+    part = lambda c, of: F.when(F.col(c) > 0, F.col(c) * F.log(F.col(c) / (n * of))).otherwise(0.0)
+    counts = texts.mapInArrow(_label_counts, "feature long, pos long, neg long").groupBy("feature").agg(F.sum("pos").alias("pos"), F.sum("neg").alias("neg"))
+    speaks = counts.where((2 * (part("pos", rate) + part("neg", 1 - rate)) >= least) & (F.col("pos") > rate * n))
+    kept = np.sort(speaks.select("feature").toArrow().column(0).to_numpy().astype(np.uint64))
+    if not len(kept):
+        return none
+    # A repeated id is a row of its own, so rows are numbered as they come, in an order that the sample fixes.
+    got = texts.mapInArrow(_hits(kept), "id long, label int, sentences binary, slots binary").orderBy("id", "label", "sentences", "slots").toArrow()
+    label = got.column("label").to_numpy().astype(np.int64)
+    sentence, slot = ([np.frombuffer(x, np.int32) for x in got.column(c).to_pylist()] for c in ("sentences", "slots"))
+    row = np.repeat(np.arange(len(label)), [len(x) for x in sentence])
+    used, at = np.unique(np.stack((row, np.concatenate(sentence))), axis=1, return_inverse=True)
+    weight = np.array([total[k] / seen[k] for k in (0, 1)])[label]
+    return Model(kept, *fit(at.ravel(), np.concatenate(slot), used[0], label, weight, len(kept)))
 
 
 _SENTENCES = pa.list_(pa.struct([("start", pa.int64()), ("end", pa.int64()), ("score", pa.float64())]))
@@ -194,7 +220,9 @@ def score(docs: DataFrame, model: Model, id_col: str = "doc_id", text_col: str =
 
 
 def reject(docs: DataFrame, model: Model, text_col: str = "text", threshold: float = 0.5) -> DataFrame:
-    """``docs`` without the rows whose text scores ``threshold`` or more."""
+    """``docs`` without the rows whose text scores ``threshold`` or more; all of them if the model has learned no feature."""
+    if not len(model.features):
+        return docs
     share = docs.sparkSession.sparkContext.broadcast(model)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
