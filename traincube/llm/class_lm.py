@@ -292,11 +292,11 @@ def fit(texts: DataFrame, counts: DataFrame, clustered: int = 1200, frequent: in
     if classes + SHAPES + 1 > UNKNOWN:
         raise ValueError("a class is stored in one byte")
     total = counts.agg(F.coalesce(F.sum("n"), F.lit(0)), F.count("*")).first()
-    head = counts.where(F.col("word") != int(END)).orderBy(F.desc("n"), "word").limit(frequent).collect()
-    words, n = (np.array([r[c] for r in head], np.int64) for c in ("word", "n"))
+    head = counts.where(F.col("word") != int(END)).orderBy(F.desc("n"), "word").limit(frequent).toArrow()
+    words, n = (head.column(c).to_numpy() for c in ("word", "n"))
     top = np.sort(words[:clustered])
-    pairs = bigrams(texts, top).collect()
-    code, count = np.array([r["code"] for r in pairs], np.int64), np.array([r["n"] for r in pairs], np.int64)
+    pairs = bigrams(texts, top).toArrow()
+    code, count = (pairs.column(c).to_numpy() for c in ("code", "n"))
     size, fixed = len(top) + SHAPES + 1, SHAPES + 1
     before, after = code // size, code % size
     place = np.concatenate((lookup(words[: len(top)], top), []))
@@ -312,8 +312,8 @@ def fit(texts: DataFrame, counts: DataFrame, clustered: int = 1200, frequent: in
     ends = counts.where(F.col("word") == int(END)).select("word", "n", F.lit(k - 1).cast("short").alias("label"))
     known = texts.sparkSession.createDataFrame([(int(w), int(x), int(c)) for w, x, c in zip(words[: len(top)], n, label)], "word long, n long, label short")
     labels = materialize(others.unionByName(known).unionByName(ends))
-    near = labels.where(F.col("word") != int(END)).orderBy(F.desc("n"), "word").limit(frequent).unionByName(ends).toPandas().sort_values("word")
-    return ClassModel(labels, *(near[c].to_numpy(np.int64) for c in ("word", "n", "label")), k, total[0], total[1])
+    near = labels.where(F.col("word") != int(END)).orderBy(F.desc("n"), "word").limit(frequent).unionByName(ends).toArrow().sort_by("word")
+    return ClassModel(labels, *(near.column(c).to_numpy().astype(np.int64) for c in ("word", "n", "label")), k, total[0], total[1])
 
 
 _PARTS = "place long, id long, held_out boolean, word long, i int, label short, labels binary, far binary, n_known long, seen double"

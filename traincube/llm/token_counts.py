@@ -117,22 +117,46 @@ class PrefixCounter:
                 begin = k
         return total
 
-    def count(self, text: str) -> int:
-        segments = self.segments(text)
+    def learn(self, s: str) -> int:
+        """Token count of a segment that is not known yet, kept if it is short."""
+        n = self.segment(s)
+        if len(s) <= _LONG:
+            if len(self.ends) >= _MOST_SEGMENTS:
+                self.ends.clear()
+            self.ends[s] = n
+        return n
+
+    def counts(self, segments: list[str]) -> list[int]:
+        """Token counts of segments."""
         get = self.ends.get
-        counts = [get(s) for s in segments]
-        if None in counts:
-            for k, n in enumerate(counts):
+        out = [get(s) for s in segments]
+        if None in out:
+            for k, n in enumerate(out):
                 if n is None:
-                    s = segments[k]
-                    counts[k] = n = get(s)
-                    if n is None:
-                        counts[k] = n = self.segment(s)
-                        if len(s) <= _LONG:
-                            if len(self.ends) >= _MOST_SEGMENTS:
-                                self.ends.clear()
-                            self.ends[s] = n
-        return sum(counts)
+                    n = get(segments[k])
+                    out[k] = self.learn(segments[k]) if n is None else n
+        return out
+
+    def count(self, text: str) -> int:
+        return sum(self.counts(self.segments(text)))
+
+    def within(self, text: str, limit: int) -> tuple[int, int]:
+        """Tokens of the text, and code points of its longest prefix of at most ``limit`` tokens.
+
+        Counts at the ends of segments are counts of prefixes and never fall, so only the
+        segment in which the limit is passed needs its own prefixes.
+        """
+        segments = self.segments(text)
+        counts = self.counts(segments)
+        total = sum(counts)
+        if total <= limit:
+            return total, len(text)
+        ends = np.cumsum(counts)
+        k = int(np.searchsorted(ends, limit, "right"))
+        before = int(ends[k - 1]) if k else 0
+        own = np.array(self.program(segments[k]))
+        # The model's own leading mark is not a character of the text.
+        return total, max(0, sum(map(len, segments[:k])) + int(np.flatnonzero(before + own <= limit)[-1]) - 1)
 
     def prefixes(self, text: str) -> np.ndarray:
         """Token counts of all prefixes of the text by code points, from the empty one on."""
@@ -156,16 +180,19 @@ def counter(path: str) -> PrefixCounter:
     return _counters[path]
 
 
-def token_counts(docs: DataFrame, path: str, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """id, n_bytes and n_tokens of each whole text; ``path`` is the model file on every executor."""
+def token_counts(docs: DataFrame, path: str, id_col: str = "doc_id", text_col: str = "text", limit: int = 4096) -> DataFrame:
+    """id, n_bytes and n_tokens of each whole text, and ``fits``, the code points of its longest prefix of at most ``limit`` tokens.
+
+    ``path`` is the model file on every executor.
+    """
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         own = counter(path)
         for block in blocks(batches):
-            n = [own.count(b.decode("utf-8", "replace")) for b in block.bodies()]
-            yield pa.RecordBatch.from_arrays([block.rows.column("id"), pa.array(np.diff(block.edge)), pa.array(n, pa.int64())], ["id", "n_bytes", "n_tokens"])
+            n, fits = zip(*(own.within(b.decode("utf-8", "replace"), limit) for b in block.bodies()))
+            yield pa.RecordBatch.from_arrays([block.rows.column("id"), pa.array(np.diff(block.edge)), pa.array(n, pa.int64()), pa.array(fits, pa.int64())], ["id", "n_bytes", "n_tokens", "fits"])
 
-    return documents(docs, text_col, id=F.col(id_col).cast("long")).mapInArrow(run, "id long, n_bytes long, n_tokens long")
+    return documents(docs, text_col, id=F.col(id_col).cast("long")).mapInArrow(run, "id long, n_bytes long, n_tokens long, fits long")
 
 
 def prefix_counts(docs: DataFrame, path: str, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
