@@ -33,6 +33,8 @@ from traincube.llm.words import Words, blocks, documents
 
 LENGTH = 13
 SEED = 5
+#: Bits of an anchor that travel. Windows are compared by 96 bits, so equal anchors of different words only cost work.
+_ANCHOR = np.uint64((1 << 48) - 1)
 _NO_ID = np.iinfo(np.int64).max
 _PIECE = 16 << 20
 
@@ -63,11 +65,20 @@ def anchors(words: Words, length: int, seed: int) -> tuple[np.ndarray, np.ndarra
     return grams, chosen, (grams == _sliding(padded, wide, False)) & (grams > 0)
 
 
+def _planes(x: np.ndarray) -> bytes:
+    """Numbers byte by byte, all first bytes and so on: bytes that are all zero, or sorted, then take next to nothing on the way."""
+    return x.view(np.uint8).reshape(-1, x.itemsize).T.tobytes()
+
+
+def _from_planes(raw: bytes, kind) -> np.ndarray:
+    return np.ascontiguousarray(np.frombuffer(raw, np.uint8).reshape(np.dtype(kind).itemsize, -1).T).view(kind).ravel()
+
+
 class _Pack:
     """Entries (hash, more of the hash, document) of a few megabytes of text, sent out by bucket."""
 
-    def __init__(self, buckets: int, settle: Callable):
-        self.buckets, self.settle = buckets, settle
+    def __init__(self, buckets: int, settle: Callable, with_ids: bool):
+        self.buckets, self.settle, self.with_ids = buckets, settle, with_ids
         self.clear()
 
     def clear(self):
@@ -102,7 +113,8 @@ class _Pack:
                     if len(part):
                         own, local = np.unique(doc[part], return_inverse=True)
                         narrow = np.uint16 if len(own) <= 1 << 16 else np.uint32
-                        row = [int(key[part[0]]), settled, hashes[part].tobytes(), more[part].tobytes(), local.astype(narrow).tobytes(), places[own].tobytes(), ids[own].tobytes()]
+                        known = ids[own].tobytes() if self.with_ids and not settled else b""
+                        row = [int(key[part[0]]), settled, _planes(hashes[part]), _planes(more[part]), local.astype(narrow).tobytes(), places[own].tobytes(), known]
                         yield pa.RecordBatch.from_arrays([pa.array([v], t) for v, t in zip(row, (pa.int64(), pa.bool_(), *[pa.binary()] * 5))], [c.split()[0] for c in _PACKED.split(", ")])
         self.clear()
 
@@ -139,9 +151,10 @@ def _meet(settle: Callable):
         for groups, ask in ((parts, True), (settled, False)):
             if not groups:
                 continue
-            h, m = (np.concatenate([np.frombuffer(x[c], t) for x in groups]) for c, t in (("hashes", np.uint64), ("more", np.uint32)))
+            h, m = (np.concatenate([_from_planes(x[c], t) for x in groups]) for c, t in (("hashes", np.uint64), ("more", np.uint32)))
             local = [np.frombuffer(x["docs"], np.uint16 if 4 * len(x["docs"]) == len(x["hashes"]) else np.uint32) for x in groups]
-            place, ids = (np.concatenate([np.frombuffer(x[c], np.int64)[d] for x, d in zip(groups, local)]) for c in ("places", "ids"))
+            place = np.concatenate([np.frombuffer(x["places"], np.int64)[d] for x, d in zip(groups, local)])
+            ids = np.concatenate([np.frombuffer(x["ids"], np.int64)[d] for x, d in zip(groups, local) if x["ids"]] or [place])
             if ask:
                 order = np.lexsort((place, m, h))
                 h, m, place, ids = h[order], m[order], place[order], ids[order]
@@ -211,22 +224,22 @@ def repeats(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", len
     rows = documents(docs, text_col, id=F.coalesce(F.col(id_col).cast("long"), F.lit(int(_NO_ID)))).select("id", F.xxhash64("id", "body").alias("place"), "body")
 
     def seeds_of(batches):
-        pack = _Pack(buckets, _shared)
+        pack = _Pack(buckets, _shared, False)
         for block in blocks(batches):
             words = Words(block)
             grams, _, begins = anchors(words, length, seed)
             at = np.flatnonzero(begins)
-            pack.add(block, grams[at], np.zeros(len(at), np.uint32), np.searchsorted(words.edge, at, "right") - 1)
+            pack.add(block, grams[at] & _ANCHOR, np.zeros(len(at), np.uint32), np.searchsorted(words.edge, at, "right") - 1)
             if pack.bytes >= _PIECE:
                 yield from pack.rows()
         yield from pack.rows()
 
     def windows_of(batches):
-        pack = _Pack(buckets, _later)
+        pack = _Pack(buckets, _later, True)
         for block in blocks(batches):
             words = Words(block)
             _, chosen, _ = anchors(words, length, seed)
-            at = np.flatnonzero(_among(chosen, _hit_set(block)))
+            at = np.flatnonzero((chosen > 0) & _among(chosen & _ANCHOR, _hit_set(block)))
             h = words.grams(length)[0][at]
             m = (words.grams(length, 1)[0][at] >> np.uint64(32)).astype(np.uint32)
             pack.add(block, h, m, np.searchsorted(words.edge, at, "right") - 1)
