@@ -48,7 +48,7 @@ LEAST_AGREEMENT = 0.56
 #: Sets of at most this size also meet by a prefix of their ordered shingles.
 SMALL = 10
 #: Rows of a chunk where signatures are compared, and where full sets are.
-CHUNKS = (2048, 256)
+CHUNKS = (512, 256)
 
 _KEYS = seeds(2, 21)
 _FACTORS = (seeds(PERMUTATIONS, 22) >> np.uint64(32)).astype(np.uint32) | np.uint32(1)
