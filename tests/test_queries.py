@@ -1,13 +1,14 @@
 """Every query with SQL gives the rows that the SQL gives; the others run."""
 
 import duckdb
+import numpy as np
 import pandas as pd
 import pytest
 
 from traincube.plans import relational, registry, streams, workloads  # noqa: F401
 
 TABLES = "region nation customer supplier part orders lineitem events documents embeddings pages benchmark labels conversations".split()
-SLOW = {"q_kernel_sweep", "q_levels_ratio", "q_order_ablation", "q_segment_length_sweep", "q_timestep_sweep"}
+SLOW = {"q_kernel_sweep", "q_levels_ratio", "q_order_ablation", "q_segment_length_sweep", "q_timestep_sweep", "q_measured_errors"}
 
 
 @pytest.fixture(scope="module")
@@ -41,8 +42,31 @@ def test_runs(spark, sf, name):
 def test_filters_and_columns_reach_the_scan(spark, sf):
     plan = relational.triaxial_grid(spark, sf)._jdf.queryExecution().executedPlan().toString()
     assert "l_orderkey" not in plan and "l_shipdate" in plan
-    plan = registry.QUERIES["q_order_ablation"]
-    assert plan is not None
+    plan = relational.front_mask(spark, sf)._jdf.queryExecution().executedPlan().toString()
+    assert "event_type" not in plan and "user_id" in plan
+
+
+def test_measured_errors_keep_the_bounds(spark, sf):
+    rows = registry.QUERIES["q_measured_errors"](spark, sf).collect()
+    assert len(rows) == 10 and all(r["bounded"] and 0 < r["max_nrmse"] <= 0.1 for r in rows)
+
+
+def test_baselines_against_numpy(spark, sf):
+    """Numbers kept and errors of SVD and Tucker of one variable, from numpy alone."""
+    cells = workloads.grids.triaxial_cells(spark, sf, *workloads.FULL).toPandas()
+    x = np.zeros((2, workloads.FULL[1], 64, 6))
+    for k in range(6):
+        x[cells["status"], cells["step"], cells["rve"], k] = cells[f"s{k}"]
+    span = x.max() - x.min()
+    got = {r["tau"]: r for r in registry.QUERIES["q_baseline_svd"](spark, sf).where("variable = 'incremental_stress'").collect()}
+    m = x.reshape(2 * workloads.FULL[1], -1, order="F")
+    u, sigma, v = np.linalg.svd(m, full_matrices=False)
+    for tau in workloads.TAUS:
+        r = next(r for r in range(1, len(sigma) + 1) if np.linalg.norm(sigma[r:]) <= tau * span * np.sqrt(x.size))
+        off = np.linalg.norm(m - (u[:, :r] * sigma[:r]) @ v[:r]) / np.sqrt(x.size) / span
+        assert got[tau]["ratio"] == pytest.approx(x.size / (r * sum(m.shape))) and got[tau]["nrmse"] == pytest.approx(off, rel=1e-6)
+    tucker = registry.QUERIES["q_baseline_tucker"](spark, sf).collect()
+    assert all(r["nrmse"] <= r["tau"] * (1 + 1e-9) for r in tucker)
 
 
 def test_entry(spark):

@@ -6,7 +6,7 @@ are 1. Arrays are flat and column-major.
 
 from __future__ import annotations
 
-from math import prod, sqrt
+from math import sqrt
 
 import numpy as np
 
@@ -104,11 +104,24 @@ def expand(cores: Train) -> np.ndarray:
 
 
 def entries(cores: Train, index: np.ndarray) -> np.ndarray:
-    """Entries at rows of 0-based digits [point, mode]."""
-    v = np.ones((len(index), 1))
-    for k, c in enumerate(cores):
-        v = np.einsum("pa,apb->pb", v, c[:, index[:, k], :])
-    return v[:, 0]
+    """Entries at rows of 0-based digits [point, mode], some thousands at a time.
+
+    Points are taken mode by mode in order of their digit, so that each index of a core is one product of matrices.
+    """
+    out = np.empty(len(index))
+    for first in range(0, len(index), 16_384):
+        part = index[first : first + 16_384]
+        v = np.ones((len(part), 1))
+        for k, c in enumerate(cores):
+            now = np.empty((len(part), c.shape[2]))
+            order = np.argsort(part[:, k], kind="stable")
+            cuts = np.searchsorted(part[order, k], np.arange(c.shape[1] + 1))
+            for i in np.flatnonzero(np.diff(cuts)):
+                at = order[cuts[i] : cuts[i + 1]]
+                now[at] = v[at] @ c[:, i, :]
+            v = now
+        out[first : first + len(part)] = v[:, 0]
+    return out
 
 
 def dot(a: Train, b: Train) -> float:
@@ -229,7 +242,3 @@ def ranks(a: Train) -> list[int]:
 
 def numel(a: Train) -> int:
     return sum(c.size for c in a)
-
-
-def dense_numel(a: Train) -> int:
-    return prod(c.shape[1] for c in a)

@@ -104,3 +104,10 @@ def ratio_ceiling(modes: list[int]) -> float:
 def train_numel(modes: list[int], ranks: list[int]) -> int:
     """Numbers in all cores; ranks include the two ones at the ends."""
     return sum(a * n * b for a, n, b in zip(ranks, modes, ranks[1:]))
+
+
+def cost_model(modes: list[int], rank: int) -> dict[str, float]:
+    """Numbers kept and operations, to leading order, with all ranks the same: the whole array, its train, rounding, and the largest factorization."""
+    n, d, widest = prod(modes), len(modes), max(modes)
+    first = max(min(rank * m, n // m) ** 2 * max(rank * m, n // m) for m in modes)
+    return {"dense": n, "train": d * widest * rank**2, "rounding": d * widest * rank**3, "factorization": float(first)}

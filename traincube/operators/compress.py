@@ -2,15 +2,19 @@
 
 from __future__ import annotations
 
+from math import prod
+
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
+from traincube.functions import kernels as K
 from traincube.functions.budget import Budget
 from traincube.functions.ordering import hilbert_array, morton_array, unit_array
 from traincube.functions.shapes import modes_for_particles
-from traincube.operators.trains import ARROW, SCHEMA, compressed, table
+from traincube.operators import panels
+from traincube.operators.trains import ARROW, SCHEMA, compressed, pack, table, unpack
 from traincube.sources.grids import COMPONENTS, ParticleSet, level_box
 
 #: An array and its working copies must fit a task.
@@ -18,6 +22,57 @@ MOST_CELLS = 1 << 28
 BITS = 10
 
 
+def running_sums(own: DataFrame, first: int = 0, base: DataFrame | None = None) -> DataFrame:
+    """Totals of each entity up to the end of each segment in which it has cells (seg, entity, c1, c2, c3), added in the order of segments.
+
+    base: totals (entity, c1, c2, c3) before the first segment, which stand as those of the one before it.
+    """
+    sums = own.groupBy("seg", "entity").agg(*(F.sum(c).alias(c) for c in COMPONENTS))
+    if base is not None:
+        sums = sums.unionByName(base.select(F.lit(first - 1).cast("long").alias("seg"), F.col("entity").cast("int").alias("entity"), *COMPONENTS))
+    w = Window.partitionBy("entity").orderBy("seg").rowsBetween(Window.unboundedPreceding, 0)
+    return sums.select("seg", "entity", *(F.sum(c).over(w).alias(c) for c in COMPONENTS))
+
+
+def sparse(cells: DataFrame, shape: ParticleSet, only: tuple[int, int] | None = None, base: DataFrame | None = None) -> DataFrame:
+    """What each segment's task needs of sparse cells (step, entity, c1, c2, c3) of rates: (seg, at, entity, c1, c2, c3).
+
+    at is the step in the segment, -1 for totals before the segment, and -2 for a row that
+    every segment has. only: first segment, and the one after the last; base: totals
+    (entity, c1, c2, c3) before the first one, if cells hold nothing earlier.
+    """
+    span, first, last = shape.segment, *(only or (0, shape.segments))
+    seg = F.floor(F.col("step") / span).cast("long")
+    own = cells.select(seg.alias("seg"), F.pmod(F.col("step"), F.lit(span)).cast("int").alias("at"), F.col("entity").cast("int").alias("entity"), *COMPONENTS)
+    w = Window.partitionBy("entity").orderBy("seg")
+    # Totals up to a segment's end are the totals before every later one until the entity moves again.
+    totals = running_sums(own, first, base).select("entity", (F.col("seg") + 1).alias("first"), F.coalesce(F.lead("seg").over(w), F.lit(shape.segments - 1)).alias("last"), *COMPONENTS)
+    totals = totals.withColumns({"first": F.greatest("first", F.lit(first)), "last": F.least("last", F.lit(last - 1))})
+    before = totals.where("first <= last").select(F.explode(F.sequence("first", "last")).alias("seg"), F.lit(-1).alias("at"), "entity", *COMPONENTS)
+    every = cells.sparkSession.range(first, last).select(F.col("id").alias("seg"), F.lit(-2).alias("at"), F.lit(0).alias("entity"), *(F.lit(0.0).alias(c) for c in COMPONENTS))
+    return own.where(F.col("seg").between(first, last - 1)).unionByName(before).unionByName(every)
+
+
+def dense(t: pa.Table, shape: ParticleSet) -> tuple[np.ndarray, np.ndarray, int]:
+    """Levels and rates [step, entity, component] of a segment by entity, and how many of its steps are not padding."""
+    s = t.column("seg")[0].as_py()
+    at, entity = t.column("at").to_numpy(), t.column("entity").to_numpy()
+    value = np.stack([t.column(c).to_numpy() for c in COMPONENTS], -1)
+    rates = np.zeros((shape.segment, shape.entities, len(COMPONENTS)))
+    inside, base = at >= 0, at == -1
+    rates[at[inside], entity[inside]] = value[inside]
+    levels = np.cumsum(rates, 0)
+    levels[:, entity[base]] += value[base]
+    used = min(shape.segment, shape.steps - s * shape.segment)
+    levels[used:], rates[used:] = levels[used - 1], rates[used - 1]
+    return levels, rates, used
+
+
+def placed(x: np.ndarray, place: np.ndarray | None) -> np.ndarray:
+    """Entities in the order of each step."""
+    return x if place is None else np.take_along_axis(x, np.broadcast_to(place, x.shape[:2])[:, :, None], 1)
+
+
 def segments(
     cells: DataFrame,
     shape: ParticleSet,
@@ -27,74 +82,79 @@ def segments(
     box: tuple[list[float], list[float]] | None = None,
     variables: tuple[str, ...] = ("position", "velocity"),
     only: tuple[int, int] | None = None,
+    base: DataFrame | None = None,
+    keep_order: bool = False,
+    max_rank: int | None = None,
 ) -> DataFrame:
-    """Trains of all segments from sparse cells (step, entity, c1, c2, c3) of rates.
+    """Trains of all segments from sparse cells (step, entity, c1, c2, c3) of rates; see sparse() for only and base.
 
     A segment's task gets its cells and, for each entity with earlier rows, one row
     of totals before the segment; dense arrays exist in that task only. Steps after
-    the last and entities after the last repeat the last ones. only: first segment,
-    and the one after the last, to compress.
+    the last and entities after the last repeat the last ones. keep_order: the first
+    variable's rows also have ``places``, the entity at each place, for each step of the
+    segment, or once if all steps have the same order; see orders().
     """
     span, n_entities, padded = shape.segment, shape.entities, shape.padded
     if span * padded * len(COMPONENTS) > MOST_CELLS:
         raise ValueError(f"a segment of {span} x {padded} x {len(COMPONENTS)} cells does not fit a task; take fewer steps, or operators.panels")
     low, high = box or level_box(cells)
-    seg = F.floor(F.col("step") / span).cast("long")
-    own = cells.select(seg.alias("seg"), F.pmod(F.col("step"), F.lit(span)).cast("int").alias("at"), F.col("entity").cast("int").alias("entity"), *COMPONENTS)
-    sums = own.groupBy("seg", "entity").agg(*(F.sum(c).alias(c) for c in COMPONENTS))
-    # Totals up to a segment's end are the totals before every later one until the entity moves again.
-    w = Window.partitionBy("entity").orderBy("seg")
-    totals = sums.select("entity", (F.col("seg") + 1).alias("first"), F.coalesce(F.lead("seg").over(w), F.lit(shape.segments - 1)).alias("last"), *(F.sum(c).over(w.rowsBetween(Window.unboundedPreceding, 0)).alias(c) for c in COMPONENTS))
-    before = totals.where("first <= last").select(F.explode(F.sequence("first", "last")).alias("seg"), F.lit(-1).alias("at"), "entity", *COMPONENTS)
-    # Every segment has a row, so that empty ones are not lost.
-    all_ = cells.sparkSession.range(shape.segments).select(F.col("id").alias("seg"), F.lit(-2).alias("at"), F.lit(0).alias("entity"), *(F.lit(0.0).alias(c) for c in COMPONENTS))
     modes = modes_for_particles(span, padded, len(COMPONENTS)) if tensorize else [span, padded, len(COMPONENTS)]
-    order, steps = shape.order, shape.steps
+    order = shape.order
+    schema = ARROW.append(_PLACES) if keep_order else ARROW
 
     def run(t):
         s = t.column("seg")[0].as_py()
-        at, entity = t.column("at").to_numpy(), t.column("entity").to_numpy()
-        value = np.stack([t.column(c).to_numpy() for c in COMPONENTS], -1)
-        rates = np.zeros((span, n_entities, len(COMPONENTS)))
-        inside, base = at >= 0, at == -1
-        rates[at[inside], entity[inside]] = value[inside]
-        levels = np.cumsum(rates, 0)
-        levels[:, entity[base]] += value[base]
-        used = min(span, steps - s * span)
-        levels[used:], rates[used:] = levels[used - 1], rates[used - 1]
+        levels, rates, used = dense(t, shape)
         place = _order(levels, order, low, high)
         out = []
         for name, x in (("position", levels), ("velocity", rates)):
             if name in variables:
-                x = np.take_along_axis(x, place[:, :, None], 1) if place is not None else x
+                x = placed(x, place)
                 full = np.concatenate((x, np.repeat(x[:, -1:], padded - n_entities, 1)), 1)
-                out.append(compressed(full.ravel(order="F"), modes, budget, share, x[:used].ravel(), variable=name, level=0, seg=s, steps=span))
-        return table(out)
+                row = compressed(full.ravel(order="F"), modes, budget, share, x[:used].ravel(), max_rank, variable=name, level=0, seg=s, steps=span)
+                out.append(row | ({"places": None if out or place is None else list(place.astype(np.int32))} if keep_order else {}))
+        return pa.Table.from_pylist(out, schema)
+
+    return sparse(cells, shape, only, base).groupBy("seg").applyInArrow(run, SCHEMA + (", places array<array<int>>" if keep_order else ""))
+
 
-    rows = own.unionByName(before).unionByName(all_)
-    if only is not None:
-        rows = rows.where((F.col("seg") >= only[0]) & (F.col("seg") < only[1]))
-    return rows.groupBy("seg").applyInArrow(run, SCHEMA)
+_PLACES = pa.field("places", pa.list_(pa.list_(pa.int32())))
+
+
+def orders(trains: DataFrame) -> DataFrame:
+    """seg and places of trains that were made with keep_order; a stored table reads these columns only."""
+    return trains.where("places is not null").select("seg", "places")
+
+
+def restore_identity(cells: DataFrame, orders: DataFrame, segment: int) -> DataFrame:
+    """Cells (step, place, ...) of ordered trains with the entity at each place: an equi-join with the order table."""
+    rank = orders.select("seg", F.posexplode("places").alias("_at", "own"), F.size("places").alias("_n"))
+    rank = rank.select("seg", F.when(F.col("_n") == 1, F.lit(-1)).otherwise(F.col("_at")).alias("_at"), F.posexplode("own").alias("place", "entity"))
+    at = F.pmod(F.col("step"), F.lit(segment)).cast("int")
+    seg = F.floor(F.col("step") / segment).cast("long")
+    each_step = rank.where("_at < 0").isEmpty()
+    own = cells.withColumns({"_seg": seg, "_at": at if each_step else F.lit(-1)})
+    return own.join(rank.withColumnRenamed("seg", "_seg"), ["_seg", "_at", "place"]).drop("_seg", "_at", "place")
 
 
 def _order(levels: np.ndarray, order: str, low: list[float], high: list[float]) -> np.ndarray | None:
-    """Entity at each place, for each step; ties by entity."""
+    """Entity at each place, for each step or, in one row, for all; ties by entity."""
     if order == "none":
         return None
     key = hilbert_array if order.startswith("hilbert") else morton_array
     if order.endswith("every"):
         return np.argsort(key(unit_array(levels, low, high, BITS), BITS), axis=1, kind="stable")
-    first = np.argsort(key(unit_array(levels[0], low, high, BITS), BITS), kind="stable")
-    return np.broadcast_to(first, levels.shape[:2])
+    return np.argsort(key(unit_array(levels[0], low, high, BITS), BITS), kind="stable")[None]
 
 
-def arrays(cells: DataFrame, build, key: str = "variable") -> DataFrame:
-    """One train for each key; build turns the key and its cells into train rows (see trains.compressed)."""
+def arrays(cells: DataFrame, build, *keys: str) -> DataFrame:
+    """Trains for each combination of keys, "variable" by default; build turns these and their cells into train rows (see trains.compressed)."""
+    keys = keys or ("variable",)
 
     def run(t):
-        return table(build(t.column(key)[0].as_py(), t))
+        return table(build(*(t.column(k)[0].as_py() for k in keys), t))
 
-    return cells.groupBy(key).applyInArrow(run, SCHEMA)
+    return cells.groupBy(*keys).applyInArrow(run, SCHEMA)
 
 
 def per_row(jobs: DataFrame, build) -> DataFrame:
@@ -108,4 +168,23 @@ def per_row(jobs: DataFrame, build) -> DataFrame:
     return jobs.mapInArrow(run, SCHEMA)
 
 
-__all__ = ["BITS", "arrays", "per_row", "segments"]
+def factorized(cells: DataFrame, modes: list[int], tau: float, memory: int, inside: int | None = None) -> tuple[K.Train, float]:
+    """The train of one array of cells (idx, val) and its squared error, in one task if the array and its copies fit ``memory`` bytes, else by panels."""
+    if strategy(prod(modes), memory) == "task":
+
+        def run(t):
+            x = np.zeros(prod(modes))
+            np.add.at(x, t.column("idx").to_numpy(), t.column("val").to_numpy())
+            cores, lost = K.decompose(x, modes, tau)
+            return table([pack(cores, variable="", level=0, seg=0, err_abs=lost)])
+
+        row = cells.select(F.lit(0).alias("_one"), "idx", F.col("val").cast("double").alias("val")).groupBy("_one").applyInArrow(run, SCHEMA).collect()
+        return (unpack(row[0].asDict(True)), row[0]["err_abs"]) if row else K.decompose(np.zeros(prod(modes)), modes, tau)
+    # As many leading modes as one panel holds in a task.
+    fit = next(k for k in range(len(modes) - 1, 0, -1) if k == 1 or strategy(prod(modes[:k]), memory) == "task")
+    return panels.decompose(cells, modes, tau, inside or fit)
+
+
+def strategy(cells: int, memory: int, copies: int = 6) -> str:
+    """Where an array is factorized: in one task if it and its working copies fit, else by panels."""
+    return "task" if 8 * cells * copies <= memory else "panels"

@@ -5,12 +5,13 @@ from __future__ import annotations
 from math import sqrt
 
 import numpy as np
+import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from traincube.functions import kernels as K
 from traincube.functions.budget import Budget
-from traincube.operators.trains import SCHEMA, pack, table, unpack
+from traincube.operators.trains import ARROW, SCHEMA, pack, table, unpack
 from traincube.sources.scratch import stored
 
 
@@ -56,6 +57,32 @@ def merge_tree(trains: DataFrame, fanin: tuple[int, ...], budget: Budget, how: s
     return out
 
 
-def restored(row: dict) -> np.ndarray:
-    """All entries of a stacked or plain train, flat."""
-    return K.expand(unpack(row))
+def parts(trains: DataFrame, fanin: tuple[int, ...], span: int, how: str = "stack") -> DataFrame:
+    """Trains of a tree cut into its segments of level 0: variable, level, seg, part (the segment) and cores.
+
+    Cutting fixes the modes that stacking added, or takes a range of the joined one; nothing is expanded.
+    """
+
+    def run(batches):
+        for x in batches:
+            out = []
+            for r in x.to_pylist():
+                cores, level = unpack(r), r["level"]
+                if how == "stack":
+                    sizes = [c.shape[1] for c in cores[len(cores) - level :]]
+                    for digits in np.ndindex(*sizes):
+                        part = r["seg"]
+                        for f, d in zip(reversed(fanin[:level]), reversed(digits)):
+                            part = part * f + d
+                        at = {len(cores) - level + k: d for k, d in enumerate(digits)}
+                        out.append((r, part, K.fix(cores, at) if at else cores))
+                else:
+                    first = r["seg"] * int(np.prod(fanin[:level], dtype=int))
+                    for k in range(cores[0].shape[1] // span):
+                        out.append((r, first + k, [cores[0][:, k * span : (k + 1) * span], *cores[1:]]))
+            yield pa.RecordBatch.from_pylist([{"variable": r["variable"], "level": r["level"], "seg": r["seg"], "part": p, "cores": pack(c)["cores"]} for r, p, c in out], _PARTS)
+
+    return trains.mapInArrow(run, "variable string, level int, seg long, part long, cores array<struct<k: int, r_left: int, n: int, r_right: int, core: array<double>>>")
+
+
+_PARTS = pa.schema([ARROW.field(c) if c != "part" else pa.field("part", pa.int64()) for c in ("variable", "level", "seg", "part", "cores")])

@@ -1,10 +1,16 @@
-"""Trains as rows: one row holds a whole train, its statistics and its error bound."""
+"""Trains as rows: one row holds a whole train, its statistics and its error bound.
+
+``vmin``, ``vmax`` and ``fro2`` (the squared norm) are those of the array that was
+compressed, over the ``n_original`` entries that are not padding for the first two.
+After arithmetic the array is not at hand: ``fro2`` is then that of the train itself, the
+range is null unless it follows, and ``err_abs`` bounds the distance to the same
+arithmetic on the arrays. ``err_measured`` is null where no array was there to measure against.
+"""
 
 from collections.abc import Callable
 from math import prod, sqrt
 
 import numpy as np
-import pandas as pd
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
@@ -14,11 +20,11 @@ from traincube.functions import kernels as K
 _CORE = pa.struct([("k", pa.int32()), ("r_left", pa.int32()), ("n", pa.int32()), ("r_right", pa.int32()), ("core", pa.list_(pa.float64()))])
 ARROW = pa.schema([
     ("variable", pa.string()), ("level", pa.int32()), ("seg", pa.int64()), ("modes", pa.list_(pa.int32())), ("ranks", pa.list_(pa.int32())), ("cores", pa.list_(_CORE)),
-    ("n", pa.int64()), ("n_original", pa.int64()), ("vmin", pa.float64()), ("vmax", pa.float64()), ("fro2", pa.float64()), ("err_abs", pa.float64()), ("steps", pa.int32()),
+    ("n", pa.int64()), ("n_original", pa.int64()), ("vmin", pa.float64()), ("vmax", pa.float64()), ("fro2", pa.float64()), ("err_abs", pa.float64()), ("steps", pa.int32()), ("err_measured", pa.float64()),
 ])
 SCHEMA = (
     "variable string, level int, seg long, modes array<int>, ranks array<int>, cores array<struct<k: int, r_left: int, n: int, r_right: int, core: array<double>>>, "
-    "n long, n_original long, vmin double, vmax double, fro2 double, err_abs double, steps int"
+    "n long, n_original long, vmin double, vmax double, fro2 double, err_abs double, steps int, err_measured double"
 )
 
 
@@ -36,41 +42,100 @@ def table(rows: list[dict]) -> pa.Table:
     return pa.Table.from_pylist(rows, ARROW)
 
 
-def compressed(x: np.ndarray, modes: list[int], budget, share: float = 1.0, original: np.ndarray | None = None, **row) -> dict:
-    """The row of an array's train within ``share`` of a budget; original: the entries that are not padding."""
+def compressed(x: np.ndarray, modes: list[int], budget, share: float = 1.0, original: np.ndarray | None = None, max_rank: int | None = None, measure: bool = False, **row) -> dict:
+    """The row of an array's train within ``share`` of a budget; original: the entries that are not padding.
+
+    With max_rank the error may pass the budget; ``err_abs`` says by how much. measure: expand the train and measure its error.
+    """
     own = x if original is None else original
     vmin, vmax, norm = float(own.min()), float(own.max()), float(np.linalg.norm(x))
     allowed = budget.absolute(own.size, vmin, vmax, float(np.linalg.norm(own))) * share
-    cores, lost = K.decompose(x, modes, allowed / norm if norm else 0.0)
-    return pack(cores, n=x.size, n_original=own.size, vmin=vmin, vmax=vmax, fro2=norm**2, err_abs=sqrt(lost), **row)
+    cores, lost = K.decompose(x, modes, allowed / norm if norm else 0.0, max_rank)
+    measured = float(np.linalg.norm(K.expand(cores) - x)) if measure else None
+    return pack(cores, n=x.size, n_original=own.size, vmin=vmin, vmax=vmax, fro2=norm**2, err_abs=sqrt(lost), err_measured=measured, **row)
+
+
+def restated(row: dict, cores: K.Train, err: float, span: tuple[float, float] | None = None) -> dict:
+    """The row of a train that arithmetic made from that of ``row``, with statistics of its own."""
+    n = prod(c.shape[1] for c in cores)
+    whole = row["n_original"] == row["n"]
+    original = n if whole else row["n_original"] if n == row["n"] else None
+    low, high = span or (None, None)
+    return pack(cores, variable=row["variable"], level=row["level"], seg=row["seg"], steps=row["steps"], n=n, n_original=original, vmin=low, vmax=high, fro2=K.dot(cores, cores), err_abs=err)
+
+
+Changed = K.Train | tuple[K.Train, float]
+
 
+def _parted(out: Changed) -> tuple[K.Train, float]:
+    return out if isinstance(out, tuple) else (out, 0.0)
 
-def map_trains(trains: DataFrame, change: Callable[[K.Train], K.Train]) -> DataFrame:
-    """A function of each train by itself."""
+
+def map_trains(trains: DataFrame, change: Callable[[K.Train], Changed], gain: float | Callable[[list[int]], float] = 1.0, span: Callable[[float, float], tuple[float, float]] | None = None) -> DataFrame:
+    """A function of each train by itself.
+
+    change returns a train, or a train and the squared error that rounding made. gain: how
+    many times it can enlarge the norm of an error, or that by the modes. span: least and
+    greatest entry after it, where these follow from those before.
+    """
 
     def run(batches):
         for x in batches:
-            yield pa.RecordBatch.from_pylist([r | {k: v for k, v in pack(change(unpack(r))).items() if k != "n"} for r in x.to_pylist()], ARROW)
+            rows = []
+            for r in x.to_pylist():
+                cores, lost = _parted(change(unpack(r)))
+                by = gain(r["modes"]) if callable(gain) else gain
+                rows.append(restated(r, cores, by * r["err_abs"] + sqrt(lost), span(r["vmin"], r["vmax"]) if span and r["vmin"] is not None else None))
+            yield pa.RecordBatch.from_pylist(rows, ARROW)
 
     return trains.mapInArrow(run, SCHEMA)
 
 
-def pair_trains(a: DataFrame, b: DataFrame, combine: Callable[[K.Train, K.Train], K.Train]) -> DataFrame:
-    """A function of two trains of the same variable and segment."""
-    other = b.select("variable", "seg", F.col("cores").alias("cores_b"))
-    schema = ARROW.append(pa.field("cores_b", pa.list_(_CORE)))
+def scaled(trains: DataFrame, c: float) -> DataFrame:
+    return map_trains(trains, lambda t: K.scale(t, c), abs(c), lambda a, b: (min(a * c, b * c), max(a * c, b * c)))
+
+
+def rounded(trains: DataFrame, tau: float) -> DataFrame:
+    """Smaller ranks at a relative error of tau on top of what is there."""
+    return map_trains(trains, lambda t: K.recompress(t, tau))
+
+
+def contracted(trains: DataFrame, weights: dict[int, np.ndarray]) -> DataFrame:
+    """Weighted sums over some modes, which disappear; an error grows by the norms of the weights at most."""
+    gain = prod(float(np.linalg.norm(w)) for w in weights.values())
+    return map_trains(trains, lambda t: K.contract(t, weights), gain)
+
+
+def _sum_bound(a: dict, b: dict) -> float:
+    return a["err_abs"] + b["err_abs"]
+
+
+def product_bound(a: dict, b: dict) -> float:
+    """Entries are at most the norm, so each error grows by the other factor's norm at most."""
+    return (sqrt(a["fro2"]) + a["err_abs"]) * b["err_abs"] + (sqrt(b["fro2"]) + b["err_abs"]) * a["err_abs"]
+
+
+def pair_trains(a: DataFrame, b: DataFrame, combine: Callable[[K.Train, K.Train], Changed], bound: Callable[[dict, dict], float] = _sum_bound) -> DataFrame:
+    """A function of two trains of the same variable and segment; bound: of the errors' effect, from both rows."""
+    other = b.select("variable", "seg", F.struct("cores", "fro2", "err_abs").alias("other"))
 
     def run(batches):
         for x in batches:
             rows = []
-            for r in pa.Table.from_batches([x]).select(schema.names).to_pylist():
-                cores = combine(unpack(r), unpack({"cores": r.pop("cores_b")}))
-                rows.append(r | {k: v for k, v in pack(cores).items() if k != "n"})
+            for r in x.to_pylist():
+                second = r.pop("other")
+                cores, lost = _parted(combine(unpack(r), unpack(second)))
+                rows.append(restated(r, cores, bound(r, second) + sqrt(lost)))
             yield pa.RecordBatch.from_pylist(rows, ARROW)
 
     return a.join(other, ["variable", "seg"]).mapInArrow(run, SCHEMA)
 
 
+def product(a: DataFrame, b: DataFrame, tau: float) -> DataFrame:
+    """Entry by entry, rounded, as ranks multiply."""
+    return pair_trains(a, b, lambda x, y: K.recompress(K.hadamard(x, y), tau), product_bound)
+
+
 def pair_numbers(a: DataFrame, b: DataFrame, measure: Callable[[K.Train, K.Train], float]) -> DataFrame:
     """variable, seg and a number of two trains: inner product, distance."""
     other = b.select("variable", "seg", F.col("cores").alias("cores_b"))
@@ -114,33 +179,36 @@ def expand(trains: DataFrame, most: int = 1 << 20) -> DataFrame:
     return small.mapInArrow(cells, "variable string, seg long, idx long, val double")
 
 
-def read_entries(trains: DataFrame, points: DataFrame) -> DataFrame:
-    """points (variable, seg, idx, ...) with val; the points of a train stay spread over tasks."""
-    own = trains.select("variable", "seg", "cores")
+def read_entries(trains: DataFrame, points: DataFrame, deals: int = 8) -> DataFrame:
+    """points (variable, seg, idx, ...) with val.
+
+    A train and its points meet in one task, where all entries are contracted together.
+    The points of a train are dealt over ``deals`` tasks, and the train, which is small, goes to each.
+    """
+    keys = ["variable", "seg", "_deal"]
+    own = trains.select("variable", "seg", F.explode(F.sequence(F.lit(0), F.lit(deals - 1))).alias("_deal"), "cores")
+    dealt = points.withColumn("_deal", F.pmod(F.xxhash64("idx"), F.lit(deals)).cast("int"))
+    names = points.columns
 
-    @F.pandas_udf("double")
-    def entry(cores: pd.Series, idx: pd.Series) -> pd.Series:
-        out = np.empty(len(idx))
-        seen: dict = {}
-        for k, (c, i) in enumerate(zip(cores, idx)):
-            key = id(c)
-            if key not in seen:
-                seen[key] = (c, unpack({"cores": c}))
-            t, d = seen[key][1], []
-            for core in t:
-                i, rest = divmod(int(i), core.shape[1])
-                d.append(rest)
-            out[k] = K.entries(t, np.array([d]))[0]
-        return pd.Series(out)
+    def read(some: pa.Table, train: pa.Table) -> pa.Table:
+        if not train.num_rows:
+            return some.select(names).slice(0, 0).append_column("val", pa.array([], pa.float64()))
+        cores = unpack(train.select(["cores"]).to_pylist()[0])
+        rest, digits = some.column("idx").to_numpy(), []
+        for c in cores:
+            rest, d = np.divmod(rest, c.shape[1])
+            digits.append(d)
+        return some.select(names).append_column("val", pa.array(K.entries(cores, np.stack(digits, 1))))
 
-    return points.join(own, ["variable", "seg"]).withColumn("val", entry("cores", "idx")).drop("cores")
+    schema = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in points.schema) + ", val double"
+    return dealt.groupBy(*keys).cogroup(own.groupBy(*keys)).applyInArrow(read, schema)
 
 
 def numel(trains: DataFrame) -> DataFrame:
-    """trains with ``numel``, the numbers in all cores, and the error bound as NRMSE and relative error."""
+    """trains with ``numel``, the numbers in all cores, and the error bound as NRMSE (null where the range is unknown) and relative error."""
     size = F.aggregate("cores", F.lit(0).cast("long"), lambda s, c: s + c["r_left"].cast("long") * c["n"] * c["r_right"])
     span = F.col("vmax") - F.col("vmin")
-    return trains.withColumn("numel", size).withColumn("nrmse", F.when(span > 0, F.col("err_abs") / (F.sqrt("n_original") * span)).when(F.col("err_abs") == 0, 0.0)).withColumn("rel_fro", F.when(F.col("fro2") > 0, F.col("err_abs") / F.sqrt("fro2")).otherwise(0.0))
+    return trains.withColumn("numel", size).withColumn("nrmse", F.when(span > 0, F.col("err_abs") / (F.sqrt("n_original") * span)).when((span == 0) & (F.col("err_abs") == 0), 0.0)).withColumn("rel_fro", F.when(F.col("fro2") > 0, F.col("err_abs") / F.sqrt("fro2")).otherwise(0.0))
 
 
 def valid(trains: DataFrame) -> DataFrame:

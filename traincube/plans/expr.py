@@ -10,6 +10,7 @@ from __future__ import annotations
 
 from collections.abc import Callable
 from dataclasses import dataclass, field, replace
+from math import prod
 
 import numpy as np
 from pyspark.sql import DataFrame
@@ -21,6 +22,10 @@ from traincube.operators import trains
 Reduction = dict[int, "int | list[float] | None"]
 
 
+def _weights(how: Reduction, modes: list[int]) -> dict[int, np.ndarray]:
+    return {k: np.ones(modes[k]) if w is None else np.eye(modes[k])[w] if isinstance(w, int) else np.asarray(w, float) for k, w in how.items()}
+
+
 @dataclass(frozen=True)
 class Combination:
     """Sum of coefficient times trains, each reduced the same way, then rounded if a tolerance is given."""
@@ -76,26 +81,32 @@ class Combination:
 
         def change(cores: K.Train) -> K.Train:
             for how in reduced:
-                weights = {}
-                for k, w in how.items():
-                    n = cores[k].shape[1]
-                    weights[k] = np.ones(n) if w is None else np.eye(n)[w] if isinstance(w, int) else np.asarray(w, float)
-                cores = K.contract(cores, weights)
+                cores = K.contract(cores, _weights(how, [c.shape[1] for c in cores]))
             return cores
 
         return change
 
+    def _gain(self, c: float) -> Callable[[list[int]], float]:
+        """How many times scaling and reductions can enlarge the norm of an error."""
+        reduced = self.reduced
+
+        def gain(modes: list[int]) -> float:
+            out, left = abs(c), list(modes)
+            for how in reduced:
+                out *= prod(float(np.linalg.norm(w)) for w in _weights(how, left).values())
+                left = [n for k, n in enumerate(left) if k not in how] or [1]
+            return out
+
+        return gain
+
     def frame(self) -> DataFrame:
-        """Trains; statistics and error bounds stay those of the first term."""
+        """Trains, with statistics and error bounds of the result."""
         own, change = self.optimized(), self._change()
-        c, first = own.terms[0]
-        out = trains.map_trains(first, lambda t: K.scale(change(t), c))
+        part = lambda c, t: trains.map_trains(t, lambda x: K.scale(change(x), c), own._gain(c))
+        out = part(*own.terms[0])
         for c, t in own.terms[1:]:
-            out = trains.pair_trains(out, t, lambda a, b, c=c: K.add(a, K.scale(change(b), c)))
-        if own.tau is not None:
-            tau = own.tau
-            out = trains.map_trains(out, lambda t: K.recompress(t, tau)[0])
-        return out
+            out = trains.pair_trains(out, part(c, t), K.add)
+        return out if own.tau is None else trains.rounded(out, own.tau)
 
 
 @dataclass(frozen=True)
@@ -117,8 +128,3 @@ class Cells:
 
 def of(frame: DataFrame) -> Combination:
     return Combination(((1.0, frame),))
-
-
-def strategy(cells: int, memory: int, copies: int = 6) -> str:
-    """Where an array is factorized: in one task if it and its working copies fit, else by panels."""
-    return "task" if 8 * cells * copies <= memory else "panels"

@@ -25,15 +25,15 @@ def query(name: str, sql: str | None = None):
 
 #: Shared heads of the SQL texts.
 VEHICLE = """
-WITH cells AS (
+WITH cells AS MATERIALIZED (
   SELECT date_diff('microsecond', TIMESTAMP '2024-01-01', ts) // 1800000000 AS step, user_id AS entity,
          sum(value) AS c1, sum(CAST(json_extract_string(props, '$.k') AS DOUBLE)) AS c2, CAST(count(*) AS DOUBLE) AS c3
   FROM events GROUP BY ALL),
 users AS (SELECT unnest(range(m + 1)) AS entity FROM (SELECT max(user_id) AS m FROM events)),
-rates AS (
+rates AS MATERIALIZED (
   SELECT s.step, u.entity, coalesce(c1, 0.0) AS c1, coalesce(c2, 0.0) AS c2, coalesce(c3, 0.0) AS c3
   FROM (SELECT unnest(range(1440)) AS step) s CROSS JOIN users u LEFT JOIN cells c ON c.step = s.step AND c.entity = u.entity),
-levels AS (
+levels AS MATERIALIZED (
   SELECT step, entity, round(sum(c1) OVER w, 4) AS c1, round(sum(c2) OVER w, 4) AS c2, round(sum(c3) OVER w, 4) AS c3
   FROM rates WINDOW w AS (PARTITION BY entity ORDER BY step ROWS UNBOUNDED PRECEDING)),
 box AS (SELECT min(c1) a1, max(c1) b1, min(c2) a2, max(c2) b2, min(c3) a3, max(c3) b3 FROM levels),

@@ -87,6 +87,19 @@ def front_mask(spark, sf_dir, front: float = 0.25):
     return cube.join(rates, ["step", "entity"]).select("step", "entity", "masked", F.round(F.when(F.col("masked"), 0.0).otherwise(F.col("c1")), 4).alias("v1"))
 
 
+@query("q_vehicle_roster_renewal", VEHICLE + """cap AS (SELECT round(max(c1) / 4, 4) AS cap FROM levels),
+laps AS (SELECT step, entity, c1, CAST(floor(c1 / cap) AS BIGINT) AS lap FROM levels, cap)
+SELECT step, entity, lap, round(c1 - CASE WHEN lap = 0 THEN 0.0 ELSE first_value(c1) OVER (PARTITION BY entity, lap ORDER BY step) END, 4) AS c1 FROM laps""")
+def roster_renewal(spark, sf_dir, laps: int = 4):
+    """An entity that has covered another quarter of the longest way leaves and enters again: its totals begin at 0 there, as a new one's do."""
+    levels = vehicle_levels(spark, sf_dir).select("step", "entity", "c1")
+    cap = levels.agg(F.round(F.max("c1") / laps, 4).alias("cap"))
+    numbered = levels.crossJoin(F.broadcast(cap)).withColumn("lap", F.floor(F.col("c1") / F.col("cap")))
+    w = Window.partitionBy("entity", "lap").orderBy("step")
+    start = F.when(F.col("lap") == 0, 0.0).otherwise(F.first("c1").over(w))
+    return numbered.select("step", "entity", "lap", F.round(F.col("c1") - start, 4).alias("c1"))
+
+
 def pad(df: DataFrame, axis: str, last: int, target: int) -> DataFrame:
     """Rows of the last place on an axis repeated up to the target."""
     extra = df.where(F.col(axis) == last).withColumn(axis, F.explode(F.sequence(F.lit(last + 1), F.lit(target - 1)))) if target > last + 1 else df.limit(0)
@@ -295,7 +308,13 @@ def ratio_formula(spark, sf_dir):
     return t.select(text("m").alias("modes"), text("r").alias("ranks"), numel.alias("numel"), F.round(n / numel, 6).alias("ratio"), F.round(n / total, 6).alias("ceiling"))
 
 
-_TRI = """WITH cells AS (
+def triaxial_sql(days: int, steps: int) -> str:
+    return _TRI.replace("3369600000000", str(days * 86_400_000_000)).replace("BETWEEN 0 AND 52 *", f"BETWEEN 0 AND {steps} *")
+
+
+#: Days in a step and steps of the triaxial set: every row of the tables.
+FULL = (1, 2560)
+_TRI = """WITH cells AS MATERIALIZED (
   SELECT CAST(l_linestatus = 'O' AS INTEGER) AS status, CAST(date_diff('microsecond', TIMESTAMP '1995-01-02', l_shipdate) // 3369600000000 AS INTEGER) AS step, CAST(l_partkey % 64 AS INTEGER) AS rve,
          sum(l_quantity) AS s0, sum(l_extendedprice) AS s1, sum(l_discount) AS s2, sum(l_tax) AS s3, CAST(count(*) AS DOUBLE) AS s4, sum(l_quantity * l_discount) AS s5
   FROM lineitem WHERE date_diff('microsecond', TIMESTAMP '1995-01-02', l_shipdate) BETWEEN 0 AND 52 * 3369600000000 - 1 GROUP BY ALL)"""
@@ -317,9 +336,9 @@ def _sql_sums(head: str, axes: str) -> str:
     return head + " " + " UNION ALL ".join(f"SELECT {axes}, {k} AS component, round(s{k}, 4) AS val FROM cells" for k in range(6))
 
 
-@query("q_triaxial_grid", _sql_sums(_TRI, "status, step, rve"))
+@query("q_triaxial_grid", _sql_sums(triaxial_sql(*FULL), "status, step, rve"))
 def triaxial_grid(spark, sf_dir):
-    return _long_sums(grids.triaxial_cells(spark, sf_dir, 39, 52), "status", "step", "rve")
+    return _long_sums(grids.triaxial_cells(spark, sf_dir, *FULL), "status", "step", "rve")
 
 
 @query("q_wheel_grid", _sql_sums(_WHEEL, "patch, step, x, y, z, g1, g2, g3"))

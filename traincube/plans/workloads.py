@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+from dataclasses import replace
 from math import prod, sqrt
 
 import numpy as np
@@ -12,11 +13,12 @@ from pyspark.sql import functions as F
 from traincube.functions import kernels as K
 from traincube.functions import shapes
 from traincube.functions.budget import Budget
-from traincube.operators import baselines, compress, measures, merge, panels, trains
+from traincube.operators import baselines, compare, compress, measures, merge, panels, trains
 from traincube.plans.registry import VEHICLE, query
-from traincube.plans.relational import triaxial_series
+from traincube.plans.relational import FULL, triaxial_series, triaxial_sql
+from traincube.plans.relational import _WHEEL as WHEEL_SQL
 from traincube.sources import grids
-from traincube.sources.scratch import stored
+from traincube.sources.scratch import bytes_of, stored
 
 TENTH = Budget("nrmse", 0.1)
 
@@ -35,55 +37,153 @@ def level0(spark: SparkSession, sf_dir: str, which: str, budget: Budget = TENTH,
     return kind, compress.segments(cells, kind, budget, tensorize, share)
 
 
+def with_orders(spark: SparkSession, sf_dir: str, which: str, tensorize: bool = True, share: float = 1.0, **shape) -> tuple[grids.ParticleSet, DataFrame, DataFrame, DataFrame | None]:
+    """The set, its stored cells, its stored trains of level 0, and the order table that goes with them."""
+    kind, cells = getattr(grids, which)(spark, sf_dir, **shape)
+    cells = stored(cells)
+    t = stored(compress.segments(cells, kind, TENTH, tensorize, share, keep_order=True))
+    return kind, cells, t.drop("places"), compress.orders(t) if kind.order != "none" else None
+
+
+def _share(which: str) -> float:
+    """The part of the target that level 0 may take, so that each level has as much."""
+    return 1.0 / (1 + {"vehicle": 4, "sediment": 5}[which])
+
+
 def tree(spark: SparkSession, sf_dir: str, which: str, **shape) -> DataFrame:
-    fanin = {"vehicle": 4, "sediment": 5}[which]
-    kind, first = level0(spark, sf_dir, which, share=1.0 / (1 + fanin), **shape)
+    kind, first = level0(spark, sf_dir, which, share=_share(which), **shape)
     return trains.numel(merge.merge_tree(first, kind.fanin, TENTH))
 
 
-_VEH_N = "(SELECT max(user_id) + 1 FROM events)"
-_SED_N = "(SELECT CAST(pow(2, least(14, floor(log2(max(p_partkey) + 1)))) AS BIGINT) FROM part)"
+def measured_tree(spark: SparkSession, sf_dir: str, which: str, **shape) -> tuple[DataFrame, DataFrame]:
+    """All levels of a tree, and their errors measured against the cells."""
+    kind, cells, first, places = with_orders(spark, sf_dir, which, share=_share(which), **shape)
+    levels = merge.merge_tree(first, kind.fanin, TENTH)
+    return trains.numel(levels), compare.measured(levels, cells, kind, places)
+
+
+_SEDIMENT = """
+WITH cells AS MATERIALIZED (
+  SELECT date_diff('microsecond', TIMESTAMP '1995-01-02', l_shipdate) // 86400000000 AS step, l_partkey AS entity,
+         sum(l_quantity) AS c1, sum(l_extendedprice) AS c2, CAST(count(*) AS DOUBLE) AS c3
+  FROM lineitem GROUP BY ALL),
+rates AS MATERIALIZED (
+  SELECT s.step, u.entity, coalesce(c1, 0.0) AS c1, coalesce(c2, 0.0) AS c2, coalesce(c3, 0.0) AS c3
+  FROM (SELECT unnest(range(2560)) AS step) s CROSS JOIN (SELECT unnest(range(m + 1)) AS entity FROM (SELECT max(p_partkey) AS m FROM part)) u LEFT JOIN cells c ON c.step = s.step AND c.entity = u.entity),
+levels AS MATERIALIZED (
+  SELECT step, entity, sum(c1) OVER w AS c1, sum(c2) OVER w AS c2, sum(c3) OVER w AS c3
+  FROM rates WINDOW w AS (PARTITION BY entity ORDER BY step ROWS UNBOUNDED PRECEDING)),
+"""
 
 
-#: The sediment set that the SQL of q_sediment_level0 and q_sediment_levels describes.
-_SED_SQL = {"steps": 1024, "fanin": (2, 2, 2, 2, 2), "power": True}
+def _stats_sql(head: str, segment: int, by: str) -> str:
+    """Statistics of both variables from the cells, by segment or of the whole."""
+    least, most, square = "least(min(c1), min(c2), min(c3))", "greatest(max(c1), max(c2), max(c3))", "sum(c1 * c1 + c2 * c2 + c3 * c3)"
+    one = "SELECT '{0}' AS variable" + (f", step // {segment} AS seg" if by else "") + f", CAST(3 * count(*) AS BIGINT) AS n, round({least}, 4) + 0.0 AS vmin, round({most}, 4) + 0.0 AS vmax, round(sqrt({square}), 1) AS fro FROM {{1}} GROUP BY ALL"
+    return head + f"z AS ({one.format('position', 'levels')} UNION ALL {one.format('velocity', 'rates')}) "
 
 
-def _level0_sql(steps: int, segment: int, n: str) -> str:
-    return f"SELECT variable, seg, CAST({segment} * {n} * 3 AS BIGINT) AS n, true AS within_tol FROM (SELECT unnest(['position', 'velocity']) AS variable), (SELECT unnest(range({steps // segment})) AS seg)"
+def _level0_sql(head: str, segment: int) -> str:
+    return _stats_sql(head, segment, "seg") + "SELECT *, true AS within_tol FROM z"
 
 
-def _levels_sql(steps: int, segment: int, fanin: tuple[int, ...], n: str) -> str:
+def _levels_sql(head: str, steps: int, segment: int, fanin: tuple[int, ...], fro: str = ", fro") -> str:
     rows, s = [], segment
     for k, f in enumerate((1, *fanin)):
         s *= f
         rows.append(f"SELECT {k} AS level, {s} AS steps, {steps // s} AS segments")
-    return f"SELECT variable, CAST(level AS INTEGER) AS level, CAST(steps AS INTEGER) AS steps, CAST(segments AS BIGINT) AS segments, CAST({steps} * {n} * 3 AS BIGINT) AS n, true AS within_tol FROM (SELECT unnest(['position', 'velocity']) AS variable), ({' UNION ALL '.join(rows)})"
+    return _stats_sql(head, segment, "") + f"SELECT variable, CAST(level AS INTEGER) AS level, CAST(steps AS INTEGER) AS steps, CAST(segments AS BIGINT) AS segments, n, vmin, vmax{fro}, true AS within_tol FROM z, ({' UNION ALL '.join(rows)})"
 
 
-@query("q_vehicle_level0", _level0_sql(1440, 16, _VEH_N))
+def _rounded_stats(*extra):
+    return "n", (F.round("vmin", 4) + 0.0).alias("vmin"), (F.round("vmax", 4) + 0.0).alias("vmax"), F.round("fro", 1).alias("fro"), *extra
+
+
+def _met(budget: Budget = TENTH):
+    """Whether the measured error keeps the target."""
+    return (F.col("nrmse" if budget.kind == "nrmse" else "rel_fro") <= budget.tau * (1 + 1e-9)).alias("within_tol")
+
+
+def _level0(spark, sf_dir, which):
+    kind, cells, first, places = with_orders(spark, sf_dir, which)
+    return compare.measured(first, cells, kind, places).select("variable", "seg", *_rounded_stats(_met()))
+
+
+@query("q_vehicle_level0", _level0_sql(VEHICLE, 16))
 def vehicle_level0(spark, sf_dir):
-    return level0(spark, sf_dir, "vehicle")[1].select("variable", "seg", F.col("n_original").alias("n"), _within(TENTH))
+    return _level0(spark, sf_dir, "vehicle")
 
 
-@query("q_sediment_level0", _level0_sql(1024, 32, _SED_N))
+@query("q_sediment_level0", _level0_sql(_SEDIMENT, 32))
 def sediment_level0(spark, sf_dir):
-    return level0(spark, sf_dir, "sediment", **_SED_SQL)[1].select("variable", "seg", F.col("n_original").alias("n"), _within(TENTH))
+    return _level0(spark, sf_dir, "sediment")
 
 
-def _levels(t: DataFrame) -> DataFrame:
-    own = t.select("variable", "level", "steps", "n_original", _within(TENTH))
-    return own.groupBy("variable", "level").agg(F.max("steps").alias("steps"), F.count("*").alias("segments"), F.sum("n_original").alias("n"), F.bool_and("within_tol").alias("within_tol"))
+def _levels(spark, sf_dir, which) -> DataFrame:
+    """Each level's segments, the statistics of the cells in them, and whether every train's measured error keeps the target."""
+    t, errors = measured_tree(spark, sf_dir, which)
+    own = t.groupBy("variable", "level").agg(F.max("steps").alias("steps"), F.count("*").alias("segments"))
+    known = errors.groupBy("variable", "level").agg(F.sum("n").alias("n"), F.min("vmin").alias("vmin"), F.max("vmax").alias("vmax"), F.sqrt(F.sum(F.col("fro") * F.col("fro"))).alias("fro"), F.bool_and(_met()).alias("within_tol"))
+    return own.join(known, ["variable", "level"]).select("variable", "level", "steps", "segments", *_rounded_stats("within_tol"))
 
 
-@query("q_vehicle_levels", _levels_sql(1440, 16, (2, 3, 3, 5), _VEH_N))
+@query("q_vehicle_levels", _levels_sql(VEHICLE, 1440, 16, (2, 3, 3, 5)))
 def vehicle_levels(spark, sf_dir):
-    return _levels(tree(spark, sf_dir, "vehicle"))
+    return _levels(spark, sf_dir, "vehicle")
 
 
-@query("q_sediment_levels", _levels_sql(1024, 32, (2, 2, 2, 2, 2), _SED_N))
+@query("q_sediment_levels", _levels_sql(_SEDIMENT, 2560, 32, (2, 2, 2, 2, 5)))
 def sediment_levels(spark, sf_dir):
-    return _levels(tree(spark, sf_dir, "sediment", **_SED_SQL))
+    return _levels(spark, sf_dir, "sediment")
+
+
+VEHICLE_LEVELS_SQL = _levels_sql(VEHICLE, 1440, 16, (2, 3, 3, 5), "")
+
+
+def vehicle_tree_report(t: DataFrame) -> DataFrame:
+    """The same by the trains' own statistics and error bounds."""
+    own = t.withColumn("within_tol", _within(TENTH)).groupBy("variable", "level").agg(F.max("steps").alias("steps"), F.count("*").alias("segments"), F.sum("n_original").alias("n"), F.min("vmin").alias("vmin"), F.max("vmax").alias("vmax"), F.bool_and("within_tol").alias("within_tol"))
+    return own.withColumns({c: F.round(c, 4) + 0.0 for c in ("vmin", "vmax")})
+
+
+@query("q_measured_errors")
+def measured_errors(spark, sf_dir):
+    """By level of the vehicle tree: the worst measured error beside the worst bound that the trains carry."""
+    t, errors = measured_tree(spark, sf_dir, "vehicle")
+    both = t.select("variable", "level", "seg", F.col("nrmse").alias("bound")).join(errors, ["variable", "level", "seg"])
+    return both.groupBy("variable", "level").agg(F.max("nrmse").alias("max_nrmse"), F.max("bound").alias("max_bound"), F.max("rel_fro").alias("max_rel_fro"), F.bool_and(F.col("nrmse") <= F.col("bound") * (1 + 1e-9) + 1e-12).alias("bounded"))
+
+
+@query("q_order_cost")
+def order_cost(spark, sf_dir):
+    """Ratios of level 0 with and without the bytes of the order table, four for each entity and order."""
+    out = []
+    for order in ("every", "first"):
+        kind, _, first, places = with_orders(spark, sf_dir, "vehicle", order=order)
+        size = places.agg(F.sum(F.size("places") * F.size(F.col("places")[0]))).first()[0] * 4
+        out.append(measures.report(trains.numel(first), "vehicle", size).withColumn("order", F.lit(order)))
+    return out[0].unionByName(out[1])
+
+
+@query("q_storage_bytes")
+def storage_bytes(spark, sf_dir):
+    """Bytes of the vehicle rates: raw, as Parquet, as trains, and as Parquet of trains."""
+    kind, cells = grids.vehicle(spark, sf_dir)
+    grid = stored(grids.dense(spark, stored(cells), kind.steps, kind.entities))
+    t = stored(trains.numel(level0(spark, sf_dir, "vehicle")[1]).where("variable = 'velocity'"))
+    row = t.agg((8 * F.sum("n_original")).alias("raw"), (8 * F.sum("numel")).alias("trains"))
+    return row.select("raw", F.lit(bytes_of(grid)).alias("raw_parquet"), "trains", F.lit(bytes_of(t)).alias("trains_parquet"))
+
+
+@query("q_sediment_natural_levels")
+def natural_levels(spark, sf_dir):
+    """By level: natural segments joined along time against tensorized ones stacked on new axes."""
+    out = []
+    for tensorize, how in ((False, "concat"), (True, "stack")):
+        kind, first = level0(spark, sf_dir, "sediment", tensorize=tensorize, share=_share("sediment"))
+        t = trains.numel(merge.merge_tree(first, kind.fanin, TENTH, how))
+        out.append(t.groupBy("variable", "level").agg((F.sum("n_original") / F.sum("numel")).alias("ratio_tensorized" if tensorize else "ratio_natural"), F.max("nrmse").alias("nrmse_tensorized" if tensorize else "nrmse_natural")))
+    return out[0].join(out[1], ["variable", "level"])
 
 
 @query("q_levels_ratio")
@@ -197,18 +297,21 @@ def _triaxial_array(name: str, t: pa.Table, steps: int) -> tuple[np.ndarray, lis
     return x.ravel(order="F"), list(x.shape)
 
 
+def _each_budget(cells: DataFrame, budgets: list[Budget]) -> DataFrame:
+    """The cells once for each budget, so that these run side by side; there are no more cells than the array has."""
+    return cells.withColumn("_budget", F.explode(F.array(*map(F.lit, range(len(budgets))))))
+
+
 def triaxial_trains(spark: SparkSession, sf_dir: str, budgets: list[Budget], days: int = 39, steps: int = 52) -> DataFrame:
     """Trains of all variables and budgets; seg is the budget's place in the list."""
 
-    def build(name, t):
+    def build(name, k, t):
         x, modes = _triaxial_array(name, t, steps)
-        return [trains.compressed(x, modes, b, variable=name, level=0, seg=k, steps=steps) for k, b in enumerate(budgets)]
+        return [trains.compressed(x, modes, budgets[k], measure=True, variable=name, level=0, seg=k, steps=steps)]
 
-    return compress.arrays(triaxial_tensors(spark, sf_dir, days, steps), build)
+    return compress.arrays(_each_budget(triaxial_tensors(spark, sf_dir, days, steps), budgets), build, "variable", "_budget")
 
 
-#: Days in a step and steps of the triaxial set, where no SQL states fewer.
-FULL = (1, 2560)
 TAUS = (1e-1, 1e-2, 1e-3)
 
 
@@ -218,26 +321,49 @@ def _with_tau(t: DataFrame, budgets: list[Budget]) -> DataFrame:
 
 
 def _guaranteed(t: DataFrame, budgets: list[Budget]) -> DataFrame:
+    """Statistics of the arrays, the range relative to the norm, and whether the measured error keeps the target."""
     ok = F.when(F.lit(False), F.lit(None).cast("boolean"))
     for k, b in enumerate(budgets):
         limit = F.lit(b.tau) * ((F.col("vmax") - F.col("vmin")) * F.sqrt("n_original") if b.kind == "nrmse" else F.sqrt("fro2"))
-        ok = ok.when(F.col("seg") == k, F.col("err_abs") <= limit * (1 + 1e-9) + 1e-9)
-    return _with_tau(t, budgets).select("variable", "tau", F.col("n_original").alias("n"), ok.alias("within_tol"))
-
-
-_TRI_SQL = "SELECT variable, tau, CAST(2 * 52 * 64 * (CASE WHEN variable = 'tangent' THEN 21 ELSE 6 END) AS BIGINT) AS n, true AS within_tol FROM (SELECT unnest(['current_strain', 'current_stress', 'incremental_strain', 'incremental_stress', 'tangent']) AS variable), (SELECT unnest([1e-1, 1e-2, 1e-3]) AS tau)"
+        ok = ok.when(F.col("seg") == k, F.col("err_measured") <= limit * (1 + 1e-9) + 1e-9)
+    fro = F.sqrt("fro2")
+    stats = [(F.round(F.col("vmin") / fro, 6) + 0.0).alias("low"), (F.round(F.col("vmax") / fro, 6) + 0.0).alias("high"), F.round(F.log10(fro), 6).alias("log_fro")]
+    return _with_tau(t, budgets).select("variable", "tau", F.col("n_original").alias("n"), *stats, ok.alias("within_tol"))
+
+
+def _tensor_sql(head: str, grid: dict[str, str], time: str, pairs: list[tuple[int, int]]) -> str:
+    """SQL for n, low, high and log_fro of the five variables, from the sums s0 to s5 in ``cells``; grid: the SQL list of each axis."""
+    axes, comps = list(grid), range(6)
+    every = " CROSS JOIN ".join(f"(SELECT unnest({v}) AS {a}) AS g_{a}" for a, v in grid.items())
+    on = " AND ".join(f"c.{a} = g_{a}.{a}" for a in axes)
+    rest = ", ".join(a for a in axes if a != time)
+    sums = lambda f: ", ".join(f.format(k) for k in comps)
+    text = head + f""", g AS MATERIALIZED (SELECT {", ".join(f"g_{a}.{a}" for a in axes)}, {sums("coalesce(s{0}, 0.0) AS s{0}")} FROM {every} LEFT JOIN cells c ON {on}),
+mu AS (SELECT {sums("avg(s{0}) AS m{0}")} FROM g),
+strain AS MATERIALIZED (SELECT {", ".join(axes)}, {sums("s{0} - m{0} AS s{0}")} FROM g, mu)"""
+    for out, of in (("total", "g"), ("bent", "strain")):
+        text += f", {out} AS MATERIALIZED (SELECT {sums('sum(s{0}) OVER w AS s{0}')} FROM {of} WINDOW w AS (PARTITION BY {rest} ORDER BY {time} ROWS UNBOUNDED PRECEDING))"
+    values = {"incremental_stress": ("g", [f"s{k}" for k in comps]), "current_stress": ("total", [f"s{k}" for k in comps]), "incremental_strain": ("strain", [f"s{k}" for k in comps]), "current_strain": ("bent", [f"s{k}" for k in comps]), "tangent": ("bent", [f"s{i} * s{j}" for i, j in pairs])}
+    parts = []
+    for name, (table, cols) in values.items():
+        low, high = ("least(" + ", ".join(f"min({c})" for c in cols) + ")", "greatest(" + ", ".join(f"max({c})" for c in cols) + ")")
+        parts.append(f"SELECT '{name}' AS variable, CAST({len(cols)} * count(*) AS BIGINT) AS n, {low} AS vmin, {high} AS vmax, sqrt({' + '.join(f'sum(pow({c}, 2))' for c in cols)}) AS fro FROM {table}")
+    return text + ", stats AS (" + " UNION ALL ".join(parts) + ") SELECT variable, tau, n, round(vmin / fro, 6) + 0.0 AS low, round(vmax / fro, 6) + 0.0 AS high, round(log10(fro), 6) AS log_fro, true AS within_tol FROM stats, (SELECT unnest([1e-1, 1e-2, 1e-3]) AS tau)"
+
+
+_TRI_SQL = _tensor_sql(triaxial_sql(*FULL), {"status": "[0, 1]", "step": f"range({FULL[1]})", "rve": "range(64)"}, "step", [(i, j) for i in range(6) for j in range(i, 6)])
 
 
 @query("q_triaxial_compress_fro", _TRI_SQL)
 def triaxial_fro(spark, sf_dir):
     b = [Budget("fro", t) for t in TAUS]
-    return _guaranteed(triaxial_trains(spark, sf_dir, b), b)
+    return _guaranteed(triaxial_trains(spark, sf_dir, b, *FULL), b)
 
 
 @query("q_triaxial_compress_nrmse", _TRI_SQL)
 def triaxial_nrmse(spark, sf_dir):
     b = [Budget("nrmse", t) for t in TAUS]
-    return _guaranteed(triaxial_trains(spark, sf_dir, b), b)
+    return _guaranteed(triaxial_trains(spark, sf_dir, b, *FULL), b)
 
 
 @query("q_triaxial_fro_vs_nrmse")
@@ -263,7 +389,7 @@ def wheel_trains(spark: SparkSession, sf_dir: str, budgets: list[Budget], days:
     names = F.array(*map(F.lit, ("current_strain", "current_stress", "incremental_strain", "incremental_stress", "tangent")))
     shape = (5, steps, 10, 6, 6, 2, 2, 2, 6)
 
-    def build(name, t):
+    def build(name, budget, t):
         x = np.zeros(shape)
         at = tuple(t.column(c).to_numpy() for c in WHEEL_AXES)
         for k in range(6):
@@ -274,22 +400,21 @@ def wheel_trains(spark: SparkSession, sf_dir: str, budgets: list[Budget], days:
             x = np.cumsum(x, 1)
         if name == "tangent":
             x = (x[..., :, None] * x[..., None, :]).reshape(*shape[:-1], 36)
-        return [trains.compressed(x.ravel(order="F"), list(x.shape), b, variable=name, level=0, seg=k, steps=steps) for k, b in enumerate(budgets)]
+        return [trains.compressed(x.ravel(order="F"), list(x.shape), budgets[budget], measure=True, variable=name, level=0, seg=budget, steps=steps)]
 
-    return compress.arrays(grids.wheel_cells(spark, sf_dir, days, steps).withColumn("variable", F.explode(names)), build)
+    return compress.arrays(_each_budget(grids.wheel_cells(spark, sf_dir, days, steps).withColumn("variable", F.explode(names)), budgets), build, "variable", "_budget")
 
 
-_WHEEL_N = "5 * 43 * 10 * 6 * 6 * 8 * (CASE WHEN variable = 'tangent' THEN 36 ELSE 6 END)"
-_WHEEL_V = "(SELECT unnest(['current_strain', 'current_stress', 'incremental_strain', 'incremental_stress', 'tangent']) AS variable), (SELECT unnest([1e-1, 1e-2, 1e-3]) AS tau)"
+_WHEEL_SQL = _tensor_sql(WHEEL_SQL, {"patch": "range(5)", "step": "range(43)", "x": "range(10)", "y": "range(6)", "z": "range(6)", "g1": "range(2)", "g2": "range(2)", "g3": "range(2)"}, "step", [(i, j) for i in range(6) for j in range(6)])
 
 
-@query("q_wheel_compress", f"SELECT variable, tau, CAST({_WHEEL_N} AS BIGINT) AS n, true AS within_tol FROM {_WHEEL_V}")
+@query("q_wheel_compress", _WHEEL_SQL)
 def wheel_compress(spark, sf_dir):
     b = [Budget("nrmse", t) for t in TAUS]
     return _guaranteed(wheel_trains(spark, sf_dir, b), b)
 
 
-@query("q_wheel_overall", f"SELECT tau, CAST(sum({_WHEEL_N}) AS BIGINT) AS n_total, true AS within_tol FROM {_WHEEL_V} GROUP BY tau")
+@query("q_wheel_overall", f"SELECT tau, CAST(sum(n) AS BIGINT) AS n_total, bool_and(within_tol) AS within_tol FROM ({_WHEEL_SQL}) GROUP BY tau")
 def wheel_overall(spark, sf_dir):
     return wheel_compress(spark, sf_dir).groupBy("tau").agg(F.sum("n").alias("n_total"), F.bool_and("within_tol").alias("within_tol"))
 
@@ -346,6 +471,25 @@ def kernel_sweep(spark, sf_dir, d: int = 10, levels: tuple[int, ...] = (6, 7, 8)
     return frame.mapInArrow(run, "level int, tau double, interlaced boolean, ratio double, spectral_error double")
 
 
+@query("q_kernel_quadtree")
+def kernel_quadtree(spark, sf_dir, d: int = 10, levels: tuple[int, ...] = (6, 7, 8), tau: float = 1e-5):
+    """Pairs of digits as modes of two, and each pair merged into one mode of four; the flat index is the same."""
+    jobs = spark.createDataFrame([(lv, m) for lv in levels for m in (False, True)], "level int, merged boolean").repartition(2 * len(levels))
+
+    def run(batches):
+        for b in batches:
+            for r in b.to_pylist():
+                n, one = 1 << d, shapes.modes_for_vector(d, r["level"])
+                x = (np.arange(n) + 0.5) / n
+                m = -np.log(np.abs(x[:, None] - x[None, :]) + 1e-5)
+                t = m.reshape(one + one, order="F").transpose([v for k in range(r["level"]) for v in (k, r["level"] + k)]).ravel(order="F")
+                cores, _ = K.decompose(t, shapes.modes_for_matrix(d, r["level"], merge_pairs=r["merged"]), tau)
+                out = r | {"ratio": n * n / K.numel(cores), "rel_fro": float(np.linalg.norm(K.expand(cores) - t) / np.linalg.norm(t))}
+                yield pa.RecordBatch.from_pylist([out], pa.schema([("level", pa.int32()), ("merged", pa.bool_()), ("ratio", pa.float64()), ("rel_fro", pa.float64())]))
+
+    return jobs.mapInArrow(run, "level int, merged boolean, ratio double, rel_fro double")
+
+
 @query("q_embeddings_qtt", "SELECT tau, CAST(count(*) * 64 AS BIGINT) AS n, true AS within_tol FROM embeddings, (SELECT unnest([1e-1, 1e-2, 1e-3]) AS tau) GROUP BY tau")
 def embeddings_qtt(spark, sf_dir):
     """Isotropic vectors, in blocks of 500, as a negative control."""
@@ -356,7 +500,7 @@ def embeddings_qtt(spark, sf_dir):
         order = np.argsort(t.column("vec_id").to_numpy())
         x = np.stack([np.asarray(v.values.to_numpy(), float) for v in t.column("embedding")])[order]
         modes = [*shapes.small_primes(len(x)), *[2] * 6]
-        return [trains.compressed(x.ravel(order="F"), modes, k, variable=name, level=0, seg=i, steps=1) for i, k in enumerate(b)]
+        return [trains.compressed(x.ravel(order="F"), modes, k, measure=True, variable=name, level=0, seg=i, steps=1) for i, k in enumerate(b)]
 
     own = _guaranteed(compress.arrays(e, build), b)
     return own.groupBy("tau").agg(F.sum("n").alias("n"), F.bool_and("within_tol").alias("within_tol"))
@@ -367,7 +511,32 @@ def panel_equals_local(spark, sf_dir):
     """The distributed factorization against the local one, on the grid of the first sum."""
     modes = [2, 4, 13, 64]
     cells = grids.triaxial_cells(spark, sf_dir, 39, 52).select((F.col("status") + 2 * F.col("step") + 104 * F.col("rve")).cast("long").alias("idx"), F.col("s0").alias("val"))
-    far, _ = panels.decompose(cells, modes, 1e-3, 2)
+    return _panels_against_local(spark, cells, modes, "qr")
+
+
+@query("q_gram_equals_local", "SELECT 'incremental_stress_sum' AS variable, true AS equal")
+def gram_equals_local(spark, sf_dir):
+    """The same by sums of products instead of a tree of triangular factors."""
+    cells = grids.triaxial_cells(spark, sf_dir, 39, 52).select((F.col("status") + 2 * F.col("step") + 104 * F.col("rve")).cast("long").alias("idx"), F.col("s0").alias("val"))
+    return _panels_against_local(spark, cells, [2, 4, 13, 64], "gram")
+
+
+@query("q_unfolding_ranks", "SELECT CAST(k AS INTEGER) AS k, true AS equal FROM (SELECT unnest(range(1, 4)) AS k)")
+def unfolding_ranks(spark, sf_dir, delta: float = 0.1):
+    """The least ranks of the unfoldings of the first sum, by panels, against a local decomposition."""
+    modes = [2, 4, 13, 64]
+    cells = grids.triaxial_cells(spark, sf_dir, 39, 52).select((F.col("status") + 2 * F.col("step") + 104 * F.col("rve")).cast("long").alias("idx"), F.col("s0").alias("val"))
+    x, rows = np.zeros(prod(modes)), []
+    small = cells.toPandas()  # 6656 cells at most, for the comparison alone
+    x[small["idx"].to_numpy()] = small["val"].to_numpy()
+    for k in (1, 2, 3):
+        sigma = np.linalg.svd(x.reshape(prod(modes[:k]), -1, order="F"), compute_uv=False)
+        rows.append((k, panels.unfolding_rank(cells, modes, k, delta) == K.cut_rank(sigma, delta * float(np.linalg.norm(sigma)))))
+    return spark.createDataFrame(rows, "k int, equal boolean")
+
+
+def _panels_against_local(spark, cells: DataFrame, modes: list[int], method: str) -> DataFrame:
+    far, _ = panels.decompose(cells, modes, 1e-3, 2, method)
     x = np.zeros(prod(modes))
     small = cells.toPandas()  # 6656 cells at most, for the comparison alone
     x[small["idx"].to_numpy()] = small["val"].to_numpy()
@@ -411,7 +580,7 @@ def baseline_cp(spark, sf_dir):
 def lossless(spark: SparkSession, sf_dir: str, variables=("velocity",), tensorize: bool = True) -> tuple[grids.ParticleSet, DataFrame]:
     """Trains of the vehicle set at a tolerance of 1e-12, by entity id and without padding."""
     kind, cells = grids.vehicle(spark, sf_dir, order="none")
-    kind = grids.ParticleSet(kind.name, kind.steps, kind.segment, kind.entities, kind.entities, "none", kind.fanin)
+    kind = replace(kind, padded=kind.entities)
     return kind, stored(compress.segments(stored(cells), kind, Budget("fro", 1e-12), tensorize, variables=variables))
 
 
@@ -456,20 +625,63 @@ def tt_sub(spark, sf_dir):
 @query("q_tt_scale", _rates_sql("3 * v"))
 def tt_scale(spark, sf_dir):
     kind, t = lossless(spark, sf_dir)
-    return _cells(trains.expand(trains.map_trains(t, lambda c: K.scale(c, 3.0))), kind)
+    return _cells(trains.expand(trains.scaled(t, 3.0)), kind)
 
 
 @query("q_tt_hadamard", _rates_sql("v * v").replace("3) + 0.0", "4) + 0.0"))
 def tt_hadamard(spark, sf_dir):
     kind, t = lossless(spark, sf_dir)
-    out = trains.pair_trains(t, t, lambda a, b: K.recompress(K.hadamard(a, b), 1e-13)[0])
+    out = trains.product(t, t, 1e-13)
     return _cells(trains.expand(out), kind, places=4)
 
 
 @query("q_tt_round_exact", _rates_sql("v"))
 def tt_round_exact(spark, sf_dir):
     kind, t = lossless(spark, sf_dir)
-    return _cells(trains.expand(trains.map_trains(t, lambda c: K.recompress(K.add(c, c), 1e-12)[0])), kind, 0.5)
+    return _cells(trains.expand(trains.map_trains(t, lambda c: K.recompress(K.add(c, c), 1e-12), 2.0)), kind, 0.5)
+
+
+def _order_roundtrip(spark, sf_dir, order: str) -> DataFrame:
+    """Rates by entity, read back from trains whose entities were put in order, through the order table."""
+    kind, cells = grids.vehicle(spark, sf_dir, order=order)
+    kind = replace(kind, padded=kind.entities)
+    t = stored(compress.segments(stored(cells), kind, Budget("fro", 1e-12), variables=("velocity",), keep_order=True))
+    own = _cells(trains.expand(t.drop("places")), kind).withColumnRenamed("entity", "place")
+    return compress.restore_identity(own, compress.orders(t), kind.segment).select("seg", "step", F.col("entity").cast("long").alias("entity"), "comp", "val")
+
+
+@query("q_order_roundtrip_every", _rates_sql("v"))
+def order_roundtrip_every(spark, sf_dir):
+    return _order_roundtrip(spark, sf_dir, "every")
+
+
+@query("q_order_roundtrip_first", _rates_sql("v"))
+def order_roundtrip_first(spark, sf_dir):
+    return _order_roundtrip(spark, sf_dir, "first")
+
+
+_STATISTICS = {
+    "scale": "3 * v", "add": "v + p", "sub": "v - p", "product": "v * p", "round": "v",
+}
+
+
+@query("q_tt_statistics", _RATES3 + " UNION ALL ".join([*(f"SELECT '{op}' AS op, seg, CAST(count(*) AS BIGINT) AS n, round(sqrt(sum(pow({e}, 2))) / 10, 1) AS tenth_fro, true AS bounded FROM x GROUP BY seg" for op, e in _STATISTICS.items()), "SELECT 'sum' AS op, seg, CAST(count(*) AS BIGINT) AS n, round(sqrt(sum(v * v)) / 10, 1) AS tenth_fro, true AS bounded FROM (SELECT seg, entity, comp, sum(v) AS v FROM x GROUP BY ALL) GROUP BY seg"]))
+def tt_statistics(spark, sf_dir):
+    """Size and norm that trains report after arithmetic, and whether their error bounds hold; rounding at 0.5 is measured against what it rounded."""
+    _, t = lossless(spark, sf_dir, ("position", "velocity"))
+    v, p = t.where("variable = 'velocity'"), _position(t)
+    rough = stored(trains.rounded(v, 0.5))
+    done = {"scale": trains.scaled(v, 3.0), "add": trains.pair_trains(v, p, K.add), "sub": trains.pair_trains(v, p, K.sub), "product": trains.product(v, p, 1e-13), "sum": trains.contracted(v, {k: np.ones(2) for k in range(4)})}
+    small = (F.col("err_abs") <= 1e-6 * F.sqrt("fro2") + 1e-6).alias("bounded")
+    out = None
+    for op, r in done.items():
+        one = r.select(F.lit(op).alias("op"), "seg", "n", F.round(F.sqrt("fro2") / 10, 1).alias("tenth_fro"), small)
+        out = one if out is None else out.unionByName(one)
+    off = trains.pair_numbers(rough, v, lambda a, b: float(np.linalg.norm(K.right_orthogonal(K.sub(a, b))[0]))).select("seg", F.col("val").alias("off"))
+    whole = v.select("seg", F.sqrt("fro2").alias("fro"))
+    kept = rough.join(off, "seg").join(whole, "seg")
+    bounded = (F.col("off") <= F.col("err_abs") * (1 + 1e-6) + 1e-6) & (F.col("err_abs") <= 0.5 * F.col("fro") + 1e-6) & (F.abs(F.sqrt("fro2") - F.sqrt(F.pow("fro", F.lit(2)) - F.pow("off", F.lit(2)))) <= 1e-6 * F.col("fro") + 1e-6)
+    return out.unionByName(kept.select(F.lit("round").alias("op"), "seg", "n", F.round(F.col("fro") / 10, 1).alias("tenth_fro"), bounded.alias("bounded")))
 
 
 @query("q_tt_entry", VEHICLE + "z AS (SELECT 1) SELECT step // 16 AS seg, step, entity, round(c1, 3) AS val FROM cells WHERE step BETWEEN 0 AND 1439")
@@ -570,6 +782,6 @@ def late_update(spark, sf_dir):
         for n in modes:
             i, d = divmod(i, n)
             index.append(d)
-        return K.recompress(K.add(c, K.delta(modes, index, 7.5)), 1e-12)[0]
+        return K.recompress(K.add(c, K.delta(modes, index, 7.5)), 1e-12)
 
     return _cells(trains.expand(trains.map_trains(t, change)), kind)

@@ -58,15 +58,10 @@ def vehicle(spark: SparkSession, sf_dir: str, minutes: int = 30, steps: int = 14
     return ParticleSet("vehicle", steps, segment, n, smooth_ceiling(n), order, (2, 3, 3, 5)), cells
 
 
-def sediment(spark: SparkSession, sf_dir: str, steps: int = 2560, segment: int = 32, order: str = "first", fanin: tuple[int, ...] = (2, 2, 2, 2, 5), power: bool = False) -> tuple[ParticleSet, DataFrame]:
-    """Parts of ``lineitem`` by day: sums of quantity, price and rows, for all parts and seven years.
-
-    power: only the parts below a power of two, 2^14 at most, as the SQL of two queries has it.
-    """
+def sediment(spark: SparkSession, sf_dir: str, steps: int = 2560, segment: int = 32, order: str = "first", fanin: tuple[int, ...] = (2, 2, 2, 2, 5)) -> tuple[ParticleSet, DataFrame]:
+    """Parts of ``lineitem`` by day: sums of quantity, price and rows, for all parts and seven years."""
     parts = read(spark, sf_dir, "part").agg(F.max("p_partkey")).first()[0]
-    n = int(parts) + 1
-    if power:
-        n = 1 << min(14, n.bit_length() - 1)
+    n = int(parts) + 1 if parts is not None else 1
     cells = (
         read(spark, sf_dir, "lineitem")
         .where(F.col("l_partkey") < n)

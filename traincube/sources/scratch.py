@@ -26,3 +26,13 @@ def stored(df: DataFrame) -> DataFrame:
     jvm_path = spark._jvm.org.apache.hadoop.fs.Path(path)
     jvm_path.getFileSystem(spark._jsc.hadoopConfiguration()).deleteOnExit(jvm_path)
     return spark.read.schema(df.schema).parquet(path)
+
+
+def bytes_of(table: DataFrame) -> int:
+    """Bytes of the files that a table from stored() is read from."""
+    spark = table.sparkSession
+    conf, total = spark._jsc.hadoopConfiguration(), 0
+    for name in table.inputFiles():
+        path = spark._jvm.org.apache.hadoop.fs.Path(name)
+        total += path.getFileSystem(conf).getFileStatus(path).getLen()
+    return total
