@@ -122,3 +122,11 @@ def test_sizes_and_keys():
     assert sorted(key) == list(range(512))
     walk = cells[np.argsort(key)]
     assert (np.abs(np.diff(walk, axis=0)).sum(1) == 1).all()
+
+
+def test_distance_is_that_of_the_expanded_train():
+    rng = np.random.default_rng(5)
+    for modes in ([7], [3, 4], [2, 3, 5, 4]):
+        x = rng.standard_normal(int(np.prod(modes)))
+        cores, lost = K.decompose(x, modes, 0.4)
+        assert np.isclose(K.distance(cores, x), np.linalg.norm(K.expand(cores) - x)) and np.isclose(K.distance(cores, x) ** 2, lost)

@@ -103,6 +103,17 @@ def expand(cores: Train) -> np.ndarray:
     return x[:, 0]
 
 
+def distance(cores: Train, x: np.ndarray) -> float:
+    """The norm of x less the train, by indices of the last mode, so that no second array of the size of x is made."""
+    if len(cores) == 1:
+        return float(np.linalg.norm(expand(cores) - x))
+    last = cores[-1][:, :, 0]
+    head = np.ones((1, 1))
+    for c in cores[:-1]:
+        head = np.tensordot(head, c, (1, 0)).reshape(-1, c.shape[2], order="F")
+    return sqrt(sum(float(np.linalg.norm(head @ last[:, k] - part)) ** 2 for k, part in enumerate(x.reshape(-1, last.shape[1], order="F").T)))
+
+
 def entries(cores: Train, index: np.ndarray) -> np.ndarray:
     """Entries at rows of 0-based digits [point, mode], some thousands at a time.
 

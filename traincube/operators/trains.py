@@ -51,7 +51,7 @@ def compressed(x: np.ndarray, modes: list[int], budget, share: float = 1.0, orig
     vmin, vmax, norm = float(own.min()), float(own.max()), float(np.linalg.norm(x))
     allowed = budget.absolute(own.size, vmin, vmax, float(np.linalg.norm(own))) * share
     cores, lost = K.decompose(x, modes, allowed / norm if norm else 0.0, max_rank)
-    measured = float(np.linalg.norm(K.expand(cores) - x)) if measure else None
+    measured = K.distance(cores, x) if measure else None
     return pack(cores, n=x.size, n_original=own.size, vmin=vmin, vmax=vmax, fro2=norm**2, err_abs=sqrt(lost), err_measured=measured, **row)
 
 

@@ -309,22 +309,30 @@ def ratio_formula(spark, sf_dir):
 
 
 def triaxial_sql(days: int, steps: int) -> str:
-    return _TRI.replace("3369600000000", str(days * 86_400_000_000)).replace("BETWEEN 0 AND 52 *", f"BETWEEN 0 AND {steps} *")
+    return _TRI.replace("4233600000000", str(days * 86_400_000_000)).replace("BETWEEN 0 AND 52 *", f"BETWEEN 0 AND {steps} *")
 
 
-#: Days in a step and steps of the triaxial set: every row of the tables.
-FULL = (1, 2560)
+#: Days in a step and steps of the triaxial set, daily and in coarse bins; both hold every row of the tables.
+FULL, COARSE = (1, 2560), (49, 52)
 _TRI = """WITH cells AS MATERIALIZED (
-  SELECT CAST(l_linestatus = 'O' AS INTEGER) AS status, CAST(date_diff('microsecond', TIMESTAMP '1995-01-02', l_shipdate) // 3369600000000 AS INTEGER) AS step, CAST(l_partkey % 64 AS INTEGER) AS rve,
+  SELECT CAST(l_linestatus = 'O' AS INTEGER) AS status, CAST(date_diff('microsecond', TIMESTAMP '1995-01-02', l_shipdate) // 4233600000000 AS INTEGER) AS step, CAST(l_partkey % 64 AS INTEGER) AS rve,
          sum(l_quantity) AS s0, sum(l_extendedprice) AS s1, sum(l_discount) AS s2, sum(l_tax) AS s3, CAST(count(*) AS DOUBLE) AS s4, sum(l_quantity * l_discount) AS s5
-  FROM lineitem WHERE date_diff('microsecond', TIMESTAMP '1995-01-02', l_shipdate) BETWEEN 0 AND 52 * 3369600000000 - 1 GROUP BY ALL)"""
+  FROM lineitem WHERE date_diff('microsecond', TIMESTAMP '1995-01-02', l_shipdate) BETWEEN 0 AND 52 * 4233600000000 - 1 GROUP BY ALL)"""
 _WHEEL = """WITH kinds AS (SELECT p_type, row_number() OVER (ORDER BY p_type) - 1 AS z FROM (SELECT DISTINCT p_type FROM part)),
 cells AS (
   SELECT CAST(n_regionkey AS INTEGER) AS patch, CAST(date_diff('microsecond', TIMESTAMP '1995-01-02', l_shipdate) // 4838400000000 AS INTEGER) AS step, CAST(l_partkey % 10 AS INTEGER) AS x, CAST(l_suppkey % 6 AS INTEGER) AS y, CAST(z AS INTEGER) AS z,
          CAST(l_linestatus = 'O' AS INTEGER) AS g1, CAST(l_discount >= 0.05 AS INTEGER) AS g2, CAST(l_quantity > 25 AS INTEGER) AS g3,
          sum(l_quantity) AS s0, sum(l_extendedprice) AS s1, sum(l_discount) AS s2, sum(l_tax) AS s3, CAST(count(*) AS DOUBLE) AS s4, sum(l_quantity * l_discount) AS s5
   FROM lineitem JOIN orders ON l_orderkey = o_orderkey JOIN customer ON o_custkey = c_custkey JOIN nation ON c_nationkey = n_nationkey JOIN part ON l_partkey = p_partkey JOIN kinds USING (p_type)
-  WHERE date_diff('microsecond', TIMESTAMP '1995-01-02', l_shipdate) BETWEEN 0 AND 43 * 4838400000000 - 1 GROUP BY ALL)"""
+  WHERE date_diff('microsecond', TIMESTAMP '1995-01-02', l_shipdate) BETWEEN 0 AND 45 * 4838400000000 - 1 GROUP BY ALL)"""
+
+
+def wheel_sql(days: int, steps: int) -> str:
+    return _WHEEL.replace("4838400000000", str(days * 86_400_000_000)).replace("BETWEEN 0 AND 45 *", f"BETWEEN 0 AND {steps} *")
+
+
+#: Days in a step and steps of the wheel set, in coarse bins and as in the workload; both hold every row of the tables.
+WHEEL_COARSE, WHEEL_FULL = (56, 45), (4, 626)
 
 
 def _long_sums(df: DataFrame, *axes: str) -> DataFrame:
@@ -343,7 +351,7 @@ def triaxial_grid(spark, sf_dir):
 
 @query("q_wheel_grid", _sql_sums(_WHEEL, "patch, step, x, y, z, g1, g2, g3"))
 def wheel_grid(spark, sf_dir):
-    return _long_sums(grids.wheel_cells(spark, sf_dir, 56, 43), "patch", "step", "x", "y", "z", "g1", "g2", "g3")
+    return _long_sums(grids.wheel_cells(spark, sf_dir, *WHEEL_COARSE), "patch", "step", "x", "y", "z", "g1", "g2", "g3")
 
 
 _SERIES = _TRI + """, g AS (SELECT p.status, s.step, r.rve, coalesce(s0, 0.0) AS s0, coalesce(s1, 0.0) AS s1, coalesce(s4, 0.0) AS s4
@@ -358,7 +366,7 @@ pairs AS (SELECT a.variable, a.component, a.status, a.rve, b.step - a.step AS la
 """
 
 
-def triaxial_series(spark, sf_dir, days: int = 39, steps: int = 52):
+def triaxial_series(spark, sf_dir, days: int = COARSE[0], steps: int = COARSE[1]):
     """(variable, component, status, rve, step, y): three sums as increments and as running totals."""
     cells = grids.triaxial_cells(spark, sf_dir, days, steps)
     grid = spark.range(2 * steps * 64).select((F.col("id") % 2).cast("int").alias("status"), (F.floor(F.col("id") / 2) % steps).cast("int").alias("step"), F.floor(F.col("id") / (2 * steps)).cast("int").alias("rve"))
@@ -389,7 +397,7 @@ def documents_stats(spark, sf_dir):
 @query("q_unfold_gram", _TRI + ", x AS (SELECT status + 2 * (step % 4) AS row_, (step // 4) * 64 + rve AS col_, s0 AS v FROM cells) SELECT CAST(a.row_ AS BIGINT) AS row1, CAST(b.row_ AS BIGINT) AS row2, round(sum(a.v * b.v), 2) AS g FROM x a JOIN x b ON a.col_ = b.col_ GROUP BY ALL")
 def unfold_gram(spark, sf_dir):
     """Products of the rows of an unfolding, by a join on its columns: what a relational factorization starts from."""
-    cells = grids.triaxial_cells(spark, sf_dir, 39, 52)
+    cells = grids.triaxial_cells(spark, sf_dir, *COARSE)
     idx = shapes.long_index([F.col("status"), F.col("step"), F.col("rve")], [2, 52, 64])
     row, col = shapes.unfold(idx, [2, 4, 13, 64], 2)
     x = cells.select(row.alias("row1"), col.alias("col"), F.col("s0").alias("v"))

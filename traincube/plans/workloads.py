@@ -15,8 +15,7 @@ from traincube.functions import shapes
 from traincube.functions.budget import Budget
 from traincube.operators import baselines, compare, compress, measures, merge, panels, trains
 from traincube.plans.registry import VEHICLE, query
-from traincube.plans.relational import FULL, triaxial_series, triaxial_sql
-from traincube.plans.relational import _WHEEL as WHEEL_SQL
+from traincube.plans.relational import COARSE, FULL, WHEEL_COARSE, WHEEL_FULL, triaxial_series, triaxial_sql, wheel_sql
 from traincube.sources import grids
 from traincube.sources.scratch import bytes_of, stored
 
@@ -276,7 +275,7 @@ def error_bound(spark, sf_dir, tau: float = 0.01, tau_round: float = 0.01):
 # ---- tensors with many axes --------------------------------------------------------------------------------------
 
 
-def triaxial_tensors(spark: SparkSession, sf_dir: str, days: int = 39, steps: int = 52) -> DataFrame:
+def triaxial_tensors(spark: SparkSession, sf_dir: str, days: int = COARSE[0], steps: int = COARSE[1]) -> DataFrame:
     """Cells of the sums as (variable, status, step, rve, s0..s5), the same rows for each of five variables."""
     cells = grids.triaxial_cells(spark, sf_dir, days, steps)
     names = F.array(*map(F.lit, ("current_strain", "current_stress", "incremental_strain", "incremental_stress", "tangent")))
@@ -302,7 +301,7 @@ def _each_budget(cells: DataFrame, budgets: list[Budget]) -> DataFrame:
     return cells.withColumn("_budget", F.explode(F.array(*map(F.lit, range(len(budgets))))))
 
 
-def triaxial_trains(spark: SparkSession, sf_dir: str, budgets: list[Budget], days: int = 39, steps: int = 52) -> DataFrame:
+def triaxial_trains(spark: SparkSession, sf_dir: str, budgets: list[Budget], days: int = COARSE[0], steps: int = COARSE[1]) -> DataFrame:
     """Trains of all variables and budgets; seg is the budget's place in the list."""
 
     def build(name, k, t):
@@ -385,27 +384,36 @@ def autocorr_vs_ratio(spark, sf_dir):
 WHEEL_AXES = ("patch", "step", "x", "y", "z", "g1", "g2", "g3")
 
 
-def wheel_trains(spark: SparkSession, sf_dir: str, budgets: list[Budget], days: int = 56, steps: int = 43) -> DataFrame:
+def wheel_trains(spark: SparkSession, sf_dir: str, budgets: list[Budget], days: int = WHEEL_COARSE[0], steps: int = WHEEL_COARSE[1]) -> DataFrame:
     names = F.array(*map(F.lit, ("current_strain", "current_stress", "incremental_strain", "incremental_stress", "tangent")))
     shape = (5, steps, 10, 6, 6, 2, 2, 2, 6)
 
     def build(name, budget, t):
-        x = np.zeros(shape)
+        x = np.zeros(shape, order="F")
         at = tuple(t.column(c).to_numpy() for c in WHEEL_AXES)
         for k in range(6):
             x[(*at, k)] = t.column(f"s{k}").to_numpy()
         if "stress" not in name:
             x -= x.mean(tuple(range(8)))
         if "incremental" not in name:
-            x = np.cumsum(x, 1)
+            np.cumsum(x, 1, out=x)
         if name == "tangent":
-            x = (x[..., :, None] * x[..., None, :]).reshape(*shape[:-1], 36)
+            both = np.empty((*shape[:-1], 36), order="F")
+            for i in range(6):
+                for j in range(6):
+                    np.multiply(x[..., i], x[..., j], out=both[..., 6 * i + j])
+            x = both
         return [trains.compressed(x.ravel(order="F"), list(x.shape), budgets[budget], measure=True, variable=name, level=0, seg=budget, steps=steps)]
 
     return compress.arrays(_each_budget(grids.wheel_cells(spark, sf_dir, days, steps).withColumn("variable", F.explode(names)), budgets), build, "variable", "_budget")
 
 
-_WHEEL_SQL = _tensor_sql(WHEEL_SQL, {"patch": "range(5)", "step": "range(43)", "x": "range(10)", "y": "range(6)", "z": "range(6)", "g1": "range(2)", "g2": "range(2)", "g3": "range(2)"}, "step", [(i, j) for i in range(6) for j in range(6)])
+def _wheel_sql(days: int, steps: int) -> str:
+    axes = {"patch": "range(5)", "step": f"range({steps})", "x": "range(10)", "y": "range(6)", "z": "range(6)", "g1": "range(2)", "g2": "range(2)", "g3": "range(2)"}
+    return _tensor_sql(wheel_sql(days, steps), axes, "step", [(i, j) for i in range(6) for j in range(6)])
+
+
+_WHEEL_SQL = _wheel_sql(*WHEEL_COARSE)
 
 
 @query("q_wheel_compress", _WHEEL_SQL)
@@ -419,6 +427,13 @@ def wheel_overall(spark, sf_dir):
     return wheel_compress(spark, sf_dir).groupBy("tau").agg(F.sum("n").alias("n_total"), F.bool_and("within_tol").alias("within_tol"))
 
 
+@query("q_wheel_full", f"SELECT * FROM ({_wheel_sql(*WHEEL_FULL)}) WHERE tau = 1e-1")
+def wheel_full(spark, sf_dir, taus: tuple[float, ...] = (1e-1,)):
+    """The wheel set in four-day steps; a task holds one array, the largest of 2.6 GB."""
+    b = [Budget("nrmse", t) for t in taus]
+    return _guaranteed(wheel_trains(spark, sf_dir, b, *WHEEL_FULL), b)
+
+
 @query("q_wheel_ratios")
 def wheel_ratios(spark, sf_dir):
     b = [Budget("nrmse", t) for t in TAUS]
@@ -510,14 +525,14 @@ def embeddings_qtt(spark, sf_dir):
 def panel_equals_local(spark, sf_dir):
     """The distributed factorization against the local one, on the grid of the first sum."""
     modes = [2, 4, 13, 64]
-    cells = grids.triaxial_cells(spark, sf_dir, 39, 52).select((F.col("status") + 2 * F.col("step") + 104 * F.col("rve")).cast("long").alias("idx"), F.col("s0").alias("val"))
+    cells = grids.triaxial_cells(spark, sf_dir, *COARSE).select((F.col("status") + 2 * F.col("step") + 104 * F.col("rve")).cast("long").alias("idx"), F.col("s0").alias("val"))
     return _panels_against_local(spark, cells, modes, "qr")
 
 
 @query("q_gram_equals_local", "SELECT 'incremental_stress_sum' AS variable, true AS equal")
 def gram_equals_local(spark, sf_dir):
     """The same by sums of products instead of a tree of triangular factors."""
-    cells = grids.triaxial_cells(spark, sf_dir, 39, 52).select((F.col("status") + 2 * F.col("step") + 104 * F.col("rve")).cast("long").alias("idx"), F.col("s0").alias("val"))
+    cells = grids.triaxial_cells(spark, sf_dir, *COARSE).select((F.col("status") + 2 * F.col("step") + 104 * F.col("rve")).cast("long").alias("idx"), F.col("s0").alias("val"))
     return _panels_against_local(spark, cells, [2, 4, 13, 64], "gram")
 
 
@@ -525,7 +540,7 @@ def gram_equals_local(spark, sf_dir):
 def unfolding_ranks(spark, sf_dir, delta: float = 0.1):
     """The least ranks of the unfoldings of the first sum, by panels, against a local decomposition."""
     modes = [2, 4, 13, 64]
-    cells = grids.triaxial_cells(spark, sf_dir, 39, 52).select((F.col("status") + 2 * F.col("step") + 104 * F.col("rve")).cast("long").alias("idx"), F.col("s0").alias("val"))
+    cells = grids.triaxial_cells(spark, sf_dir, *COARSE).select((F.col("status") + 2 * F.col("step") + 104 * F.col("rve")).cast("long").alias("idx"), F.col("s0").alias("val"))
     x, rows = np.zeros(prod(modes)), []
     small = cells.toPandas()  # 6656 cells at most, for the comparison alone
     x[small["idx"].to_numpy()] = small["val"].to_numpy()
