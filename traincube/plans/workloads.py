@@ -735,10 +735,10 @@ def tt_mode_mean(spark, sf_dir):
     return _reduced(t, lambda c: K.contract(c, {k: np.full(c[k].shape[1], 1.0 / c[k].shape[1]) for k in range(4, len(c) - 1)}), [16, 3], ["at", "comp"])
 
 
-def _numbers(spark, sf_dir, measure, a, b):
+def _numbers(spark, sf_dir, measure, a, b, places=2):
     _, t = lossless(spark, sf_dir, ("position", "velocity"))
     side = {"v": t.where("variable = 'velocity'"), "p": _position(t)}
-    return trains.pair_numbers(side[a], side[b], measure).select("seg", (F.round("val", 2) + 0.0).alias("val"))
+    return trains.pair_numbers(side[a], side[b], measure).select("seg", (F.round("val", places) + 0.0).alias("val"))
 
 
 @query("q_tt_norm", _RATES3 + "SELECT seg, round(sqrt(sum(v * v)), 2) AS val FROM x GROUP BY seg")
@@ -746,9 +746,10 @@ def tt_norm(spark, sf_dir):
     return _numbers(spark, sf_dir, lambda a, b: K.norm(a), "v", "v")
 
 
-@query("q_tt_dot", _RATES3 + "SELECT seg, round(sum(v * p), 2) AS val FROM x GROUP BY seg")
+@query("q_tt_dot", _RATES3 + "SELECT seg, round(sum(v * p), 4) AS val FROM x GROUP BY seg")
 def tt_dot(spark, sf_dir):
-    return _numbers(spark, sf_dir, K.dot, "v", "p")
+    """Products of amounts in hundredths end in the fourth place, so that rounding there meets no ties."""
+    return _numbers(spark, sf_dir, K.dot, "v", "p", places=4)
 
 
 @query("q_tt_dist", _RATES3 + "SELECT seg, round(sqrt(sum((v - p) * (v - p))), 2) AS val FROM x GROUP BY seg")
