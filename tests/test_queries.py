@@ -86,3 +86,16 @@ def test_triaxial_has_every_row_and_variable(spark, sf):
 def test_univariate_sweep_is_whole(spark, sf):
     out = registry.QUERIES["q_univariate_sweep"](spark, sf).collect()
     assert len(out) == 132 and {r["level"] for r in out} == set(range(10, 21)) and {r["n"] for r in out} == {1 << 20} and all(r["within_tol"] for r in out)
+
+
+@pytest.mark.parametrize("name,table", [(f"q_{n}", t) for n, t in {"kernel_index": "lineitem", "kernel_samples": "lineitem", "univariate_samples": "orders", "long_index": "orders", "ratio_formula": "lineitem", "small_primes": "lineitem", "smooth_ceiling": "orders", "vector_levels": "orders", "tolerance_compose": "lineitem", "tolerance_split": "lineitem"}.items()])
+def test_formulas_read_a_table(spark, sf, name, table):
+    assert f"{table}.parquet" in registry.QUERIES[name](spark, sf)._jdf.queryExecution().executedPlan().toString()
+
+
+def test_kernels_are_sampled_at_the_orders(spark, sf, tmp_path):
+    """All cells are there from sf0.001 on; with fewer orders their cells alone are sampled."""
+    assert len(workloads._sampled(spark, sf, 10)) == 1024
+    spark.read.parquet(f"{sf}/orders.parquet").where("o_orderkey < 3").write.parquet(str(tmp_path / "orders.parquet"))
+    at = workloads._sampled(spark, str(tmp_path), 10)
+    assert list(at) == [0, 1, 2] and np.count_nonzero(workloads._kernel(at, 1024)) == 9
