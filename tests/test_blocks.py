@@ -72,3 +72,27 @@ def test_joins_without_block_cores():
     for tau in (1e-12, 0.3):
         for got, want in ((K.concat_rounded(parts, tau), K.recompress(K.concat(parts), tau)), (K.stack_rounded(parts, tau), K.recompress(K.stack(parts), tau))):
             assert K.ranks(got[0]) == K.ranks(want[0]) and np.allclose(K.expand(got[0]), K.expand(want[0])) and np.isclose(got[1], want[1])
+
+
+ONE_TASK = "q_tt_roundtrip q_tt_add q_tt_sub q_tt_scale q_tt_hadamard q_tt_round_exact q_tt_slice q_tt_mode_sum q_tt_mode_mean q_tt_concat_roundtrip q_tt_stack_roundtrip q_tree_roundtrip q_late_update".split()
+
+
+@pytest.mark.parametrize("name", ONE_TASK)
+def test_no_train_travels(spark, sf, blocks, name):
+    """Trains are made, changed and expanded in one task: there is one Python step only, so executors hold no batches of trains."""
+    plan = registry.QUERIES[name](spark, sf)._jdf.queryExecution().executedPlan().toString()
+    assert plan.count("FlatMapGroupsInArrow") >= 1 and "MapInArrow" not in plan
+
+
+def test_level0_leaves_cores_behind(spark, sf, blocks):
+    """Ratios ask for sizes and bounds; cores, which are most of a train, stay in their task."""
+    _, t = workloads.level0(spark, sf, "sediment")
+    assert t.where("cores is not null").isEmpty() and t.where("size(ranks) > 1 and err_abs is not null").count() > 0
+
+
+def test_block_is_worked_out_once(monkeypatch):
+    """Each segment asks for the block, which took longer to find than a segment to compress."""
+    kind, asked = grids.ParticleSet("x", 2560, 8, 1_200_000, 1_200_000, "first", ()), []
+    monkeypatch.setattr(grids, "smooth_ceiling", lambda n, real=grids.smooth_ceiling: asked.append(n) or real(n))
+    first = [kind.padded_size(0), kind.size(3), kind.blocks], len(asked)
+    assert first == ([kind.padded_size(0), kind.size(3), kind.blocks], len(asked))
