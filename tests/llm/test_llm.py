@@ -647,3 +647,16 @@ def test_no_position_of_a_scan_is_trusted(spark, tmp_path):
 
 def test_every_operator_is_registered():
     assert sorted(int(n[2:].split("_")[0]) for n in queries.QUERIES) == list(range(1, 11))
+
+
+def test_packing_keeps_few_parts_in_a_worker():
+    """Workers live on between the pipeline's stages, so what they remember is bounded; ids stay those of the tokenizer."""
+    import public_tokenizers
+
+    from traincube.llm.packing import IdCache
+
+    cache, letters = IdCache(public_tokenizers.path("byte_bpe_50k.json")), "abcdefghijklmnopqrstuvwxyz"
+    for first in range(0, 260_000, 10_000):
+        text = " ".join("".join(letters[k // 26**j % 26] for j in range(4)) for k in range(first, first + 10_000))
+        got = cache.of(text)
+    assert got == cache.encode(text) and len(cache.ids) + len(cache.old) < 225_000

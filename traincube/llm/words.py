@@ -7,6 +7,8 @@ a fixed number of array passes, so cost follows bytes and not words.
 
 from __future__ import annotations
 
+import contextlib
+import ctypes
 from collections.abc import Iterator
 
 import numpy as np
@@ -86,8 +88,16 @@ class Block:
         return [raw[a:b] for a, b in zip(edge, edge[1:])]
 
 
+def release() -> None:
+    """Give back to the system what this worker has freed: workers live on between tasks, and their executor counts what they hold."""
+    pa.default_memory_pool().release_unused()
+    with contextlib.suppress(AttributeError, OSError):  # of glibc alone
+        ctypes.CDLL(None).malloc_trim(0)
+
+
 def blocks(batches: Iterator[pa.RecordBatch], size: int = BLOCK_BYTES, column: str = "body") -> Iterator[Block]:
     """Cut Arrow batches with a column of texts into blocks of about ``size`` bytes, a long text alone; null is empty."""
+    release()
     for batch in batches:
         body = batch.column(column)
         if isinstance(body, pa.ChunkedArray):
@@ -102,6 +112,7 @@ def blocks(batches: Iterator[pa.RecordBatch], size: int = BLOCK_BYTES, column: s
             edge = at[first : last + 1]
             yield Block(batch.slice(first, last - first), data[edge[0] : edge[-1]], edge - edge[0])
             first = last
+    release()
 
 
 class Words:
