@@ -5,7 +5,12 @@ from dataclasses import replace
 import numpy as np
 import pytest
 
+from pyspark.sql import functions as F
+
 from traincube.functions import kernels as K
+from traincube.functions.budget import Budget
+from traincube.operators import compress, merge
+from traincube.operators.trains import pack
 from traincube.plans import registry, workloads
 from traincube.sources import grids
 
@@ -96,3 +101,25 @@ def test_block_is_worked_out_once(monkeypatch):
     monkeypatch.setattr(grids, "smooth_ceiling", lambda n, real=grids.smooth_ceiling: asked.append(n) or real(n))
     first = [kind.padded_size(0), kind.size(3), kind.blocks], len(asked)
     assert first == ([kind.padded_size(0), kind.size(3), kind.blocks], len(asked))
+
+
+def test_segments_of_a_train_are_expanded_together(monkeypatch):
+    """What the segments of a merged train share is expanded once, with the entries of each as from its own train."""
+    rng = np.random.default_rng(3)
+    parts = [dict(pack(K.decompose(rng.standard_normal(4 * 6 * 3), [4, 6, 3], 0.2)[0]), variable="v", level=0, seg=s, n_original=72, vmin=-3.0, vmax=3.0, fro2=72.0, err_abs=1.0, steps=4) for s in range(6)]
+    top = merge.merge_rows(parts, (2, 3), Budget("fro", 0.5))[-1]
+    want, made = [K.expand(merge.piece(top, s, (2, 3))) for s in range(6)], []
+    monkeypatch.setattr(K, "rows", lambda cores, real=K.rows: made.append(1) or real(cores))
+    shared, alone = merge.expander(top, (2, 3)), merge.expander(top, (2, 3), 10)
+    assert all(np.allclose(shared(s), x) for s, x in enumerate(want)) and len(made) == 1
+    assert all(np.allclose(alone(s), x) for s, x in enumerate(want)) and len(made) == 7
+
+
+def test_tasks_are_dealt_evenly(spark):
+    """Partitions hold as many tasks' rows as others or one more; hashes left some empty and gave others several."""
+    kind = grids.ParticleSet("x", 64, 16, 90_000, 90_000, "none", ())
+    jobs = spark.range(kind.blocks * 4).selectExpr("id % 4 AS seg", "cast(id div 4 AS int) AS block")
+    for each in (1, 4):
+        own = compress.dealt(jobs, kind, 1, each)._df.groupBy(F.spark_partition_id()).count().collect()
+        sizes = [r["count"] for r in own]
+        assert len(sizes) == -(-jobs.count() // each) and max(sizes) - min(sizes) <= 1

@@ -130,3 +130,23 @@ def test_distance_is_that_of_the_expanded_train():
         x = rng.standard_normal(int(np.prod(modes)))
         cores, lost = K.decompose(x, modes, 0.4)
         assert np.isclose(K.distance(cores, x), np.linalg.norm(K.expand(cores) - x)) and np.isclose(K.distance(cores, x) ** 2, lost)
+
+
+def test_loose_cuts_need_no_svd(monkeypatch):
+    """At loose tolerances all cuts come from products of the smaller side; ranks and errors are those of the SVD."""
+    rng = np.random.default_rng(4)
+    x = (np.outer(rng.standard_normal(256), rng.standard_normal(240)) + 0.2 * rng.standard_normal((256, 240))).ravel(order="F")
+    modes = [2] * 8 + [2, 2, 2, 2, 5, 3]
+    for tau in (0.01, 0.1, 0.5):
+        monkeypatch.setattr(K, "GRAM_SQUARE", np.inf)
+        monkeypatch.setattr(K, "GRAM_LEAST", np.inf)
+        want, off = K.decompose(x, modes, tau)
+        monkeypatch.undo()
+        with monkeypatch.context() as m:
+            m.setattr(np.linalg, "svd", None)
+            got, lost = K.decompose(x, modes, tau)
+        assert K.ranks(got) == K.ranks(want) and np.isclose(lost, off) and np.allclose(K.expand(got), K.expand(want))
+        assert np.isclose(np.linalg.norm(K.expand(got) - x), np.sqrt(lost)) and lost <= (tau * np.linalg.norm(x)) ** 2
+        for c in got[:-1]:
+            m = c.reshape(-1, c.shape[2], order="F")
+            assert np.allclose(m.T @ m, np.eye(c.shape[2]), atol=1e-9)

@@ -41,7 +41,8 @@ def measured(trains: DataFrame, cells: DataFrame, shape: ParticleSet, orders: Da
         array = {"position": compress.placed(levels, place)[:used], "velocity": compress.placed(rates, place)[:used]}
         for r in rows_of(own.select(["variable", "level", "seg", "block", "cores"])):
             if r["variable"] is not None:
-                found.append({c: r[c] for c in ("variable", "level", "seg")} | _sums(array[r["variable"]], unpack(r), shape, r["block"]))
+                x = array[r["variable"]]
+                found.append({c: r[c] for c in ("variable", "level", "seg")} | _statistics(x) | {"e2": _missed(x, K.expand(unpack(r)), shape, r["block"])})
         return pa.Table.from_pylist(found, _ARROW)
 
     own = parts.withColumnRenamed("seg", "top").withColumnRenamed("part", "_part")
@@ -49,10 +50,15 @@ def measured(trains: DataFrame, cells: DataFrame, shape: ParticleSet, orders: Da
     return _errors(sums)
 
 
-def _sums(x: np.ndarray, cores: K.Train, shape: ParticleSet, block: int) -> dict:
-    """Squares and range of an array [step, entity, component] and squares of what a train's entries miss."""
-    y = K.expand(cores).reshape(shape.segment, shape.padded_size(block), len(COMPONENTS), order="F")[: x.shape[0], : x.shape[1]]
-    return {"e2": float(((x - y) ** 2).sum()), "x2": float((x**2).sum()), "n": x.size, "vmin": float(x.min()), "vmax": float(x.max())}
+def _statistics(x: np.ndarray) -> dict:
+    """Squares and range of an array."""
+    return {"x2": float((x**2).sum()), "n": x.size, "vmin": float(x.min()), "vmax": float(x.max())}
+
+
+def _missed(x: np.ndarray, y: np.ndarray, shape: ParticleSet, block: int) -> float:
+    """Squares of what a train's entries y miss of an array [step, entity, component]; fastest if that is column-major too."""
+    off = (x - y.reshape(shape.segment, shape.padded_size(block), len(COMPONENTS), order="F")[: x.shape[0], : x.shape[1]]).ravel(order="K")
+    return float(off @ off)
 
 
 def _errors(sums: DataFrame) -> DataFrame:
@@ -83,12 +89,17 @@ def tree_in_tasks(cells: DataFrame, shape: ParticleSet, budget: Budget, share: f
                     place[s] = np.array(places)
                 own.append(r)
         tree = merge.merge_rows(own, fanin, budget)
-        holds = [int(np.prod(fanin[:k], dtype=int)) for k in range(len(fanin) + 1)]
+        holds, now = [int(np.prod(fanin[:k], dtype=int)) for k in range(len(fanin) + 1)], {}
         for s, levels, rates, used in compress.dense(t, shape, run):
             array = {"position": compress.placed(levels, place.get(s))[:used], "velocity": compress.placed(rates, place.get(s))[:used]}
+            known = {name: _statistics(x) for name, x in array.items()}
+            array = {name: np.asfortranarray(x) for name, x in array.items()}
             for k, r in enumerate(tree):
                 if s // holds[r["level"]] == r["seg"]:
-                    new, old = _sums(array[r["variable"]], merge.piece(r, s, fanin), shape, block), found.get(k)
+                    at = r["variable"], r["level"]
+                    if now.get(at, (None, None))[0] != k:
+                        now[at] = k, merge.expander(r, fanin)
+                    new, old = {"e2": _missed(array[r["variable"]], now[at][1](s), shape, block)} | known[r["variable"]], found.get(k)
                     found[k] = new if old is None else {c: (min if c == "vmin" else max if c == "vmax" else float.__add__ if c != "n" else int.__add__)(old[c], new[c]) for c in new}
         yield pa.RecordBatch.from_pylist([r | {"cores": None} | {f"m_{c}": v for c, v in found[k].items()} for k, r in enumerate(tree)], _TREE)
 
