@@ -123,3 +123,9 @@ def test_tasks_are_dealt_evenly(spark):
         own = compress.dealt(jobs, kind, 1, each)._df.groupBy(F.spark_partition_id()).count().collect()
         sizes = [r["count"] for r in own]
         assert len(sizes) == -(-jobs.count() // each) and max(sizes) - min(sizes) <= 1
+
+
+def test_pairs_are_rounded_by_their_trains(spark, sf):
+    """q_error_bound makes no block cores of a pair, which would be mostly zeros."""
+    inner = next(c for c in workloads.error_bound.__code__.co_consts if getattr(c, "co_name", "") == "pairwise")
+    assert "stack_rounded" in inner.co_names and "recompress" not in inner.co_names
