@@ -9,8 +9,8 @@ from pyspark.sql import functions as F
 
 from traincube.functions import kernels as K
 from traincube.functions.budget import Budget
-from traincube.operators import compress, merge
-from traincube.operators.trains import pack
+from traincube.operators import compare, compress, merge
+from traincube.operators.trains import pack, unpack
 from traincube.plans import registry, workloads
 from traincube.sources import grids
 
@@ -129,3 +129,34 @@ def test_pairs_are_rounded_by_their_trains(spark, sf):
     """q_error_bound makes no block cores of a pair, which would be mostly zeros."""
     inner = next(c for c in workloads.error_bound.__code__.co_consts if getattr(c, "co_name", "") == "pairwise")
     assert "stack_rounded" in inner.co_names and "recompress" not in inner.co_names
+
+
+@pytest.mark.parametrize("how", ["stack", "concat"])
+def test_few_cores_are_held_while_merging(how):
+    """Rows merged as they come are those merged all at once, and most have left before the last has come; the last groups are short here."""
+    rng = np.random.default_rng(5)
+    parts = [dict(pack(K.decompose(rng.standard_normal(4 * 6 * 3), [4, 6, 3], 0.2)[0]), variable=v, level=0, seg=s, n_original=72, vmin=-3.0, vmax=3.0, fro2=72.0, err_abs=1.0, steps=4) for s in range(27) for v in "vw"]
+    budget, here, most, got = Budget("fro", 0.5), 0, 0, []
+
+    def come():
+        nonlocal here, most
+        for r in parts:
+            here += 1
+            most = max(most, here)
+            yield r
+
+    for r in merge.merge_along(come(), (2, 2, 3, 3), budget, how):
+        here -= not r["level"]
+        got.append(r)
+    want = merge.merge_rows(parts, (2, 2, 3, 3), budget, how)
+    key = lambda r: (r["variable"], r["level"], r["seg"])
+    got, want = sorted(got, key=key), sorted(want, key=key)
+    assert most <= 4 and len(got) == len(want)
+    for a, b in zip(got, want):
+        assert key(a) == key(b) and a["ranks"] == b["ranks"] and a["err_abs"] == b["err_abs"] and np.array_equal(K.expand(unpack(a)), K.expand(unpack(b)))
+
+
+def test_trees_let_cores_go_as_they_are_merged(spark, sf, blocks, monkeypatch):
+    """No tree over blocks gathers all its rows in a task before it merges them."""
+    monkeypatch.setattr(merge, "merge_rows", None)
+    assert workloads.tree(spark, sf, "sediment").count() == 312 and compare.tree_in_tasks(grids.sediment(spark, sf)[1], grids.sediment(spark, sf)[0], workloads.TENTH, fanin=())[1].count() == 160

@@ -72,36 +72,47 @@ def _errors(sums: DataFrame) -> DataFrame:
 def tree_in_tasks(cells: DataFrame, shape: ParticleSet, budget: Budget, share: float = 1.0, fanin: tuple[int, ...] | None = None) -> tuple[DataFrame, DataFrame]:
     """The trees of a set with blocks, and their measured errors: trains without cores, and measured().
 
-    A task has all segments of a block, merges their trains and measures each level against
-    the arrays, which it makes anew one segment at a time. So nothing but statistics leaves it.
+    A task has all segments of a block, or a run of them without levels to merge. Level 0 is
+    measured where it is made and its cores go once they are merged; the levels above are
+    measured against the arrays, which are made anew one segment at a time. So nothing but
+    statistics leaves it.
     """
     fanin = shape.fanin if fanin is None else fanin
     run = shape.segments if fanin else compress.run_of(shape)
-    rows = compress.compressor(shape, budget, share=share, box=compress.level_box(cells) if shape.order != "none" else None, keep_order=True)
+    rows = compress.compressor(shape, budget, share=share, box=compress.level_box(cells) if shape.order != "none" else None, keep_order=True, keep_array=True)
 
     def work(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        t, own = pa.Table.from_batches(list(batches)), []
-        block, place, found = t.column("block")[0].as_py(), {}, {}
-        for s, levels, rates, used in compress.dense(t, shape, run):
-            for r in rows(s, block, levels, rates, used):
-                places = r.pop("places")
-                if places is not None:
-                    place[s] = np.array(places)
-                own.append(r)
-        tree = merge.merge_rows(own, fanin, budget)
-        holds, now = [int(np.prod(fanin[:k], dtype=int)) for k in range(len(fanin) + 1)], {}
-        for s, levels, rates, used in compress.dense(t, shape, run):
+        t, tree = pa.Table.from_batches(list(batches)), []
+        block, place, found, now = t.column("block")[0].as_py(), {}, {}, {}
+
+        def note(r: dict, known: dict, x: np.ndarray, y: np.ndarray) -> None:
+            at = r["variable"], r["level"], r["seg"]
+            new, old = {"e2": _missed(x, y, shape, block)} | known, found.get(at)
+            found[at] = new if old is None else {c: (min if c == "vmin" else max if c == "vmax" else float.__add__ if c != "n" else int.__add__)(old[c], new[c]) for c in new}
+
+        def first() -> Iterator[dict]:
+            for s, levels, rates, used in compress.dense(t, shape, run):
+                for r in rows(s, block, levels, rates, used):
+                    places, x = r.pop("places"), r.pop("array")
+                    if places is not None and fanin:
+                        place[s] = np.array(places)
+                    note(r, _statistics(x), np.asfortranarray(x), K.expand(unpack(r)))
+                    yield r
+
+        for r in merge.merge_along(first(), fanin, budget):
+            tree.append(r if r["level"] else r | {"cores": None})
+        above = [(r, range(r["seg"] * step, (r["seg"] + 1) * step)) for r in tree if r["level"] for step in [int(np.prod(fanin[: r["level"]], dtype=int))]]
+        for s, levels, rates, used in compress.dense(t, shape, run) if above else ():
             array = {"position": compress.placed(levels, place.get(s))[:used], "velocity": compress.placed(rates, place.get(s))[:used]}
             known = {name: _statistics(x) for name, x in array.items()}
             array = {name: np.asfortranarray(x) for name, x in array.items()}
-            for k, r in enumerate(tree):
-                if s // holds[r["level"]] == r["seg"]:
-                    at = r["variable"], r["level"]
-                    if now.get(at, (None, None))[0] != k:
-                        now[at] = k, merge.expander(r, fanin)
-                    new, old = {"e2": _missed(array[r["variable"]], now[at][1](s), shape, block)} | known[r["variable"]], found.get(k)
-                    found[k] = new if old is None else {c: (min if c == "vmin" else max if c == "vmax" else float.__add__ if c != "n" else int.__add__)(old[c], new[c]) for c in new}
-        yield pa.RecordBatch.from_pylist([r | {"cores": None} | {f"m_{c}": v for c, v in found[k].items()} for k, r in enumerate(tree)], _TREE)
+            for r, own in above:
+                if s in own:
+                    name, at = r["variable"], (r["variable"], r["level"])
+                    if s == own[0]:
+                        now[at] = merge.expander(r, fanin)
+                    note(r, known[name], array[name], now[at](s))
+        yield pa.RecordBatch.from_pylist([r | {"cores": None} | {f"m_{c}": v for c, v in found[r["variable"], r["level"], r["seg"]].items()} for r in tree], _TREE)
 
     out = stored(compress.dealt(compress.sparse(cells, shape, run=run), shape, run, 1).applyInArrow(work, SCHEMA + ", " + _SUMS.partition("seg long, ")[2].replace("e2", "m_e2").replace("x2", "m_x2").replace("n long", "m_n long").replace("vmin", "m_vmin").replace("vmax", "m_vmax")))
     return out.select(ARROW.names), _errors(out.select("variable", "level", "seg", *(F.col(f"m_{c}").alias(c) for c in ("e2", "x2", "n", "vmin", "vmax"))))
