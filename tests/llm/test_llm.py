@@ -660,3 +660,13 @@ def test_packing_keeps_few_parts_in_a_worker():
         text = " ".join("".join(letters[k // 26**j % 26] for j in range(4)) for k in range(first, first + 10_000))
         got = cache.of(text)
     assert got == cache.encode(text) and len(cache.ids) + len(cache.old) < 225_000
+
+
+def test_packing_remembers_the_words_of_a_task():
+    """So many words as a task's texts often have are encoded once; a smaller memory forgot and moved them again and again."""
+    cache = packing.IdCache(public_tokenizers.path("byte_bpe_50k.json"))
+    text = " ".join(f"w{k}" for k in range(150_000))
+    first, learned = cache.of(text), []
+    real = cache._learn
+    cache._learn = lambda part: learned.append(part) or real(part)
+    assert cache.of(text) == first == cache.encode(text) and not learned

@@ -33,7 +33,7 @@ from traincube.llm.words import blocks, documents, sums_by
 
 CAPACITY = 1024
 END_ID = 0
-_MOST_WORDS = 100_000
+_MOST_WORDS = 200_000
 _LONG = 64
 # Marks that stand after words.
 _MARKS = ".,;:!?"
